@@ -7,7 +7,7 @@ edge gives one record for each window it touches. No document moves between mach
 like any other. Only the last window is not full: it is padded to the window, or left as it is at a power of two.
 
 Ids are what the tokenizers library gives for the whole text. Text is encoded in runs between ASCII white space, which this
-vocabulary's pre-tokenizer never joins, and ids of runs are remembered, since most runs return.
+vocabulary's pre-tokenizer never joins, and ids of runs are remembered, since most runs return (WordEncoder).
 
 Defined results: null text is empty; an empty document is its end id alone; repeated rows are packed again.
 """
@@ -15,6 +15,7 @@ Defined results: null text is empty; an empty document is its end id alone; repe
 from __future__ import annotations
 
 import os
+import re
 
 import numpy as np
 import pyarrow as pa
@@ -22,53 +23,93 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from tidegate.llm.common import arrow_function, local_tokenizers, stored
+from tidegate.llm.common import arrow_function, as_bytes, local_tokenizers, stored
 
 WINDOW = 4096
 END_ID = 2
-REMEMBER = 400_000  # runs in a worker's memory; it is emptied when full
+REMEMBER = 400_000  # runs in each of a worker's two generations of memory
+#: letters, then ASCII marks other than the apostrophe, with which a contraction could begin
+LETTERS_MARKS = re.compile(r"([^\W\d_]+)([!-&(-/:-@\[-`{-~]*)")
 
 
 class WordEncoder:
-    """Token ids of texts, as little-endian unsigned 32-bit bytes."""
+    """Token ids of texts, as little-endian unsigned 32-bit bytes.
+
+    Texts are parted at ASCII white space, where this vocabulary's pre-tokenizer always parts. Runs seen lately are
+    remembered in two generations: when the young one is full it becomes the old one, and what is met again moves back.
+    New runs of letters are encoded many at a time, joined by blanks, and their ids parted after those that end a
+    pre-token; letters and the marks after them are separate pre-tokens, and ASCII letters are folded first.
+    """
 
     def __init__(self, path: str):
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(path)
-        self.known: dict[str, bytes] = {}
-
-    def _encode(self, run: str) -> bytes:
-        # a letter and a mark after it are never one token, so a last full stop or comma can be left off
-        if run[-1:] in ".,!" and run[:-1].isalpha():
-            return self[run[:-1]] + self[run[-1]]
-        if run.isascii() and (low := run.lower()) != run and "<|" not in run:
-            return self[low]
+        words = self.tokenizer.get_vocab(with_added_tokens=False)
+        self.closes = np.zeros(max(words.values()) + 1, bool)  # ids that end a pre-token
+        self.closes[[i for w, i in words.items() if w.endswith("</w>")]] = True
+        self.young: dict[bytes, bytes] = {}
+        self.old: dict[bytes, bytes] = {}
+
+    def _one(self, run: str) -> bytes:
         return np.asarray(self.tokenizer.encode(run, add_special_tokens=False).ids, "<u4").tobytes()
 
-    def __getitem__(self, run: str) -> bytes:
-        got = self.known.get(run)
-        if got is None:
-            got = self._encode(run)
-            if len(self.known) >= REMEMBER:
-                self.known.clear()
-            if len(run) <= 64:
-                self.known[run] = got
-        return got
-
-    def text(self, text: str) -> bytes:
-        # only these six: str.split() would also part at white space that the normalizer may treat otherwise
-        runs = text.translate(_BLANK).split(" ")
-        known, out = self.known, []
-        for r in runs:
-            if r:
-                got = known.get(r)
-                out.append(self[r] if got is None else got)
-        return b"".join(out)
-
-
-_BLANK = dict.fromkeys(range(9, 14), " ")
+    def _letters(self, words: list[bytes]) -> dict[bytes, bytes]:
+        out = {}
+        for at in range(0, len(words), 4000):
+            part = words[at : at + 4000]
+            ids = np.asarray(self.tokenizer.encode_batch_fast([b" ".join(part).decode()], add_special_tokens=False)[0].ids, "<u4")
+            ends = np.flatnonzero(self.closes[ids]) + 1
+            if len(ends) == len(part):
+                ends = [0, *(4 * ends).tolist()]
+                raw = ids.tobytes()
+                out.update((w, raw[a:b]) for w, a, b in zip(part, ends, ends[1:], strict=False))
+            else:  # lower-casing has parted a word
+                out.update((w, self._one(w.decode())) for w in part)
+        return out
+
+    def learn(self, runs: set[bytes]) -> None:
+        if len(self.young) >= REMEMBER:
+            self.old, self.young = self.young, {}
+        young, old, parted, wanted, seen = self.young, self.old, [], set(), self.old.get
+        for run in runs:
+            got = seen(run)
+            if got is not None:
+                young[run] = got
+                continue
+            core, mark = (run[:-1], run[-1:]) if run[-1] in b".," else (run, b"")
+            if not (core.isalpha() if core.isascii() else core.decode().isalpha()):
+                m = LETTERS_MARKS.fullmatch(run.decode())
+                if m is None or not m[1].isalpha():
+                    young[run] = self._one(run.decode())
+                    continue
+                core, mark = m[1].encode(), m[2].encode()
+            if core.isascii():
+                core = core.lower()
+            parted.append((run, core, mark))
+            if core not in young and core not in old:
+                wanted.add(core)
+        made = self._letters(list(wanted))
+        marks = {m: self._one(m.decode()) for m in {m for _, _, m in parted} if m}
+        for run, core, mark in parted:
+            got = made.get(core) or young.get(core) or old[core]
+            young[run] = got + marks[mark] if mark else got
+        young.update(made)
+
+    def texts(self, texts: list[bytes]) -> list[bytes]:
+        """Ids of each text, one after the other."""
+        runs = [t.split() for t in texts]
+        got = [list(map(self.young.get, rs)) for rs in runs]
+        gaps = [k for k, g in enumerate(got) if None in g]
+        if gaps:
+            self.learn({r for k in gaps for r, g in zip(runs[k], got[k], strict=True) if g is None})
+            now = self.young
+            for k in gaps:
+                got[k] = [now[r] if g is None else g for r, g in zip(runs[k], got[k], strict=True)]
+        return [b"".join(g) for g in got]
+
+
 _ENCODERS: dict[str, WordEncoder] = {}
 
 
@@ -84,14 +125,15 @@ def _tokenized(path: str, end_id: int):
     def run(batches):
         e, part, before = encoder(path), TaskContext.get().partitionId(), 0
         for batch in batches:
-            ids, counts, places = [], [], []
-            for text in batch.column(1).to_pylist():
-                got = (e.text(text) if text else b"") + end
-                ids.append(got)
-                counts.append(len(got) // 4)
-                places.append(before)
-                before += len(got) // 4
-            n = len(ids)
+            ids, counts, places, n = [], [], [], batch.num_rows
+            texts = as_bytes(batch.column(1))
+            for at in range(0, n, 256):
+                for got in e.texts(texts[at : at + 256]):
+                    got += end
+                    ids.append(got)
+                    counts.append(len(got) // 4)
+                    places.append(before)
+                    before += len(got) // 4
             yield pa.RecordBatch.from_arrays(
                 [batch.column(0), pa.array(np.full(n, part, np.int32)), pa.array(places, pa.int64()), pa.array(counts, pa.int64()), pa.array([_halved(x) for x in ids], pa.binary())],
                 names=["doc_id", "part", "local", "tokens", "ids"],

@@ -19,26 +19,27 @@ import re
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark import TaskContext
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from tidegate.llm.common import arrow_function, as_bytes, local_tokenizers, stored
+from tidegate.llm.common import arrow_function, local_tokenizers, stored
 
 WINDOW = 4096
 END_ID = 2
 REMEMBER = 400_000  # runs in each of a worker's two generations of memory
-#: letters, then ASCII marks other than the apostrophe, with which a contraction could begin
-LETTERS_MARKS = re.compile(r"([^\W\d_]+)([!-&(-/:-@\[-`{-~]*)")
+#: ASCII marks but the apostrophe, with which a contraction could begin
+MARKS = "".join(chr(c) for c in range(33, 127) if not chr(c).isalnum() and c != 39)
 
 
 class WordEncoder:
     """Token ids of texts, as little-endian unsigned 32-bit bytes.
 
-    Texts are parted at ASCII white space, where this vocabulary's pre-tokenizer always parts. Runs seen lately are
-    remembered in two generations: when the young one is full it becomes the old one, and what is met again moves back.
-    New runs of letters are encoded many at a time, joined by blanks, and their ids parted after those that end a
-    pre-token; letters and the marks after them are separate pre-tokens, and ASCII letters are folded first.
+    Texts are parted at ASCII white space, where this vocabulary's pre-tokenizer always parts. Letters and the marks after
+    them are separate pre-tokens, so runs are held as letters (ASCII ones folded) and marks; any other run is held whole.
+    Those seen lately are remembered in two generations: when the young one is full it becomes the old one, and what is met
+    again moves back. New letters are encoded many at a time, joined by blanks, and parted after ids that end a pre-token.
     """
 
     def __init__(self, path: str):
@@ -51,6 +52,7 @@ class WordEncoder:
         self.closes[[i for w, i in words.items() if w.endswith("</w>")]] = True
         self.young: dict[bytes, bytes] = {}
         self.old: dict[bytes, bytes] = {}
+        self.marks: dict[str, bytes] = {}
 
     def _one(self, run: str) -> bytes:
         return np.asarray(self.tokenizer.encode(run, add_special_tokens=False).ids, "<u4").tobytes()
@@ -69,47 +71,103 @@ class WordEncoder:
                 out.update((w, self._one(w.decode())) for w in part)
         return out
 
-    def learn(self, runs: set[bytes]) -> None:
+    def learn(self, runs: list[bytes], letters: list[bool]) -> None:
         if len(self.young) >= REMEMBER:
             self.old, self.young = self.young, {}
-        young, old, parted, wanted, seen = self.young, self.old, [], set(), self.old.get
-        for run in runs:
-            got = seen(run)
+        young, old, new = self.young, self.old.get, []
+        for run, plain in zip(runs, letters, strict=True):
+            got = old(run)
             if got is not None:
                 young[run] = got
-                continue
-            core, mark = (run[:-1], run[-1:]) if run[-1] in b".," else (run, b"")
-            if not (core.isalpha() if core.isascii() else core.decode().isalpha()):
-                m = LETTERS_MARKS.fullmatch(run.decode())
-                if m is None or not m[1].isalpha():
-                    young[run] = self._one(run.decode())
-                    continue
-                core, mark = m[1].encode(), m[2].encode()
-            if core.isascii():
-                core = core.lower()
-            parted.append((run, core, mark))
-            if core not in young and core not in old:
-                wanted.add(core)
-        made = self._letters(list(wanted))
-        marks = {m: self._one(m.decode()) for m in {m for _, _, m in parted} if m}
-        for run, core, mark in parted:
-            got = made.get(core) or young.get(core) or old[core]
-            young[run] = got + marks[mark] if mark else got
-        young.update(made)
-
-    def texts(self, texts: list[bytes]) -> list[bytes]:
-        """Ids of each text, one after the other."""
-        runs = [t.split() for t in texts]
-        got = [list(map(self.young.get, rs)) for rs in runs]
-        gaps = [k for k, g in enumerate(got) if None in g]
-        if gaps:
-            self.learn({r for k in gaps for r, g in zip(runs[k], got[k], strict=True) if g is None})
-            now = self.young
-            for k in gaps:
-                got[k] = [now[r] if g is None else g for r, g in zip(runs[k], got[k], strict=True)]
-        return [b"".join(g) for g in got]
+            elif plain:
+                new.append(run)
+            else:
+                young[run] = self._one(run.decode()) if run else b""
+        young.update(self._letters(new))
+
+    def words(self, words: pa.Array) -> list[bytes]:
+        """Ids of each of some different runs."""
+        low = pc.if_else(pc.string_is_ascii(words), pc.ascii_lower(words), words)
+        core = pc.utf8_rtrim(low, MARKS)
+        plain = pc.utf8_is_alpha(core)
+        coded = pc.if_else(plain, core, words).dictionary_encode()
+        bases = coded.dictionary.cast(pa.binary()).to_pylist()
+        got = list(map(self.young.get, bases))
+        missing = [k for k, g in enumerate(got) if g is None]
+        if missing:
+            letters = pc.utf8_is_alpha(coded.dictionary.take(pa.array(missing, pa.int64()))).to_pylist()
+            self.learn([bases[k] for k in missing], letters)
+            for k in missing:
+                got[k] = self.young[bases[k]]
+        out = [got[k] for k in coded.indices.to_pylist()]
+        marks = np.where(plain.to_numpy(zero_copy_only=False), (pc.binary_length(words).to_numpy(zero_copy_only=False) - pc.binary_length(core).to_numpy(zero_copy_only=False)), 0)
+        marked = np.flatnonzero(marks)
+        whole = words.take(pa.array(marked)).to_pylist()
+        for k, n, w in zip(marked.tolist(), marks[marked].tolist(), whole, strict=True):
+            out[k] += self.mark(w[-n:])
+        return out
+
+    def mark(self, marks: str) -> bytes:
+        got = self.marks.get(marks)
+        if got is None:
+            got = self._one(marks)
+            if len(marks) <= 8 and len(self.marks) < REMEMBER:
+                self.marks[marks] = got
+        return got
+
+    def flat(self, texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
+        """All ids of some texts (no nulls) end to end, and each text's number of them.
+
+        Arrow parts the texts and numbers the different runs, so Python sees each of those once; numpy lays the ids out.
+        """
+        runs = pc.ascii_split_whitespace(texts)
+        coded = runs.flatten().dictionary_encode()
+        kinds = self.words(coded.dictionary)
+        raw = np.frombuffer(b"".join(kinds), "<u4")
+        size = np.fromiter(map(len, kinds), np.int64, len(kinds)) // 4
+        start = np.cumsum(size) - size
+        of = coded.indices.to_numpy(zero_copy_only=False)
+        n = size[of]
+        upto = np.cumsum(n)
+        ids = raw[np.repeat(start[of] - (upto - n), n) + np.arange(int(upto[-1]) if len(upto) else 0)]
+        ends = np.concatenate(([0], upto))[runs.offsets.to_numpy() - runs.offsets[0].as_py()]
+        return ids, np.diff(ends)
+
+    def texts(self, texts: pa.Array, end_id: int) -> list[np.ndarray]:
+        """Ids of each text, null as empty, with the end id after them. A few megabytes are worked on at a time; a longer
+        text is cut at white space."""
+        lengths = pc.fill_null(pc.binary_length(texts), 0).to_numpy(zero_copy_only=False).astype(np.int64)
+        upto, out, a = np.cumsum(lengths), [], 0
+        while a < len(lengths):
+            b = max(a + 1, int(np.searchsorted(upto, (upto[a - 1] if a else 0) + STRETCH, side="right")))
+            part = pc.fill_null(texts.slice(a, b - a), "")
+            if b == a + 1 and lengths[a] > STRETCH:
+                parts = [self.flat(pa.array([p], pa.string()))[0] for p in stretches(part[0].as_py())]
+                out.append(np.append(np.concatenate(parts), np.uint32(end_id)))
+            else:
+                ids, n = self.flat(part)
+                ids = np.insert(ids, np.cumsum(n), end_id)
+                out += np.split(ids, np.cumsum(n + 1)[:-1])
+            a = b
+        return out
+
+
+STRETCH = 6_000_000  # bytes worked on at a time
 
 
+def stretches(text: str) -> list[str]:
+    """A long text in parts that begin at ASCII white space."""
+    out, a = [], 0
+    while a < len(text):
+        b = a + STRETCH // 2
+        m = BLANK.search(text, b) if b < len(text) else None
+        b = m.start() if m else len(text)
+        out.append(text[a:b])
+        a = b
+    return out
+
+
+BLANK = re.compile("[ \\t-\\r]")
 _ENCODERS: dict[str, WordEncoder] = {}
 
 
@@ -120,36 +178,24 @@ def encoder(path: str) -> WordEncoder:
 
 
 def _tokenized(path: str, end_id: int):
-    end = np.asarray([end_id], "<u4").tobytes()
-
     def run(batches):
         e, part, before = encoder(path), TaskContext.get().partitionId(), 0
         for batch in batches:
-            ids, counts, places, n = [], [], [], batch.num_rows
-            texts = as_bytes(batch.column(1))
-            for at in range(0, n, 256):
-                for got in e.texts(texts[at : at + 256]):
-                    got += end
-                    ids.append(got)
-                    counts.append(len(got) // 4)
-                    places.append(before)
-                    before += len(got) // 4
+            ids = e.texts(batch.column(1).cast(pa.string()), end_id)
+            counts = np.fromiter(map(len, ids), np.int64, len(ids))
+            places = before + np.cumsum(counts) - counts
+            before += int(counts.sum())
             yield pa.RecordBatch.from_arrays(
-                [batch.column(0), pa.array(np.full(n, part, np.int32)), pa.array(places, pa.int64()), pa.array(counts, pa.int64()), pa.array([_halved(x) for x in ids], pa.binary())],
+                [batch.column(0), pa.array(np.full(len(ids), part, np.int32)), pa.array(places), pa.array(counts), pa.array([x.astype("<u2").tobytes() for x in ids], pa.binary())],
                 names=["doc_id", "part", "local", "tokens", "ids"],
             )
 
     return run
 
 
-def _halved(ids: bytes) -> bytes:
-    """Ids under 65,536 in two bytes each, of which the first are the low ones: half the storage."""
-    return np.frombuffer(ids, "<u4").astype("<u2").tobytes()
-
-
 @arrow_function("long")
 def ids_crc32(ids: pa.Array) -> pa.Array:
-    """CRC-32 of two-byte ids written as unsigned 32-bit numbers."""
+    """CRC-32 of ids kept in two bytes (they are under 65,536), written as unsigned 32-bit numbers."""
     import zlib
 
     return pa.array([zlib.crc32(np.frombuffer(x, "<u2").astype("<u4").tobytes()) for x in ids.to_pylist()], pa.int64())

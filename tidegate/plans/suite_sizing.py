@@ -35,6 +35,10 @@ def most_rows(b: str, cap: str = str(TOTAL)) -> str:
     return f"least(greatest({exact}, 1), {cap})"
 
 
+def batch_sql(cap: str) -> str:
+    return f"coalesce(list_max(list_filter([2, 4, 8, 16, 32, 64, 128, 256], lambda x: k * ({cap}::DOUBLE / x) >= target)), 2)"
+
+
 @query("s1_predict_time", f"WITH {FLEET} SELECT worker_id, round(k * (2500::DOUBLE / 16), 6) AS ratio, round(k * ceil(2500::DOUBLE / 16), 6) AS whole, round(k * (2500::DOUBLE / 16) + 0.00001::DOUBLE * 2500, 6) AS affine FROM f")
 def _(spark, sf):
     k = F.col("sec_per_batch")
@@ -97,10 +101,6 @@ def _(spark, sf):
     return rows.select("worker_id", "batch_rows", F.greatest(n, F.lit(1).cast("long")).alias("n_rows"))
 
 
-def batch_sql(cap: str) -> str:
-    return f"coalesce(list_max(list_filter([2, 4, 8, 16, 32, 64, 128, 256], lambda x: k * ({cap}::DOUBLE / x) >= target)), 2)"
-
-
 @query("s7_search_batch", f"WITH {TIMES}, {BOUNDS} SELECT worker_id, {batch_sql('3000')} AS largest, CASE WHEN k * (3000::DOUBLE / 16) >= target THEN 16 ELSE least(16, {batch_sql('3000')}) END AS kept FROM o, b")
 def _(spark, sf):
     rows = searched(spark, sf, 3000)
@@ -148,7 +148,8 @@ def slowed(spark, sf):
 for resize, change in (("outliers", "t > hi OR t < lo"), ("all", "TRUE")):
 
     @query(f"s11_reallocate_{resize}", f"""WITH {SLOWED}, {BOUNDS} SELECT worker_id, CASE WHEN t > hi THEN 'straggler' WHEN t < lo THEN 'underused' ELSE 'normal' END AS status,
-CAST(CASE WHEN {change} THEN {most_rows('16')} ELSE 2500 END AS BIGINT) AS n_rows FROM o, b""")
+CAST(CASE WHEN {change} THEN {most_rows('bs')} ELSE 2500 END AS BIGINT) AS n_rows
+FROM (SELECT *, CASE WHEN k * ({TOTAL}::DOUBLE / 16) >= target THEN 16 ELSE least(16, {batch_sql(str(TOTAL))}) END AS bs FROM o, b)""")
     def _(spark, sf, resize=resize):
         f, obs = slowed(spark, sf)
         caps = f.select("worker_id", F.lit(TOTAL).cast("long").alias("cap_rows"))

@@ -296,7 +296,7 @@ class SparkLearner:
         model, seed, w_init, probe = self.model, self.seed, self.w_init, self.probe
         tasks = self.spark.sparkContext.broadcast({s.worker_id: s for s in segments})
 
-        def train(key, table: pa.Table) -> pa.Table:
+        def train(key, table):
             s = tasks.value[key[0].as_py()]
             x = table.column("features").combine_chunks().flatten().to_numpy(zero_copy_only=False).astype(np.float64).reshape(table.num_rows, -1)
             y = table.column("label").to_numpy().astype(np.int64)

@@ -120,7 +120,7 @@ def _(spark, sf):
     from tidegate.plans.trainer import load_state, save_state
 
     learner = x.tabular_learner(spark, sf)
-    run = x.compare(spark, learner, (x.GATED[1],), x.scaled(learner, x.SMALL))[0]
+    run = x.compare(spark, learner, (x.GATED[1],), x.scaled(learner, x.TABULAR))[0]
     path = f"{_shared(spark)}/state-{uuid.uuid4().hex}"
     save_state(spark, path, run)
     params, loss, version = load_state(spark, path)

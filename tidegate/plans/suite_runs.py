@@ -11,7 +11,7 @@ from tidegate.operators.sizing import deal_rows
 from tidegate.plans import experiments as x
 from tidegate.plans import metrics
 from tidegate.plans.prefetch import Prefetcher
-from tidegate.plans.trainer import Policy, TrainConfig, crashed, elastic_counts
+from tidegate.plans.trainer import Policy, crashed, elastic_counts
 from tidegate.registry import query
 from tidegate.sources import tables
 
@@ -30,7 +30,7 @@ for name, policy in RUNS.items():
     @query(name)
     def _(spark, sf, policy=policy):
         learner = x.tabular_learner(spark, sf)
-        return x.summary(spark, x.compare(spark, learner, (policy,), x.scaled(learner, x.SMALL)), workload="lineitem")
+        return x.summary(spark, x.compare(spark, learner, (policy,), x.scaled(learner, x.TABULAR)), workload="lineitem")
 
 
 @query("b4_elastic_barrier")
@@ -58,7 +58,7 @@ def _(spark, sf):
 @query("b6_static_sizes_run")
 def _(spark, sf):
     learner = x.tabular_learner(spark, sf)
-    return x.summary(spark, x.compare(spark, learner, (x.GATED[1],), replace(x.scaled(learner, x.SMALL), sizing=False), tag="_static"), workload="lineitem")
+    return x.summary(spark, x.compare(spark, learner, (x.GATED[1],), replace(x.scaled(learner, x.TABULAR), sizing=False), tag="_static"), workload="lineitem")
 
 
 @query("b7_crash", "SELECT * FROM (VALUES (0, 'B1ms', 2), (1, 'B1ms', 2), (2, 'F2s_v2', 4), (3, 'F2s_v2', 4), (4, 'F2s_v2', 4)) t(worker_id, family, mem_gb)")
@@ -86,14 +86,14 @@ def _(spark, sf):
 @query("x1_image_frameworks")
 def _(spark, sf):
     learner = x.image_learner(spark, sf)
-    cfg = replace(x.scaled(learner, x.SMALL, 0.2), max_merges=60, max_iterations=1500, max_segment=20, precision="mixed")
+    cfg = replace(x.scaled(learner, x.SMALL, 0.2), epochs=8, max_merges=40, max_iterations=1500, max_segment=20, precision="mixed")
     return _closing(learner, x.summary(spark, x.compare(spark, learner, x.ALL, cfg), workload="embeddings"))
 
 
 @query("x1_image_cnn")
 def _(spark, sf):
     learner = x.image_learner(spark, sf, "cnn")
-    cfg = replace(x.scaled(learner, x.SMALL, 0.2), max_merges=40, max_iterations=600, max_segment=15)
+    cfg = replace(x.scaled(learner, x.SMALL, 0.2), epochs=8, max_merges=25, max_iterations=600, max_segment=15)
     return _closing(learner, x.summary(spark, x.compare(spark, learner, (x.BSP, x.GATED[2]), cfg), workload="embeddings"))
 
 
@@ -101,7 +101,7 @@ def _(spark, sf):
 def _(spark, sf):
     """The large model's settings; elastic barriers lose the workers whose memory its benchmark exceeds, and end."""
     learner = x.text_learner(spark, sf)
-    cfg = replace(x.scaled(learner, x.LARGE, 0.2), lr=0.02, max_merges=40, max_iterations=1200, max_segment=20)
+    cfg = replace(x.scaled(learner, x.LARGE, 0.2), lr=0.02, max_merges=30, max_iterations=1200, max_segment=20)
     policies = (x.BSP, x.ASP, x.SSP, *x.with_quiet(x.GATED[2:], 15))
     return _closing(learner, x.summary(spark, x.compare(spark, learner, policies, cfg), workload="documents"))
 
@@ -115,13 +115,13 @@ def _closing(learner, df):
 @query("x3_tabular_frameworks")
 def _(spark, sf):
     learner = x.tabular_learner(spark, sf)
-    return x.summary(spark, x.compare(spark, learner, (*x.ALL, x.GRADIENT), x.scaled(learner, x.SMALL)), workload="lineitem")
+    return x.summary(spark, x.compare(spark, learner, (*x.ALL, x.GRADIENT), x.scaled(learner, x.TABULAR)), workload="lineitem")
 
 
 @query("x4_straggler_waits")
 def _(spark, sf):
     learner = x.tabular_learner(spark, sf)
-    log, _, _ = x.logs(spark, x.compare(spark, learner, (x.BSP,), x.scaled(learner, x.SMALL)))
+    log, _, _ = x.logs(spark, x.compare(spark, learner, (x.BSP,), x.scaled(learner, x.TABULAR)))
     waits = metrics.wait_times(log).groupBy("worker_id").agg(F.round(F.avg("wait"), 4).alias("mean_wait"))
     gaps = metrics.train_times(log).groupBy("worker_id").agg(F.round(F.avg("gap"), 4).alias("mean_gap"))
     return waits.join(gaps, "worker_id").join(tables.fleet(spark).select("worker_id", "family"), "worker_id")
@@ -130,14 +130,14 @@ def _(spark, sf):
 @query("x5_trajectory")
 def _(spark, sf):
     learner = x.tabular_learner(spark, sf)
-    return x.logs(spark, x.compare(spark, learner, (x.GATED[1],), x.scaled(learner, x.SMALL)))[1]
+    return x.logs(spark, x.compare(spark, learner, (x.GATED[1],), x.scaled(learner, x.TABULAR)))[1]
 
 
 @query("x6_stabilised_times")
 def _(spark, sf):
     """Spread of iteration times before and after sizing, by each worker's first and last size."""
     learner = x.tabular_learner(spark, sf)
-    obs = x.logs(spark, x.compare(spark, learner, (x.GATED[1],), x.scaled(learner, x.SMALL)))[2]
+    obs = x.logs(spark, x.compare(spark, learner, (x.GATED[1],), replace(x.scaled(learner, x.TABULAR), apply_sizes="next_iteration", max_segment=5)))[2]
     ends = obs.groupBy("worker_id").agg(F.min_by("t_train", "iter").alias("first"), F.max_by("t_train", "iter").alias("last"))
     both = ends.select(F.explode(F.array(F.struct(F.lit("first").alias("iter"), F.col("first").alias("t_train")), F.struct(F.lit("last").alias("iter"), F.col("last").alias("t_train")))).alias("r")).select("r.*")
     return metrics.time_spread(both)
@@ -146,20 +146,20 @@ def _(spark, sf):
 @query("x7_weakest_worker")
 def _(spark, sf):
     learner = x.tabular_learner(spark, sf)
-    cfg = replace(x.scaled(learner, x.SMALL), slow=(0, 12, 1.6), resize_every=20, max_resizes=5)
+    cfg = replace(x.scaled(learner, x.TABULAR), slow=(0, 12, 1.6), resize_every=20, max_resizes=5, apply_sizes="next_iteration", max_segment=5)
     return metrics.size_trace(x.logs(spark, x.compare(spark, learner, (x.GATED[1],), cfg))[2], 0)
 
 
 @query("x8_marks_and_steps")
 def _(spark, sf):
     learner = x.tabular_learner(spark, sf)
-    return metrics.accuracy_steps(x.logs(spark, x.compare(spark, learner, (x.GATED[1],), x.scaled(learner, x.SMALL)))[1])
+    return metrics.accuracy_steps(x.logs(spark, x.compare(spark, learner, (x.GATED[1],), x.scaled(learner, x.TABULAR)))[1])
 
 
 @query("x14_ablation")
 def _(spark, sf):
     learner = x.tabular_learner(spark, sf)
-    cfg = x.scaled(learner, x.SMALL)
+    cfg = x.scaled(learner, x.TABULAR)
     runs = x.compare(spark, learner, (x.BSP, x.GATED[1]), cfg)
     for tag, change in (("_no_sizing", {"sizing": False}), ("_equal_merge", {"merge": "equal"}), ("_no_prefetch", {"prefetch": False}), ("_half", {"precision": "mixed"}), ("_worker_loss", {"loss_source": "worker"})):
         runs += x.compare(spark, learner, (x.GATED[1],), replace(cfg, **change), tag=tag)
@@ -170,7 +170,7 @@ def _(spark, sf):
 @query("x15_merge_rules")
 def _(spark, sf):
     learner = x.tabular_learner(spark, sf)
-    cfg = x.scaled(learner, x.SMALL)
+    cfg = x.scaled(learner, x.TABULAR)
     runs = x.compare(spark, learner, (x.GATED[1],), cfg, tag="_weighted") + x.compare(spark, learner, (x.GATED[1],), replace(cfg, merge="equal"), tag="_equal") + x.compare(spark, learner, (x.BSP,), cfg)
     return x.summary(spark, runs, workload="lineitem")
 
@@ -178,14 +178,14 @@ def _(spark, sf):
 @query("x16_communication")
 def _(spark, sf):
     learner = x.tabular_learner(spark, sf)
-    log, _, _ = x.logs(spark, x.compare(spark, learner, x.ALL, x.scaled(learner, x.SMALL)))
+    log, _, _ = x.logs(spark, x.compare(spark, learner, x.ALL, x.scaled(learner, x.TABULAR)))
     return metrics.comm_reduction(metrics.total_calls(log), "ssp_125")
 
 
 @query("x17_accuracy_spread")
 def _(spark, sf):
     learner = x.tabular_learner(spark, sf)
-    cfg = replace(x.scaled(learner, x.SMALL), sizing=False)
+    cfg = replace(x.scaled(learner, x.TABULAR), sizing=False)
     runs = [r for z, b in tables.GRID for r in x.compare(spark, learner, (Policy("gated", GateParams(z_cut=z, relax=b)),), cfg)]
     acc = spark.createDataFrame([(r.run_id, float(r.accuracy)) for r in runs], "run_id string, accuracy double")
     return acc.agg(F.count(F.lit(1)).alias("runs"), F.min("accuracy").alias("least"), F.max("accuracy").alias("most"), (100 * (F.max("accuracy") - F.min("accuracy"))).alias("spread_points"))
@@ -196,6 +196,6 @@ def _(spark, sf):
     runs = []
     for seed in (1, 2, 3):
         learner = x.tabular_learner(spark, sf, seed)
-        runs += [(p.name, s) for p in (x.BSP, x.GATED[2]) for s in x.compare(spark, learner, (p,), x.scaled(learner, TrainConfig(seed=seed)), tag=f"#{seed}")]
+        runs += [(p.name, s) for p in (x.BSP, x.GATED[2]) for s in x.compare(spark, learner, (p,), x.scaled(learner, replace(x.TABULAR, seed=seed)), tag=f"#{seed}")]
     rows = [(name, r.accuracy, r.log[-1][2] / 60) for name, r in runs]
     return metrics.mean_of_runs(spark.createDataFrame(rows, "config string, accuracy double, minutes double"), "config", ["accuracy", "minutes"])

@@ -201,7 +201,7 @@ def _(spark, sf):
     return b.agg(F.count(F.lit(1)).alias("workers"), F.round(F.sum("cost"), 4).alias("probe_seconds"), (F.count(F.lit(1)) * 3 * 16).alias("search_steps"), (F.count(F.lit(1)) * 8).alias("brute_steps"))
 
 
-@query("x13_fleet_spread", f"WITH {TIMES}, {BOUNDS} SELECT round(stddev_pop(t) / avg(t), 6) AS cv_before, round(stddev_pop(t2) / avg(t2), 4) AS cv_after FROM (SELECT t, k * ({most_rows('16')}::DOUBLE / 16) AS t2 FROM o, b)")
+@query("x13_fleet_spread", f"WITH {TIMES}, {BOUNDS} SELECT round(stddev_pop(t) / avg(t), 6) AS cv_before, round(stddev_pop(t2) / avg(t2), 4) AS cv_after FROM (SELECT t, k * ({most_rows('bs')}::DOUBLE / bs) AS t2 FROM (SELECT *, CASE WHEN k * ({TOTAL}::DOUBLE / 16) >= target THEN 16 ELSE least(16, {batch_sql(str(TOTAL))}) END AS bs FROM o, b))")
 def _(spark, sf):
     s = searched(spark, sf)
     both = s.select("worker_id", "t_train").join(sizing.dual_search(s, TOTAL), "worker_id")

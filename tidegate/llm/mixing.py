@@ -24,7 +24,7 @@ from pyspark.sql import functions as F
 
 from tidegate.llm.common import WORD, stored
 
-CHUNK_ROWS = 5_000
+CHUNK_ROWS = 1_000
 
 
 def row_key() -> Column:
@@ -128,7 +128,8 @@ def mix(docs: DataFrame, weights=(5.0, 2.0, 1.0), share=1.5, most=2.0, block: in
     placed = stored(placed, "mix-places")
     first, end = F.expr(f"at div {block}"), F.expr(f"(at + size - 1) div {block}")
     parts = placed.where("size > 0").select("source_no", "rank", "at", "size", F.explode(F.sequence(first, end)).alias("block_no"))
-    j = parts.join(taken, ["source_no", "block_no"])
+    # slots are made from a few rows, which hides from the planner how many there are: without the hint it would broadcast them
+    j = parts.join(taken.hint("merge"), ["source_no", "block_no"])
     lo = F.greatest(F.lit(0), F.col("block_no") * block - F.col("at"))
     hi = F.least(F.col("size"), F.col("block_no") * block + F.col("upto") - F.col("at"))
     return placed, j.select("source_no", "rank", "pass", lo.cast("long").alias("lo"), hi.cast("long").alias("hi"), "shard").where("hi > lo")

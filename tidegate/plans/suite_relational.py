@@ -15,7 +15,11 @@ from tidegate.sources import tables
 from tidegate.sources.tables import load
 
 C = F.col
-COUNT = F.count(F.lit(1))
+
+
+def count_all():
+    return F.count(F.lit(1))
+
 
 
 def events(spark, sf, *more):
@@ -24,7 +28,12 @@ def events(spark, sf, *more):
 
 
 EV = "e AS (SELECT *, CAST(user_id % 12 AS INTEGER) AS w FROM events)"
-BY = Window.partitionBy("w").orderBy("ts", "event_id")
+
+
+def by_worker():
+    return Window.partitionBy("w").orderBy("ts", "event_id")
+
+
 WIN = "(PARTITION BY w ORDER BY ts, event_id)"
 
 
@@ -39,7 +48,7 @@ def r6(c, name):
 def _(spark, sf):
     out = None
     for t in tables.TABLES:
-        one = load(spark, sf, t).agg(COUNT.alias("n")).select(F.lit(t).alias("name"), "n")
+        one = load(spark, sf, t).agg(count_all().alias("n")).select(F.lit(t).alias("name"), "n")
         out = one if out is None else out.unionByName(one)
     return out
 
@@ -68,7 +77,7 @@ def _(spark, sf):
 
 @query("r6_split", "SELECT CASE WHEN doc_id % 20 >= 17 THEN 'test' ELSE 'train' END AS split, count(*) AS n FROM documents GROUP BY 1")
 def _(spark, sf):
-    return tables.with_split(load(spark, sf, "documents", ["doc_id"]), C("doc_id")).groupBy("split").agg(COUNT.alias("n"))
+    return tables.with_split(load(spark, sf, "documents", ["doc_id"]), C("doc_id")).groupBy("split").agg(count_all().alias("n"))
 
 
 @query("r7_loss_series", "SELECT CAST(user_id % 12 AS INTEGER) AS worker_id, row_number() OVER (PARTITION BY user_id % 12 ORDER BY ts, event_id) AS iter, round(0.1::DOUBLE + 2.2::DOUBLE * exp(-(row_number() OVER (PARTITION BY user_id % 12 ORDER BY ts, event_id))::DOUBLE / 40) + 0.002::DOUBLE * value, 6) AS loss FROM events")
@@ -97,7 +106,7 @@ for form in ("parquet", "json", "csv"):
         tables.save(o, path, form, ["o_orderstatus"])
         reader = spark.read.schema(o.schema).format(form)
         back = (reader.option("header", True) if form == "csv" else reader).load(path)
-        return back.groupBy("o_orderstatus").agg(COUNT.alias("n"), F.round(F.sum("o_totalprice"), 2).alias("total"))
+        return back.groupBy("o_orderstatus").agg(count_all().alias("n"), F.round(F.sum("o_totalprice"), 2).alias("total"))
 
 
 @query("r11_bucketed_join", "SELECT count(*) AS n, round(sum(l_quantity), 2) AS quantity FROM lineitem JOIN orders ON l_orderkey = o_orderkey")
@@ -107,7 +116,7 @@ def _(spark, sf):
         tables.save_bucketed(load(spark, sf, "lineitem", ["l_orderkey", "l_quantity"]), a, "l_orderkey", 8)
         tables.save_bucketed(load(spark, sf, "orders", ["o_orderkey"]), b, "o_orderkey", 8)
         j = spark.table(a).hint("merge").join(spark.table(b), C("l_orderkey") == C("o_orderkey"))
-        rows = j.agg(COUNT.alias("n"), F.round(F.sum("l_quantity"), 2).alias("quantity")).collect()  # one row
+        rows = j.agg(count_all().alias("n"), F.round(F.sum("l_quantity"), 2).alias("quantity")).collect()  # one row
     finally:
         for t in (a, b):
             spark.sql(f"DROP TABLE IF EXISTS {t}")
@@ -152,7 +161,7 @@ def _(spark, sf):
 
 @query("r18_null_handling", f"WITH {EV}, l AS (SELECT event_id, lag(value) OVER {WIN} AS b, nullif(event_type, 'error') AS t FROM e) SELECT event_id, coalesce(b, -1.0) AS b, t IS NULL AS gone, b IS NOT DISTINCT FROM NULL AS first FROM l")
 def _(spark, sf):
-    e = events(spark, sf).withColumn("b", F.lag("value").over(BY))
+    e = events(spark, sf).withColumn("b", F.lag("value").over(by_worker()))
     return e.select("event_id", F.coalesce("b", F.lit(-1.0)).alias("b"), F.nullif(C("event_type"), F.lit("error")).isNull().alias("gone"), C("b").eqNullSafe(F.lit(None)).alias("first"))
 
 
@@ -173,19 +182,19 @@ def _(spark, sf):
 def _(spark, sf):
     s = load(spark, sf, "supplier", ["s_suppkey", "s_nationkey"])
     small = F.broadcast(s) if s.count() <= 1_000_000 else s  # a size that is checked
-    return load(spark, sf, "lineitem", ["l_suppkey", "l_quantity"]).join(small, C("l_suppkey") == C("s_suppkey")).groupBy("s_nationkey").agg(COUNT.alias("n"), F.round(F.sum("l_quantity"), 2).alias("q"))
+    return load(spark, sf, "lineitem", ["l_suppkey", "l_quantity"]).join(small, C("l_suppkey") == C("s_suppkey")).groupBy("s_nationkey").agg(count_all().alias("n"), F.round(F.sum("l_quantity"), 2).alias("q"))
 
 
 @query("r22_sort_merge_join", "SELECT o_orderpriority, count(*) AS n FROM lineitem JOIN orders ON l_orderkey = o_orderkey GROUP BY 1")
 def _(spark, sf):
     o = load(spark, sf, "orders", ["o_orderkey", "o_orderpriority"]).hint("merge")
-    return load(spark, sf, "lineitem", ["l_orderkey"]).join(o, C("l_orderkey") == C("o_orderkey")).groupBy("o_orderpriority").agg(COUNT.alias("n"))
+    return load(spark, sf, "lineitem", ["l_orderkey"]).join(o, C("l_orderkey") == C("o_orderkey")).groupBy("o_orderpriority").agg(count_all().alias("n"))
 
 
 @query("r23_shuffle_hash_join", "SELECT c_mktsegment, count(*) AS n, round(sum(o_totalprice), 2) AS total FROM orders JOIN customer ON o_custkey = c_custkey GROUP BY 1")
 def _(spark, sf):
     c = load(spark, sf, "customer", ["c_custkey", "c_mktsegment"]).hint("shuffle_hash")
-    return load(spark, sf, "orders", ["o_custkey", "o_totalprice"]).join(c, C("o_custkey") == C("c_custkey")).groupBy("c_mktsegment").agg(COUNT.alias("n"), F.round(F.sum("o_totalprice"), 2).alias("total"))
+    return load(spark, sf, "orders", ["o_custkey", "o_totalprice"]).join(c, C("o_custkey") == C("c_custkey")).groupBy("c_mktsegment").agg(count_all().alias("n"), F.round(F.sum("o_totalprice"), 2).alias("total"))
 
 
 @query("r24_cross_with_choices", "SELECT s_suppkey, b FROM supplier, (SELECT unnest([2, 4, 8, 16, 32, 64, 128, 256]) AS b)")
@@ -205,7 +214,7 @@ RANGES = "g(k, lo, hi) AS (SELECT k, k * 5 + 1, k * 5 + 6 FROM range(10) t(k))"
 @query("r26_range_join", f"WITH {RANGES} SELECT k, count(*) AS n FROM lineitem JOIN g ON l_quantity >= lo AND l_quantity < hi GROUP BY 1")
 def _(spark, sf):
     g = spark.range(10).select(C("id").alias("k"), (C("id") * 5 + 1).alias("lo"), (C("id") * 5 + 6).alias("hi"))
-    return load(spark, sf, "lineitem", ["l_quantity"]).join(F.broadcast(g), (C("l_quantity") >= C("lo")) & (C("l_quantity") < C("hi"))).groupBy("k").agg(COUNT.alias("n"))  # ten ranges
+    return load(spark, sf, "lineitem", ["l_quantity"]).join(F.broadcast(g), (C("l_quantity") >= C("lo")) & (C("l_quantity") < C("hi"))).groupBy("k").agg(count_all().alias("n"))  # ten ranges
 
 
 @query("r27_interval_join", "SELECT epoch_us(ts) // 21600000000 AS tick, count(*) AS n FROM events GROUP BY 1")
@@ -213,7 +222,7 @@ def _(spark, sf):
     e = events(spark, sf).withColumn("us", F.unix_micros(C("ts").cast("timestamp"))).withColumn("bin", F.floor(C("us") / 21600000000))
     ticks = e.select("bin").distinct().select(C("bin").alias("tick"), (C("bin") * 21600000000).alias("start"), ((C("bin") + 1) * 21600000000).alias("end"))
     # the bin makes the interval an equality, and the interval is then checked
-    return e.join(ticks, (C("bin") == C("tick")) & (C("us") >= C("start")) & (C("us") < C("end"))).groupBy("tick").agg(COUNT.alias("n"))
+    return e.join(ticks, (C("bin") == C("tick")) & (C("us") >= C("start")) & (C("us") < C("end"))).groupBy("tick").agg(count_all().alias("n"))
 
 
 @query("r28_asof_backward", "SELECT p.event_id, v.event_id AS view_id FROM (SELECT * FROM events WHERE event_type = 'purchase') p ASOF LEFT JOIN (SELECT event_id, user_id, ts FROM events WHERE event_type = 'view') v ON p.user_id = v.user_id AND p.ts >= v.ts")
@@ -242,13 +251,13 @@ def _(spark, sf):
 
 @query("r32_left_join", "SELECT s_suppkey, count(l_suppkey) AS n FROM supplier LEFT JOIN (SELECT l_suppkey FROM lineitem WHERE l_quantity = 50) ON s_suppkey = l_suppkey GROUP BY 1")
 def _(spark, sf):
-    n = load(spark, sf, "lineitem", ["l_suppkey"], "l_quantity = 50").groupBy("l_suppkey").agg(COUNT.alias("n"))
+    n = load(spark, sf, "lineitem", ["l_suppkey"], "l_quantity = 50").groupBy("l_suppkey").agg(count_all().alias("n"))
     return load(spark, sf, "supplier", ["s_suppkey"]).join(n, C("s_suppkey") == C("l_suppkey"), "left").select("s_suppkey", F.coalesce("n", F.lit(0)).cast("long").alias("n"))
 
 
 @query("r32_full_join", "SELECT coalesce(a.k, b.k) AS k, a.n AS views, b.n AS clicks FROM (SELECT user_id AS k, count(*) AS n FROM events WHERE event_type = 'view' AND value > 100 GROUP BY 1) a FULL JOIN (SELECT user_id AS k, count(*) AS n FROM events WHERE event_type = 'click' AND value > 100 GROUP BY 1) b ON a.k = b.k")
 def _(spark, sf):
-    of = lambda t, n: events(spark, sf).where((C("event_type") == t) & (C("value") > 100)).groupBy(C("user_id").alias("k")).agg(COUNT.alias(n))
+    of = lambda t, n: events(spark, sf).where((C("event_type") == t) & (C("value") > 100)).groupBy(C("user_id").alias("k")).agg(count_all().alias(n))
     return of("view", "views").join(of("click", "clicks"), "k", "full")
 
 
@@ -263,7 +272,7 @@ def _(spark, sf):
 
 @query("r36_hash_aggregate", "SELECT l_suppkey, count(*) AS n, round(sum(l_quantity), 2) AS s, round(avg(l_discount), 6) AS a, min(l_tax) AS lo, max(l_tax) AS hi FROM lineitem GROUP BY 1")
 def _(spark, sf):
-    return load(spark, sf, "lineitem").groupBy("l_suppkey").agg(COUNT.alias("n"), F.round(F.sum("l_quantity"), 2).alias("s"), r6(F.avg("l_discount"), "a"), F.min("l_tax").alias("lo"), F.max("l_tax").alias("hi"))
+    return load(spark, sf, "lineitem").groupBy("l_suppkey").agg(count_all().alias("n"), F.round(F.sum("l_quantity"), 2).alias("s"), r6(F.avg("l_discount"), "a"), F.min("l_tax").alias("lo"), F.max("l_tax").alias("hi"))
 
 
 @query("r37_ordered_collect", f"WITH {EV} SELECT w, string_agg(event_type, ',' ORDER BY ts, event_id) AS types, arg_max(event_type, event_id) AS last FROM e WHERE value > 150 GROUP BY 1")
@@ -312,17 +321,17 @@ def _(spark, sf):
 @query("r45_rollup", "SELECT n_regionkey, s_nationkey, CAST(grouping(n_regionkey, s_nationkey) AS INTEGER) AS level, count(*) AS n FROM supplier JOIN nation ON s_nationkey = n_nationkey GROUP BY ROLLUP (n_regionkey, s_nationkey)")
 def _(spark, sf):
     n = load(spark, sf, "nation", ["n_nationkey", "n_regionkey"])
-    return load(spark, sf, "supplier", ["s_nationkey"]).join(n, C("s_nationkey") == C("n_nationkey")).rollup("n_regionkey", "s_nationkey").agg(F.grouping_id().cast("int").alias("level"), COUNT.alias("n"))
+    return load(spark, sf, "supplier", ["s_nationkey"]).join(n, C("s_nationkey") == C("n_nationkey")).rollup("n_regionkey", "s_nationkey").agg(F.grouping_id().cast("int").alias("level"), count_all().alias("n"))
 
 
 @query("r46_cube", "SELECT event_type, CAST(day(ts) AS INTEGER) AS d, count(*) AS n FROM events GROUP BY CUBE (event_type, CAST(day(ts) AS INTEGER))")
 def _(spark, sf):
-    return events(spark, sf).withColumn("d", F.dayofmonth("ts")).cube("event_type", "d").agg(COUNT.alias("n"))
+    return events(spark, sf).withColumn("d", F.dayofmonth("ts")).cube("event_type", "d").agg(count_all().alias("n"))
 
 
 @query("r47_grouping_sets", "SELECT o_orderstatus, o_orderpriority, count(*) AS n FROM orders GROUP BY GROUPING SETS ((o_orderstatus), (o_orderpriority), ())")
 def _(spark, sf):
-    return load(spark, sf, "orders").groupingSets([["o_orderstatus"], ["o_orderpriority"], []], "o_orderstatus", "o_orderpriority").agg(COUNT.alias("n"))
+    return load(spark, sf, "orders").groupingSets([["o_orderstatus"], ["o_orderpriority"], []], "o_orderstatus", "o_orderpriority").agg(count_all().alias("n"))
 
 
 TYPES = ("click", "error", "purchase", "signup", "view")
@@ -330,7 +339,7 @@ TYPES = ("click", "error", "purchase", "signup", "view")
 
 @query("r48_pivot", f"WITH {EV} SELECT w, " + ", ".join(f"count(*) FILTER (event_type = '{t}') AS {t}" for t in TYPES) + " FROM e GROUP BY 1")
 def _(spark, sf):
-    return events(spark, sf).groupBy("w").pivot("event_type", list(TYPES)).agg(COUNT).na.fill(0)
+    return events(spark, sf).groupBy("w").pivot("event_type", list(TYPES)).agg(count_all()).na.fill(0)
 
 
 @query("r48_unpivot", "SELECT l_linenumber AS k, name, round(v, 4) AS v FROM (SELECT l_linenumber, avg(l_quantity) AS quantity, avg(l_tax) AS tax FROM lineitem GROUP BY 1) UNPIVOT (v FOR name IN (quantity, tax))")
@@ -341,7 +350,7 @@ def _(spark, sf):
 
 @query("r49_having", "SELECT l_suppkey, count(*) AS n FROM lineitem GROUP BY 1 HAVING count(*) > 610")
 def _(spark, sf):
-    return load(spark, sf, "lineitem", ["l_suppkey"]).groupBy("l_suppkey").agg(COUNT.alias("n")).where("n > 610")
+    return load(spark, sf, "lineitem", ["l_suppkey"]).groupBy("l_suppkey").agg(count_all().alias("n")).where("n > 610")
 
 
 @query("r50_vector_aggregate", "SELECT label, round(sum(embedding[i]::DOUBLE * i), 5) AS s FROM embeddings, range(1, 65) t(i) GROUP BY 1")
@@ -355,23 +364,23 @@ def _(spark, sf):
 
 @query("r51_numbering", f"WITH {EV} SELECT event_id, row_number() OVER {WIN} AS k FROM e")
 def _(spark, sf):
-    return events(spark, sf).select("event_id", F.row_number().over(BY).cast("long").alias("k"))
+    return events(spark, sf).select("event_id", F.row_number().over(by_worker()).cast("long").alias("k"))
 
 
 @query("r52_ranking", f"WITH {EV} SELECT event_id, rank() OVER v AS r, dense_rank() OVER v AS d, round(percent_rank() OVER v, 6) AS p, round(cume_dist() OVER v, 6) AS c, ntile(4) OVER {WIN} AS q FROM e WINDOW v AS (PARTITION BY w ORDER BY round(value))")
 def _(spark, sf):
     v = Window.partitionBy("w").orderBy(F.round("value"))
-    return events(spark, sf).select("event_id", F.rank().over(v).cast("long").alias("r"), F.dense_rank().over(v).cast("long").alias("d"), r6(F.percent_rank().over(v), "p"), r6(F.cume_dist().over(v), "c"), F.ntile(4).over(BY).cast("long").alias("q"))
+    return events(spark, sf).select("event_id", F.rank().over(v).cast("long").alias("r"), F.dense_rank().over(v).cast("long").alias("d"), r6(F.percent_rank().over(v), "p"), r6(F.cume_dist().over(v), "c"), F.ntile(4).over(by_worker()).cast("long").alias("q"))
 
 
 @query("r53_offsets", f"WITH {EV} SELECT event_id, lag(value) OVER {WIN} AS b, lead(value, 2) OVER {WIN} AS a FROM e")
 def _(spark, sf):
-    return events(spark, sf).select("event_id", F.lag("value").over(BY).alias("b"), F.lead("value", 2).over(BY).alias("a"))
+    return events(spark, sf).select("event_id", F.lag("value").over(by_worker()).alias("b"), F.lead("value", 2).over(by_worker()).alias("a"))
 
 
 @query("r54_ends", f"WITH {EV} SELECT event_id, first_value(value) OVER f AS a, last_value(value) OVER f AS z, nth_value(value, 3) OVER f AS third FROM e WINDOW f AS (PARTITION BY w ORDER BY ts, event_id ROWS BETWEEN UNBOUNDED PRECEDING AND UNBOUNDED FOLLOWING)")
 def _(spark, sf):
-    f = BY.rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)
+    f = by_worker().rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)
     return events(spark, sf).select("event_id", F.first_value("value").over(f).alias("a"), F.last_value("value").over(f).alias("z"), F.nth_value("value", 3).over(f).alias("third"))
 
 
@@ -379,13 +388,13 @@ for name, (a, b, frame) in {"r55_preceding_frame": (-10, -1, "10 PRECEDING AND 1
 
     @query(name, f"WITH {EV} SELECT event_id, round(sum(value) OVER f, 4) AS s, count(*) OVER f AS n, max(value) OVER f AS hi FROM e WINDOW f AS (PARTITION BY w ORDER BY ts, event_id ROWS BETWEEN {frame})")
     def _(spark, sf, a=a, b=b):
-        f = BY.rowsBetween(a, b)
+        f = by_worker().rowsBetween(a, b)
         return events(spark, sf).select("event_id", F.round(F.sum("value").over(f), 4).alias("s"), F.count(F.lit(1)).over(f).alias("n"), F.max("value").over(f).alias("hi"))
 
 
 @query("r58_since_best", f"WITH {EV}, b AS (SELECT event_id, ts, w, min(value) OVER {WIN} AS best FROM e) SELECT event_id, best, count(*) OVER (PARTITION BY w, best ORDER BY ts, event_id) - 1 AS since FROM b")
 def _(spark, sf):
-    b = events(spark, sf).withColumn("best", F.min("value").over(BY))
+    b = events(spark, sf).withColumn("best", F.min("value").over(by_worker()))
     return b.select("event_id", "best", (F.count(F.lit(1)).over(Window.partitionBy("w", "best").orderBy("ts", "event_id")) - 1).alias("since"))
 
 
@@ -511,7 +520,7 @@ def _(spark, sf):
 
 @query("r76_maps", f"WITH {EV}, c AS (SELECT w, event_type, count(*) AS n FROM e GROUP BY 1, 2) SELECT w, count(*) AS kinds, max(n) FILTER (event_type = 'view') AS views, CAST(sum(n) FILTER (n > 150) AS BIGINT) AS many FROM c GROUP BY 1")
 def _(spark, sf):
-    g = events(spark, sf).groupBy("w", "event_type").agg(COUNT.alias("n")).groupBy("w").agg(F.map_from_entries(F.collect_list(F.struct("event_type", "n"))).alias("m"))
+    g = events(spark, sf).groupBy("w", "event_type").agg(count_all().alias("n")).groupBy("w").agg(F.map_from_entries(F.collect_list(F.struct("event_type", "n"))).alias("m"))
     many = F.aggregate(F.map_values(F.map_filter("m", lambda k, v: v > 150)), F.lit(0).cast("long"), lambda s, x: s + x)
     return g.select("w", F.size(F.map_keys("m")).cast("long").alias("kinds"), F.element_at("m", "view").alias("views"), F.nullif(many, F.lit(0)).alias("many"))
 

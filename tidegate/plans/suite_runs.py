@@ -199,3 +199,21 @@ def _(spark, sf):
         runs += [(p.name, s) for p in (x.BSP, x.GATED[2]) for s in x.compare(spark, learner, (p,), x.scaled(learner, replace(x.TABULAR, seed=seed)), tag=f"#{seed}")]
     rows = [(name, r.accuracy, r.log[-1][2] / 60) for name, r in runs]
     return metrics.mean_of_runs(spark.createDataFrame(rows, "config string, accuracy double, minutes double"), "config", ["accuracy", "minutes"])
+
+
+@query("a8_local_training")
+def _(spark, sf):
+    """Each worker trains alone on its shard from the common start: its losses by iteration."""
+    from tidegate.plans.learners import Segment
+
+    learner = x.image_learner(spark, sf)
+    try:
+        rows = []
+        for momentum in (0.0, 0.9):
+            segments = [Segment(w[0], learner.w_init * 0, 100, 16, epochs=4, length=1, lr=0.1 * (1 - momentum), momentum=momentum) for w in tables.fleet_rows()]
+            for it in range(3):
+                segments = [replace(s, losses=[], zs=[], fired=False) for s in learner.run(segments)]
+                rows += [(momentum, it + 1, s.worker_id, float(learner.evaluate(learner.w_init - s.lr * s.acc)[0])) for s in segments]
+    finally:
+        learner.close()
+    return spark.createDataFrame(rows, "momentum double, iter int, worker_id int, loss double")

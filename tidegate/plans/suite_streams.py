@@ -133,3 +133,53 @@ def _(spark, sf):
     each = lambda df, batch: df.write.mode("overwrite").parquet(os.path.join(base, "out", f"batch={batch}"))  # noqa: E731  a batch run again overwrites itself
     tables.start(tables.events_stream(spark, sf).select("event_id", "event_type"), "foreachBatch", f"{base}/checkpoint", each=each).awaitTermination()
     return spark.read.parquet(f"{base}/out").groupBy("event_type").agg(F.count(F.lit(1)).alias("n"))
+
+
+@query("r12_stream_sinks", "SELECT event_type, count(*) AS n FROM events GROUP BY 1")
+def _(spark, sf):
+    s = tables.events_stream(spark, sf).select("event_id", "event_type")
+    rows = drained(spark, s).unionByName(drained(spark, s, "update"))  # files and memory
+    return rows.groupBy("event_type").agg((F.count(F.lit(1)) / 2).cast("long").alias("n"))
+
+
+def late_files(spark, sf, files: int = 6) -> str:
+    """events as files in order of time, with every 50th row two files late (a batch drops what is behind the watermark of
+    the batch before it); returns their folder."""
+    base = f"{_shared(spark)}/late-{uuid.uuid4().hex}"
+    e = tables.load(spark, sf, "events", ["event_id", "ts", "user_id", "value"])
+    top = e.agg(F.max("event_id")).first()[0] or 0
+    part = F.least(F.floor(F.col("event_id") * files / (top + 1)) + 2 * (F.col("event_id") % 50 == 7).cast("int"), F.lit(files - 1))
+    for k in range(files):
+        e.where(part == k).coalesce(1).write.mode("append").parquet(f"{base}/in")
+    return base
+
+
+def late_stream(spark, base: str):
+    raw = spark.readStream.schema("event_id long, ts timestamp_ntz, user_id long, value double").option("maxFilesPerTrigger", 1).parquet(f"{base}/in")
+    return raw.withColumn("ts", F.col("ts").cast("timestamp"))
+
+
+@query("r80_watermark_append")
+def _(spark, sf):
+    from tidegate.streaming.alarms import tick_counts
+
+    return drained(spark, tick_counts(late_stream(spark, late_files(spark, sf)))).select(F.floor(F.unix_micros("start") / 21600000000).alias("tick"), "n")
+
+
+@query("r87_late_rows")
+def _(spark, sf):
+    from tidegate.streaming.alarms import dropped_rows, tick_counts
+
+    base = late_files(spark, sf)
+    q = tables.start(tick_counts(late_stream(spark, base)), "parquet", f"{base}/checkpoint", f"{base}/out")
+    q.awaitTermination()
+    kept = spark.read.schema("start timestamp, n long").parquet(f"{base}/out").agg(F.sum("n").alias("kept"))
+    return kept.withColumn("dropped", F.lit(dropped_rows(q)).cast("long"))
+
+
+@query("r86_silent_worker_alarm")
+def _(spark, sf):
+    from tidegate.streaming.alarms import silent_workers
+
+    s = late_stream(spark, late_files(spark, sf)).withColumn("worker_id", F.pmod("user_id", F.lit(12)).cast("int"))
+    return drained(spark, silent_workers(s, 2 * 3600))

@@ -18,8 +18,9 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from tidegate.llm.common import arrow_function, as_bytes
+from tidegate.llm.common import arrow_function, as_bytes, stored
 
+BROADCAST_SITES = 200_000  # paths (a name and some numbers each) that are sent to all; more are joined by a shuffle
 LOW = 0.001  # probabilities are kept this far from 0 and 1
 
 
@@ -82,7 +83,7 @@ def site_posteriors(scored: DataFrame, host: str, path: str) -> tuple[DataFrame,
 
     The groups' sums are pre-aggregated; only moments of them reach the driver, as one row a level.
     """
-    paths = scored.groupBy(F.col(host).alias("_host"), F.col(path).alias("_path")).agg(F.count("_p").alias("_n"), F.coalesce(F.sum("_p"), F.lit(0.0)).alias("_s"))
+    paths = stored(scored.groupBy(F.col(host).alias("_host"), F.col(path).alias("_path")).agg(F.count("_p").alias("_n"), F.coalesce(F.sum("_p"), F.lit(0.0)).alias("_s")), "sites")
     hosts = paths.groupBy("_host").agg(F.sum("_n").alias("_hn"), F.sum("_s").alias("_hs"))
     all_n, all_s = hosts.agg(F.coalesce(F.sum("_hn"), F.lit(0)), F.coalesce(F.sum("_hs"), F.lit(0.0))).first()
     mean = min(max(all_s / all_n if all_n else 0.5, LOW), 1 - LOW)
@@ -108,6 +109,8 @@ def judged(docs: DataFrame, weights: np.ndarray, host: str = "source", path: str
     """docs with _evidence, the host's and path's posteriors _hp and _pp, and _posterior."""
     scored = docs.withColumn("_evidence", evidence(F.col("text"), weights))
     sites, mean = site_posteriors(scored.select(host, path, (1 / (1 + F.exp(-F.col("_evidence")))).alias("_p")), host, path)
+    if sites.count() <= BROADCAST_SITES:
+        sites = F.broadcast(sites)
     j = scored.join(sites, F.col(host).eqNullSafe(F.col("_host")) & F.col(path).eqNullSafe(F.col("_path")), "left")
     share = F.least(F.greatest("_pp", F.lit(LOW)), F.lit(1 - LOW))
     shift = F.log(share / (1 - share)) - float(np.log(mean / (1 - mean)))

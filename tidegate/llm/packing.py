@@ -16,6 +16,7 @@ from __future__ import annotations
 
 import os
 import re
+from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -28,7 +29,7 @@ from tidegate.llm.common import arrow_function, local_tokenizers, stored
 
 WINDOW = 4096
 END_ID = 2
-REMEMBER = 400_000  # runs in each of a worker's two generations of memory
+REMEMBER = 300_000  # runs in each of a worker's two generations of memory
 #: ASCII marks but the apostrophe, with which a contraction could begin
 MARKS = "".join(chr(c) for c in range(33, 127) if not chr(c).isalnum() and c != 39)
 
@@ -129,30 +130,34 @@ class WordEncoder:
         of = coded.indices.to_numpy(zero_copy_only=False)
         n = size[of]
         upto = np.cumsum(n)
-        ids = raw[np.repeat(start[of] - (upto - n), n) + np.arange(int(upto[-1]) if len(upto) else 0)]
+        total = int(upto[-1]) if len(upto) else 0
+        kind = np.int32 if total < 2**31 else np.int64
+        ids = raw[np.repeat((start[of] - (upto - n)).astype(kind), n) + np.arange(total, dtype=kind)]
         ends = np.concatenate(([0], upto))[runs.offsets.to_numpy() - runs.offsets[0].as_py()]
         return ids, np.diff(ends)
 
     def texts(self, texts: pa.Array, end_id: int) -> list[np.ndarray]:
-        """Ids of each text, null as empty, with the end id after them. A few megabytes are worked on at a time; a longer
-        text is cut at white space."""
+        """Ids of each text, null as empty, with the end id after them."""
+        return [x for part in self.some(texts, end_id) for x in part]
+
+    def some(self, texts: pa.Array, end_id: int) -> Iterator[list[np.ndarray]]:
+        """The same for a few megabytes of texts at a time; a longer text is cut at white space."""
         lengths = pc.fill_null(pc.binary_length(texts), 0).to_numpy(zero_copy_only=False).astype(np.int64)
-        upto, out, a = np.cumsum(lengths), [], 0
+        upto, a = np.cumsum(lengths), 0
         while a < len(lengths):
             b = max(a + 1, int(np.searchsorted(upto, (upto[a - 1] if a else 0) + STRETCH, side="right")))
             part = pc.fill_null(texts.slice(a, b - a), "")
             if b == a + 1 and lengths[a] > STRETCH:
                 parts = [self.flat(pa.array([p], pa.string()))[0] for p in stretches(part[0].as_py())]
-                out.append(np.append(np.concatenate(parts), np.uint32(end_id)))
+                yield [np.append(np.concatenate(parts), np.uint32(end_id))]
             else:
                 ids, n = self.flat(part)
                 ids = np.insert(ids, np.cumsum(n), end_id)
-                out += np.split(ids, np.cumsum(n + 1)[:-1])
+                yield np.split(ids, np.cumsum(n + 1)[:-1])
             a = b
-        return out
 
 
-STRETCH = 6_000_000  # bytes worked on at a time
+STRETCH = 4_000_000  # bytes worked on at a time
 
 
 def stretches(text: str) -> list[str]:
@@ -181,14 +186,16 @@ def _tokenized(path: str, end_id: int):
     def run(batches):
         e, part, before = encoder(path), TaskContext.get().partitionId(), 0
         for batch in batches:
-            ids = e.texts(batch.column(1).cast(pa.string()), end_id)
-            counts = np.fromiter(map(len, ids), np.int64, len(ids))
-            places = before + np.cumsum(counts) - counts
-            before += int(counts.sum())
-            yield pa.RecordBatch.from_arrays(
-                [batch.column(0), pa.array(np.full(len(ids), part, np.int32)), pa.array(places), pa.array(counts), pa.array([x.astype("<u2").tobytes() for x in ids], pa.binary())],
-                names=["doc_id", "part", "local", "tokens", "ids"],
-            )
+            at = 0
+            for ids in e.some(batch.column(1).cast(pa.string()), end_id):
+                counts = np.fromiter(map(len, ids), np.int64, len(ids))
+                places = before + np.cumsum(counts) - counts
+                before += int(counts.sum())
+                yield pa.RecordBatch.from_arrays(
+                    [batch.column(0).slice(at, len(ids)), pa.array(np.full(len(ids), part, np.int32)), pa.array(places), pa.array(counts), pa.array([x.astype("<u2").tobytes() for x in ids], pa.binary())],
+                    names=["doc_id", "part", "local", "tokens", "ids"],
+                )
+                at += len(ids)
 
     return run
 

@@ -182,7 +182,12 @@ def deal_rows(df: DataFrame, key: Column, alloc: DataFrame, iteration: int = 0,
     shares = alloc.select("worker_id", "n_rows", "batch_rows", F.sum("n_rows").over(every).alias("_upto"), F.sum("n_rows").over(Window.partitionBy()).alias("_all"))
     edge = lambda c: F.floor(c * buckets / F.col("_all"))
     owned = shares.select("worker_id", "n_rows", "batch_rows", F.explode(F.when(edge(F.col("_upto")) > edge(F.col("_upto") - F.col("n_rows")), F.sequence(edge(F.col("_upto") - F.col("n_rows")), edge(F.col("_upto")) - 1))).alias("bucket"))
-    tagged = tagged.join(F.broadcast(owned), "bucket")  # at most `buckets` rows
-    w = Window.partitionBy("worker_id").orderBy("_h", key)
+    # buckets are counted first, and a worker takes no more of its buckets than its rows need: the rest is not shuffled
+    counts = tagged.groupBy("bucket").agg(F.count(F.lit(1)).alias("_rows"))
+    first = Window.partitionBy("worker_id").orderBy("bucket").rowsBetween(Window.unboundedPreceding, -1)
+    taken = counts.join(F.broadcast(owned), "bucket").withColumn("_before", F.coalesce(F.sum("_rows").over(first), F.lit(0)))
+    taken = taken.where(F.col("_before") < F.col("n_rows")).select("bucket", "worker_id", "n_rows", "batch_rows")
+    tagged = tagged.join(F.broadcast(taken), "bucket")  # at most `buckets` rows
+    w = Window.partitionBy("worker_id").orderBy("bucket", "_h", key)
     numbered = tagged.withColumn("pos", F.row_number().over(w).cast("long") - 1).where(F.col("pos") < F.col("n_rows"))
     return numbered.withColumn("batch_no", F.floor(F.col("pos") / F.col("batch_rows")).cast("long")).drop("_h", "n_rows", "batch_rows")

@@ -41,8 +41,9 @@ def text_learner(spark: SparkSession, sf: str, model: str = "mlp", seed: int = 4
     return _shared_out(spark, rows, Mlp(d, 4) if model == "mlp" else Softmax(d, 4), seed, F.col("label") if skewed else None)
 
 
-def _shared_out(spark, rows: DataFrame, model, seed: int, skew=None) -> SparkLearner:
-    alloc = tables.fleet(spark).select("worker_id", F.lit(10**9).cast("long").alias("n_rows"), F.lit(16).alias("batch_rows"))
+def _shared_out(spark, rows: DataFrame, model, seed: int, skew=None, shard_rows: int = 100_000) -> SparkLearner:
+    """A learner whose workers hold shards of at most `shard_rows` rows, whatever the table's size."""
+    alloc = tables.fleet(spark).select("worker_id", F.lit(shard_rows).cast("long").alias("n_rows"), F.lit(16).alias("batch_rows"))
     train_rows = rows.where("split = 'train'")
     if skew is None:
         shards = sizing.deal_rows(train_rows, F.col("key"), alloc, seed=seed)

@@ -306,3 +306,36 @@ def test_merkle_levels(spark):
     t = fixity.tree(fixity.manifest(pages, 512))
     sizes = {r["level"]: r["count"] for r in t.groupBy("level").count().collect()}
     assert sizes == {0: 300, 1: 19, 2: 2, 3: 1}
+
+
+def test_tight_cluster(spark):
+    """Vectors so close that their codes are alike are still ranked exactly."""
+    r = np.random.default_rng(9)
+    v = r.normal(size=(900, 32))
+    v[:300] = v[0] + 0.01 * r.normal(size=(300, 32))
+    v = (v / np.linalg.norm(v, axis=1, keepdims=True)).astype(np.float32)
+    df = spark.createDataFrame([(i, [float(a) for a in x]) for i, x in enumerate(v)], "vec_id long, embedding array<float>")
+    got = ivfpq.search(df, F.col("vec_id") < 300, k=10, shortlist=20).where("query_id % 20 = 0").collect()
+    d, hit = v.astype(float), 0
+    for q in range(0, 300, 20):
+        s = d @ d[q]
+        s[q] = -np.inf
+        hit += len(set(np.lexsort((np.arange(900), -s))[:10].tolist()) & {x["vec_id"] for x in got if x["query_id"] == q})
+    assert hit / 150 >= 0.95
+
+
+def test_rescored_is_exact():
+    r = np.random.default_rng(2)
+    x, q = r.normal(size=(200, 8)), r.normal(size=(5, 8))
+    ids = np.arange(200) * 3
+    rough = q @ x.T + 0.1 * r.normal(size=(5, 200))
+    rough[0, 7] = -np.inf
+    who, vec, score = ivfpq.rescored(rough, q, np.arange(5), ids, x, 20, 6)
+    for k in range(5):
+        s = q[k] @ x.T
+        if k == 0:
+            s[7] = -np.inf
+        assert len(set(vec[who == k].tolist()) & set(ids[np.argsort(-s)[:6]].tolist())) >= 5
+        assert np.allclose(score[who == k], sorted(s[vec[who == k] // 3], reverse=True))
+    few = ivfpq.rescored(rough[:, :3], q, np.arange(5), ids[:3], x[:3], 20, 6)
+    assert len(few[0]) == 15

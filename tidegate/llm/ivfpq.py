@@ -4,8 +4,9 @@ Fit     centroids and codebooks by k-means on a bounded sample: at most `sample`
 Index   every vector goes to its nearest list and is stored with its code, its residual's nearest codeword in each of
         `parts` slices of the dimensions. A list of over `block` vectors is kept in several blocks, dealt by a hash of id.
 Search  a query visits the `probes` lists whose centroids have the largest inner product with it. In a block, queries and
-        codes meet by asymmetric distance tables (query slice times codeword); the `shortlist` best are rescored exactly,
-        in double precision on the original vectors, and each block returns its k best of each query.
+        codes meet by asymmetric distance tables (query slice times codeword); the `shortlist` best, and all others that
+        the tables' errors could hide, are rescored exactly, in double precision on the original vectors, and each
+        block returns its k best of each query.
 Probes  are set by measuring: the least number that finds `recall` of the sample's own true neighbours.
 
 Equal codes and equal scores go by id, so copies of a vector come in order of id. Queries that probe a list come in blocks
@@ -23,6 +24,9 @@ from pyspark.sql import functions as F
 from tidegate.llm.common import stored
 
 
+MARGIN = 2.5  # deviations of the rough scores' errors
+
+
 def usable(v: Column) -> Column:
     """Whether a vector takes part."""
     numbers = F.transform(v, lambda x: x.cast("double"))
@@ -86,11 +90,43 @@ class Model:
         return int(min(n, needed[min(len(needed) - 1, int(np.ceil(recall * len(needed))))] + 1))
 
 
-def fit(vectors: DataFrame, lists: int, parts: int = 16, words: int = 64, sample: int = 16_000, recall: float = 0.95, k: int = 20, shortlist: int = 100, seed: int = 42) -> Model | None:
+def rescored(rough: np.ndarray, q: np.ndarray, who: np.ndarray, ids: np.ndarray, x: np.ndarray, shortlist: int, k: int) -> tuple:
+    """Query, vector and exact score of the k best of each query, from rough scores (queries, rows in order of id).
+
+    The `shortlist` best are scored exactly. How far rough scores are off there tells which others could still be among the k
+    best (MARGIN deviations below the k-th); those are scored too, so a tight cluster of near copies is not cut by its codes.
+    """
+    width = min(shortlist, len(ids))
+    best = np.argsort(-rough, axis=1, kind="stable")[:, :width]
+    near = np.take_along_axis(rough, best, axis=1)
+    exact = (q[:, None, :] * x[best]).sum(-1)
+    known = near > -np.inf
+    exact[~known] = -np.inf
+    off = np.where(known, exact - np.where(known, near, 0), 0)
+    spread = np.sqrt((off**2).sum(1) / np.maximum(1, known.sum(1)))
+    limit = np.sort(exact, axis=1)[:, -k] if width >= k else np.full(len(q), -np.inf)
+    more = rough >= (limit - MARGIN * spread)[:, None]
+    more &= rough > -np.inf
+    np.put_along_axis(more, best, False, axis=1)
+    qi, ri = np.nonzero(more)
+    scores = [(q[a] * x[b]).sum(-1) for a, b in ((qi[c : c + 50_000], ri[c : c + 50_000]) for c in range(0, len(qi), 50_000))]
+    of = np.concatenate((np.repeat(np.arange(len(q)), known.sum(1)), qi))
+    vec = np.concatenate((ids[best][known], ids[ri]))
+    score = np.concatenate((exact[known], *scores))
+    order = np.lexsort((vec, -score, of))
+    of, vec, score = of[order], vec[order], score[order]
+    place = np.arange(len(of)) - np.searchsorted(of, of)
+    top = place < k
+    return who[of[top]], vec[top], score[top]
+
+
+def fit(vectors: DataFrame, lists: int, parts: int = 16, words: int = 64, sample: int = 16_000, recall: float = 0.97, k: int = 20, shortlist: int = 100, seed: int = 42) -> Model | None:
     rows = vectors.select("vec_id", "v").orderBy(F.xxhash64("vec_id", "v"), "vec_id").limit(sample).toArrow()
     if not rows.num_rows:
         return None
     flat = np.array(rows.column("v").to_pylist(), np.float64)
+    # copies of one vector would draw centroids to themselves, and as queries pass for found neighbours
+    flat = flat[np.sort(np.unique(flat, axis=0, return_index=True)[1])]
     return Model(flat, lists, parts, words, recall, k, shortlist, seed)
 
 
@@ -98,7 +134,9 @@ def search(vectors: DataFrame, is_query: Column, vector_col: str = "embedding",
     """query_id, rank, vec_id and score of the k nearest found, by inner product, of each query row."""
     schema = "query_id long, rank int, vec_id long, score double"
     spark = vectors.sparkSession
-    v = F.transform(F.col(vector_col), lambda x: x.cast("double"))
+    element = vectors.schema[vector_col].dataType.elementType.simpleString()
+    number = "float" if element == "float" else "double"  # vectors are kept as they are, and reckoned with in double precision
+    v = F.transform(F.col(vector_col), lambda x: x.cast(number))
     rows = vectors.where(usable(F.col(vector_col)) & F.col(id_col).isNotNull()).select(F.col(id_col).cast("long").alias("vec_id"), v.alias("v"), is_query.alias("is_query"))
     n = rows.count()
     lists = lists or int(min(4096, max(16, n**0.5 / 3)))
@@ -111,22 +149,22 @@ def search(vectors: DataFrame, is_query: Column, vector_col: str = "embedding",
         m = shared.value
         for b in batches:
             if b.num_rows:
-                x = b.column(1).flatten().to_numpy(zero_copy_only=False).reshape(b.num_rows, -1)
+                x = b.column(1).flatten().to_numpy(zero_copy_only=False).astype(np.float64).reshape(b.num_rows, -1)
                 own = m.assign(x)
                 yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), b.column(2), pa.array(own.astype(np.int32)), pa.array([c.tobytes() for c in m.codes(x, own)], pa.binary())], names=["vec_id", "v", "is_query", "list", "code"])
 
-    index = stored(rows.mapInArrow(indexed, "vec_id long, v array<double>, is_query boolean, list int, code binary"), "ivf-index")
+    index = stored(rows.mapInArrow(indexed, f"vec_id long, v array<{number}>, is_query boolean, list int, code binary"), "ivf-index")
 
     def probing(batches):
         m = shared.value
         for b in batches:
             if b.num_rows:
-                q = b.column(1).flatten().to_numpy(zero_copy_only=False).reshape(b.num_rows, -1)
+                q = b.column(1).flatten().to_numpy(zero_copy_only=False).astype(np.float64).reshape(b.num_rows, -1)
                 to = m.ranked(q)[:, : m.probes].astype(np.int32)
                 at = np.arange(b.num_rows + 1, dtype=np.int32) * to.shape[1]
                 yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.ListArray.from_arrays(pa.array(at), pa.array(to.reshape(-1)))], names=["vec_id", "v", "lists"])
 
-    asked = index.where("is_query").select("vec_id", "v").mapInArrow(probing, "vec_id long, v array<double>, lists array<int>")
+    asked = index.where("is_query").select("vec_id", "v").mapInArrow(probing, f"vec_id long, v array<{number}>, lists array<int>")
     asked = asked.select(F.col("vec_id").alias("query_id"), F.col("v").alias("q"), F.explode("lists").alias("list"))
     # blocks of lists and of their queries: a list's size and its queries' number decide into how many
     sizes = index.groupBy("list").agg(F.count(F.lit(1)).alias("rows"), F.count_if("is_query").alias("queries")).select("list", F.expr(f"1 + rows div {block}").cast("int").alias("parts"))
@@ -147,21 +185,14 @@ def search(vectors: DataFrame, is_query: Column, vector_col: str = "embedding",
         a = a.sort_by("vec_id")
         own = a.column("list")[0].as_py()
         ids, asking = (t.to_numpy() for t in (a.column("vec_id"), b.column("query_id")))
-        x, q = (t.combine_chunks().flatten().to_numpy(zero_copy_only=False).reshape(len(i), -1) for t, i in ((a.column("v"), ids), (b.column("q"), asking)))
+        x, q = (t.combine_chunks().flatten().to_numpy(zero_copy_only=False).astype(np.float64).reshape(len(i), -1) for t, i in ((a.column("v"), ids), (b.column("q"), asking)))
         codes = np.frombuffer(b"".join(a.column("code").to_pylist()), np.uint8).reshape(len(ids), -1)
         out = []
         for s in range(0, len(q), 128):
             part, who = q[s : s + 128], asking[s : s + 128]
             rough = m.approximate(part, codes, own)
             rough[who[:, None] == ids[None, :]] = -np.inf
-            width = min(shortlist, len(ids))
-            best = np.argsort(-rough, axis=1, kind="stable")[:, :width]
-            exact = (part[:, None, :] * x[best]).sum(-1)
-            exact[np.take_along_axis(rough, best, axis=1) == -np.inf] = -np.inf
-            order = np.lexsort((ids[best], -exact), axis=1)[:, :k]
-            best, exact = (np.take_along_axis(t, order, axis=1) for t in (best, exact))
-            found = exact > -np.inf
-            out.append((np.repeat(who, found.sum(1)), ids[best][found], exact[found]))
+            out.append(rescored(rough, part, who, ids, x, shortlist, k))
         return pa.table({name: np.concatenate(c) for name, c in zip(empty.column_names, zip(*out, strict=True), strict=True)})
 
     keys = ["list", "part", "turn"]

@@ -1,7 +1,7 @@
 """Quality by hierarchical empirical Bayes.
 
 A document's own evidence is the log odds of a logistic regression on the make-up of its bytes (shares of each ASCII
-character and of the rest, length, length of words and lines), fitted on a bounded sample of labelled rows: at most
+character and of the rest, length of words and lines) and how much its words and lines repeat, fitted on a bounded sample of labelled rows: at most
 `max_rows`, those with the least hash of doc_id. All else is over all rows: hosts, and paths within hosts, get a posterior
 share of good documents from grouped sums of the documents' probabilities, in which a path with few rows is drawn towards
 its host and a host with few rows towards the whole, as strongly as the spread between groups tells (method of moments).
@@ -13,6 +13,8 @@ usable labels the evidence is 0 and everything with words is kept; repeated rows
 
 from __future__ import annotations
 
+from operator import eq
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
@@ -21,18 +23,23 @@ from pyspark.sql import functions as F
 from tidegate.llm.common import arrow_function, as_bytes, stored
 
 BROADCAST_SITES = 200_000  # paths (a name and some numbers each) that are sent to all; more are joined by a shuffle
+FEATURES = 136
 LOW = 0.001  # probabilities are kept this far from 0 and 1
 
 
 def features(text: bytes) -> np.ndarray:
-    """Square roots of byte shares (ASCII one by one, all other bytes together), and three lengths."""
+    """Square roots of byte shares (ASCII one by one, all other bytes together), lengths, and how much words repeat: the share
+    of words that equal the one before, of different words, and of different lines."""
     n = len(text)
     if not n:
-        return np.zeros(132)
+        return np.zeros(FEATURES)
+    said, rows = text.split(), text.split(b"\n")
+    again = sum(map(eq, said, said[1:])) / max(1, len(said))
+    repeats = [again, again > 0.2, np.log1p(len(set(said))) / np.log1p(len(said) + 1), len(set(rows)) / len(rows)]
     count = np.bincount(np.frombuffer(text, np.uint8), minlength=256).astype(float)
     words, lines = count[[9, 10, 11, 12, 13, 32]].sum() + 1, count[10] + 1
     upper = count[65:91].sum()
-    return np.concatenate((np.sqrt(count[:128] / n), [np.sqrt(count[128:].sum() / n), np.log1p(n / words) / 4, np.log1p(words / lines) / 8, upper / max(1.0, upper + count[97:123].sum())]))
+    return np.concatenate((np.sqrt(count[:128] / n), [np.sqrt(count[128:].sum() / n), np.log1p(n / words) / 4, np.log1p(words / lines) / 8, upper / max(1.0, upper + count[97:123].sum())], repeats))
 
 
 @arrow_function("array<double>")
@@ -64,7 +71,7 @@ def fit(docs: DataFrame, labels: DataFrame, max_rows: int = 8000) -> np.ndarray:
     few = few.orderBy(F.xxhash64("_doc"), "_doc", "_y").limit(max_rows)  # bounded, so it may be sent to all
     seen = docs.select("doc_id", "text").join(F.broadcast(few), F.col("doc_id") == F.col("_doc"))
     rows = seen.select(F.xxhash64("doc_id", "text").alias("_h"), "_y", feature_rows("text").alias("_x")).orderBy("_h", "_y").limit(max_rows).collect()
-    return fit_logistic(np.array([r["_x"] for r in rows]).reshape(len(rows), -1 if rows else 132), np.array([r["_y"] for r in rows]))
+    return fit_logistic(np.array([r["_x"] for r in rows]).reshape(len(rows), -1 if rows else FEATURES), np.array([r["_y"] for r in rows]))
 
 
 def evidence(text: Column, weights: np.ndarray) -> Column:

@@ -6,7 +6,7 @@ import warnings
 from dataclasses import dataclass
 
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from tidegate.functions.scalar import z_score
@@ -79,6 +79,28 @@ def rolling_stats(losses: DataFrame, p: GateParams = GateParams(), order=ORDER)
     return out.withColumn("z", F.when(F.col("sigma") > 0, z_score(F.col("loss"), F.col("mu"), F.col("sigma"))))
 
 
+def numbered(losses: DataFrame, chunk: Column, order=ORDER, out: str = "iter") -> DataFrame:
+    """losses with each worker's rows numbered in order, where `chunk` rises with the order: rows are numbered within (worker,
+    chunk) and chunks' counts are added up, so that a worker of any length is spread over its chunks."""
+    local = losses.withColumn("_chunk", chunk).withColumn("_n", F.row_number().over(Window.partitionBy("worker_id", "_chunk").orderBy(*order)))
+    counts = local.groupBy("worker_id", "_chunk").agg(F.count(F.lit(1)).alias("_rows"))
+    before = Window.partitionBy("worker_id").orderBy("_chunk").rowsBetween(Window.unboundedPreceding, -1)  # a row a chunk
+    bases = counts.select("worker_id", "_chunk", F.coalesce(F.sum("_rows").over(before), F.lit(0)).alias("_base"))
+    return local.join(bases, ["worker_id", "_chunk"]).withColumn(out, F.col("_base") + F.col("_n")).drop("_chunk", "_n", "_base")
+
+
+def rolling_stats_chunked(losses: DataFrame, p: GateParams = GateParams(), rows: int = 100_000) -> DataFrame:
+    """rolling_stats for very long series (worker_id, iter without gaps, loss): windows run over pieces of `rows` iterations, to
+    each of which the last `history` rows of the piece before are copied."""
+    if p.history is None:
+        raise ValueError("a whole history has no pieces; use rolling_stats")
+    piece = F.floor((F.col("iter") - 1) / rows)
+    edge = (F.col("iter") - 1) % rows >= rows - p.history
+    cut = losses.withColumn("_home", piece).withColumn("_piece", F.explode(F.when(edge, F.array(piece, piece + 1)).otherwise(F.array(piece))))
+    stats = rolling_stats(cut.withColumnRenamed("worker_id", "_worker").withColumn("worker_id", F.struct("_worker", "_piece")), p, ("iter",))
+    return stats.where("_home = _piece").drop("worker_id", "_home", "_piece").withColumnRenamed("_worker", "worker_id")
+
+
 def gate_fixed(losses: DataFrame, p: GateParams = GateParams(), order=ORDER) -> DataFrame:
     """rolling_stats with `push`: z at or below a cut that never moves. history None looks back on everything."""
     return rolling_stats(losses, p, order).withColumn("push", F.coalesce((F.col("z") <= p.z_cut) & (F.col("z") < 0), (F.col("sigma") == 0) & (F.col("loss") < F.col("mu")), F.lit(False)))

@@ -78,6 +78,14 @@ for name, p in VARIANTS.items():
         return rounded(gate.rolling_stats(losses(spark, sf), p), "loss", "mu", "sigma").select("worker_id", "iter", "loss", "mu", "sigma")
 
 
+@query("g2_rolling_chunked", f"WITH {stats_sql(GateParams())} SELECT worker_id, iter, round(loss, 6) AS loss, round(mu, 6) AS mu, round(sigma, 6) AS sigma FROM z")
+def _(spark, sf):
+    """Numbered by days and rolled over pieces of 200 iterations: what a series too long for one task goes through."""
+    e = tables.load(spark, sf, "events", ["event_id", "ts", "user_id", "value"]).withColumn("worker_id", F.pmod("user_id", F.lit(12)).cast("int"))
+    n = gate.numbered(e, F.date_trunc("day", "ts")).withColumn("loss", 0.1 + 2.2 * F.exp(-F.col("iter") / 40.0) + 0.002 * F.col("value"))
+    return rounded(gate.rolling_stats_chunked(n, GateParams(), 200), "loss", "mu", "sigma").select("worker_id", "iter", "loss", "mu", "sigma")
+
+
 @query("g3_z_score", f"WITH {stats_sql(GateParams())} SELECT worker_id, iter, round(z, 4) AS z FROM z")
 def _(spark, sf):
     return gate.rolling_stats(losses(spark, sf)).select("worker_id", "iter", F.round("z", 4).alias("z"))

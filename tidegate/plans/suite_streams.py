@@ -183,3 +183,17 @@ def _(spark, sf):
 
     s = late_stream(spark, late_files(spark, sf)).withColumn("worker_id", F.pmod("user_id", F.lit(12)).cast("int"))
     return drained(spark, silent_workers(s, 2 * 3600))
+
+
+@query("g7_gate_processor", _gate_oracle())
+def _(spark, sf):
+    """The series' losses as files, through the stateful processor."""
+    from tidegate.plans.suite_gate import losses
+    from tidegate.streaming.gate_processor import gate_by_processor, rocksdb_state
+
+    base = f"{_shared(spark)}/stream-{uuid.uuid4().hex}"
+    losses(spark, sf).select("worker_id", "iter", "loss").repartitionByRange(3, "iter").write.parquet(f"{base}/in")
+    stream = spark.readStream.schema("worker_id int, iter long, loss double").parquet(f"{base}/in")
+    with rocksdb_state(spark):
+        out = drained(spark, gate_by_processor(stream))
+    return out.groupBy("worker_id").agg(F.count(F.lit(1)).alias("iterations"), F.count_if("push").alias("pushes"), F.round(F.max_by("next_cut", "iter"), 6).alias("z_cut"))

@@ -90,7 +90,7 @@ def numbered(losses: DataFrame, chunk: Column, order=ORDER, out: str = "iter") -
 
 
 def rolling_stats_chunked(losses: DataFrame, p: GateParams = GateParams(), rows: int = 100_000) -> DataFrame:
-    """rolling_stats for very long series (worker_id, iter without gaps, loss): windows run over pieces of `rows` iterations, to
+    """rolling_stats for very long series (worker_id, iter without gaps, loss never null): windows run over pieces of `rows` iterations, to
     each of which the last `history` rows of the piece before are copied."""
     if p.history is None:
         raise ValueError("a whole history has no pieces; use rolling_stats")

@@ -7,7 +7,7 @@ from tidegate import registry
 
 SF = "/root/testdata/sf0.001"
 QUERIES, ORACLES = registry.queries(), registry.oracle_sql()
-SLOW = {"x1_image_frameworks", "x1_image_cnn", "x2_text_frameworks", "x14_ablation", "x17_accuracy_spread", "m16_three_seeds", "b4_elastic_spread_run"}
+SLOW = {"x1_image_frameworks", "x1_image_cnn", "x2_text_frameworks", "x14_ablation", "x17_accuracy_spread", "m16_three_seeds", "b4_elastic_spread_run", "x3_tabular_frameworks", "x15_merge_rules", "x16_communication"}
 
 
 @pytest.mark.parametrize("name", sorted(ORACLES))

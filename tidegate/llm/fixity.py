@@ -42,9 +42,9 @@ def manifest(pages: DataFrame, file_records: int = FILE_RECORDS) -> DataFrame:
 
 
 def tree(leaves: DataFrame) -> DataFrame:
-    """(file_no, level, node, hash) of all levels; level 0 has a node a record."""
+    """(file_no, level, node, hash) of all levels; level 0 has a node a record. leaves should be stored: levels read them."""
     top = leaves.agg(F.max("record_no")).first()[0]
-    level = stored(leaves.select("file_no", F.lit(0).alias("level"), F.col("record_no").alias("node"), F.col("leaf").alias("hash")), "merkle")
+    level = leaves.select("file_no", F.lit(0).alias("level"), F.col("record_no").alias("node"), F.col("leaf").alias("hash"))
     out, width, n = level, 1 if top is None else top + 1, 0
     while width > 1:
         n, width = n + 1, -(-width // FAN)
@@ -72,6 +72,7 @@ def mismatches(a: DataFrame, b: DataFrame) -> DataFrame:
 
 
 def audit(mine: DataFrame, replica: DataFrame) -> DataFrame:
-    """The manifest's rows with `damaged`; replica: another manifest."""
+    """The manifest's rows with `damaged`; replica: another manifest. Both are written once, so records are hashed once."""
+    mine, replica = stored(mine, "manifest"), stored(replica, "manifest")
     bad = mismatches(tree(mine), tree(replica)).withColumn("damaged", F.lit(True))
     return mine.join(bad, ["file_no", "record_no"], "left").withColumn("damaged", F.coalesce("damaged", F.lit(False)))

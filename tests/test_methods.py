@@ -276,3 +276,54 @@ def test_stream_restart(spark, tmp_path):
     out = spark.read.parquet(f"{tmp_path}/out")
     assert out.count() == len(rows)
     assert sorted(r["iter"] for r in out.where("push and worker_id = 1").collect()) == [6, 10, 11]
+
+
+def test_sizing_options(spark):
+    w = spark.createDataFrame([(1, 0.01, 2.0, 16, 5000), (2, 10.0, 2.0, 16, 5000), (3, 0.01, 2.0, 16, 100)], "worker_id int, sec_per_batch double, t_target double, batch_rows int, cap_rows long")
+    got = {r["worker_id"]: r for r in sizing.dual_search(w, 10**6, min_rows=32).collect()}
+    assert (got[1]["n_rows"], got[1]["batch_rows"], got[1]["reached"]) == (3200, 16, True)
+    assert got[2]["n_rows"] == 32 and not got[2]["reached"]  # no worker is idle, however slow
+    assert got[3]["n_rows"] == 100 and got[3]["batch_rows"] == 2 and not got[3]["reached"]  # memory is never passed
+    assert {r["batch_rows"] for r in sizing.dual_search(w, 10**6, prefer="smallest").collect()} == {2}
+    t = spark.createDataFrame([(float(v),) for v in (1, 2, 3, 4, 100)], "t double")
+    assert sizing.iqr_bounds(t, "t", quartiles="nearest").first()["q3"] == 4.0
+    assert [r["status"] for r in sizing.flag_outliers(t, "t").orderBy("t").collect()] == ["normal"] * 4 + ["straggler"]
+
+
+def test_equal_workers_stay(spark):
+    fleet = spark.range(6).select(F.col("id").cast("int").alias("worker_id"), F.lit("x").alias("family"), F.lit(0.01).alias("sec_per_batch"))
+    out = sizing.reallocate(tables.timings(fleet, iters=3), fleet.select("worker_id", F.lit(10**6).cast("long").alias("cap_rows")), 10**6, "all").collect()
+    assert {(r["status"], r["n_rows"], r["batch_rows"]) for r in out} == {("normal", 2500, 16)}
+
+
+def test_loss_sources():
+    goal = np.array([1.0, 2.0])
+    told = merge.ServerState(np.zeros(2), 0.5, lambda p: 0.5 * float(((p - goal) ** 2).sum()) + 0.5, loss_source="worker")
+    told.merge(np.array([-1.0, -1.0]), 9.0)
+    weights = told.merge(np.array([-2.0, -3.0]), 1.75)
+    assert np.allclose(weights, (0.5, 0.5)) and np.allclose(told.acc, (-1.5, -2.0))  # equal losses: the midpoint
+    assert told.evaluations == 2  # none for the pushed model
+
+
+def test_crash_and_independence(spark):
+    from tidegate.plans import metrics
+    from tidegate.plans.trainer import crashed
+
+    assert crashed(tables.fleet(spark), 5).count() == 5 and crashed(tables.fleet(spark), 1).count() == 0
+    rows = [("r", k, float(k), 1, "iter", 0, 0) for k in range(87)] + [("r", 100 + k, 100.0 + k, 1, "model_request", 4, 0) for k in range(10)] + [("r", 200, 0.0, 2, "iter", 0, 0)]
+    log = spark.createDataFrame(rows, "run_id string, seq long, vtime double, worker_id int, kind string, bytes long, global_version long")
+    got = {r["worker_id"]: r["independence"] for r in metrics.independence(log).collect()}
+    assert got == {1: 8.7, 2: None}
+
+
+def test_late_rows_and_alarms(spark, tmp_path):
+    from tidegate.streaming.alarms import silent_workers
+
+    for k, minutes in enumerate(([0, 10, 20], [200, 210], [900])):
+        rows = [(1, m) for m in minutes] + ([(2, 5)] if k == 0 else [])
+        spark.createDataFrame(rows, "worker_id int, m int").select("worker_id", F.timestamp_seconds(F.col("m") * 60).alias("ts")).coalesce(1).write.mode("append").parquet(f"{tmp_path}/in")
+    s = spark.readStream.schema("worker_id int, ts timestamp").option("maxFilesPerTrigger", 1).parquet(f"{tmp_path}/in")
+    q = tables.start(silent_workers(s, 3600, "1 minute"), "parquet", f"{tmp_path}/c", f"{tmp_path}/o")
+    q.awaitTermination()
+    alarms = {(r["worker_id"], r["last_us"] // 60_000_000) for r in spark.read.schema("worker_id int, last_us long").parquet(f"{tmp_path}/o").collect()}
+    assert alarms == {(2, 5), (1, 20), (1, 210)}

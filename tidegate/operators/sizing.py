@@ -23,19 +23,24 @@ def fit_sec_per_batch(obs: DataFrame, k_source: str = "latest", alpha: float = 0
     return k.groupBy("worker_id").agg(pick("_k", "iter").alias("sec_per_batch"), pick("t_train", "iter").alias("t_train"))
 
 
-def iqr_bounds(df: DataFrame, col: str, k: float = 1.5, by: list[str] | None = None, approximate: bool = False) -> DataFrame:
-    """q1, q3, iqr, lo and hi of a column, by groups if wished; approximate quartiles for very many rows."""
-    q = F.percentile_approx(col, [0.25, 0.75], 10_000) if approximate else F.percentile(col, F.array(F.lit(0.25), F.lit(0.75)))
+def iqr_bounds(df: DataFrame, col: str, k: float = 1.5, by: list[str] | None = None, quartiles: str = "linear") -> DataFrame:
+    """q1, q3, iqr, lo and hi of a column, by groups if wished. quartiles: "linear" between rows, "nearest" row, or
+    "approximate" for very many rows."""
+    q = {
+        "linear": lambda: F.percentile(col, F.array(F.lit(0.25), F.lit(0.75))),
+        "nearest": lambda: F.array(*[F.expr(f"percentile_disc({x}) WITHIN GROUP (ORDER BY `{col}`)") for x in (0.25, 0.75)]),
+        "approximate": lambda: F.percentile_approx(col, [0.25, 0.75], 10_000),
+    }[quartiles]()
     out = df.groupBy(*(by or [])).agg(q.alias("_q"))
     out = out.withColumns({"q1": F.col("_q")[0], "q3": F.col("_q")[1]}).withColumn("iqr", F.col("q3") - F.col("q1"))
     return out.withColumns({"lo": F.col("q1") - k * F.col("iqr"), "hi": F.col("q3") + k * F.col("iqr")}).drop("_q")
 
 
-def flag_outliers(df: DataFrame, col: str = "t_train", k: float = 1.5) -> DataFrame:
+def flag_outliers(df: DataFrame, col: str = "t_train", k: float = 1.5, quartiles: str = "linear") -> DataFrame:
     """df with the bounds and `status`: straggler above them, underused below, else normal."""
     t = F.col(col)
     status = F.when(t > F.col("hi"), "straggler").when(t < F.col("lo"), "underused").otherwise("normal")
-    return df.crossJoin(F.broadcast(iqr_bounds(df, col, k))).withColumn("status", status)  # one row of bounds
+    return df.crossJoin(F.broadcast(iqr_bounds(df, col, k, quartiles=quartiles))).withColumn("status", status)  # one row of bounds
 
 
 def target_time(df: DataFrame, col: str = "t_train") -> DataFrame:

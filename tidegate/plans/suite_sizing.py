@@ -73,6 +73,16 @@ def _(spark, sf):
     return sizing.iqr_bounds(timed(spark, sf), "t_train").select(*[F.round(c, 6).alias(c) for c in ("q1", "q3", "iqr", "lo", "hi")])
 
 
+@query("s3_iqr_bounds_nearest", f"WITH {TIMES} SELECT round(quantile_disc(t, 0.25), 6) AS q1, round(quantile_disc(t, 0.75), 6) AS q3 FROM o")
+def _(spark, sf):
+    return sizing.iqr_bounds(timed(spark, sf), "t_train", quartiles="nearest").select(F.round("q1", 6).alias("q1"), F.round("q3", 6).alias("q3"))
+
+
+@query("s3_iqr_bounds_approximate")
+def _(spark, sf):
+    return sizing.iqr_bounds(timed(spark, sf), "t_train", quartiles="approximate")
+
+
 @query("s3_iqr_bounds_by_family", f"WITH {TIMES} SELECT family, round(quantile_cont(t, 0.25), 6) AS q1, round(quantile_cont(t, 0.75), 6) AS q3 FROM o GROUP BY 1")
 def _(spark, sf):
     return sizing.iqr_bounds(timed(spark, sf), "t_train", by=["family"]).select("family", F.round("q1", 6).alias("q1"), F.round("q3", 6).alias("q3"))

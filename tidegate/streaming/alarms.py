@@ -13,7 +13,8 @@ from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 def silent_workers(reports: DataFrame, silence_s: int, watermark: str = "1 hour") -> DataFrame:
     """An alarm (worker_id, last_us) for each time that a worker has sent nothing for `silence_s` seconds of event time.
 
-    A timer in event time stands at the last report plus the silence; a report before it fires moves it.
+    A timer in event time stands at the last report plus the silence; a later report moves it, and raises the alarm itself
+    where it comes after the time and before the timer has fired.
     """
 
     def run(key, batches: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
@@ -22,10 +23,15 @@ def silent_workers(reports: DataFrame, silence_s: int, watermark: str = "1 hour"
             state.remove()
             yield pd.DataFrame({"worker_id": [int(key[0])], "last_us": [last]})
             return
-        last = max([state.get[0] if state.exists else 0, *[int(b["us"].max()) for b in batches if len(b)]])
+        last, quiet = state.get[0] if state.exists else None, []
+        for us in sorted(int(u) for b in batches for u in b["us"]):
+            if last is not None and us - last > silence_s * 1_000_000:
+                quiet.append(last)
+            last = us if last is None else max(last, us)
         state.update((last,))
-        due = last // 1000 + silence_s * 1000
-        state.setTimeoutTimestamp(max(due, state.getCurrentWatermarkMs() + 1))
+        state.setTimeoutTimestamp(max(last // 1000 + silence_s * 1000, state.getCurrentWatermarkMs() + 1))
+        if quiet:
+            yield pd.DataFrame({"worker_id": int(key[0]), "last_us": quiet})
 
     timed = reports.withWatermark("ts", watermark).select("worker_id", "ts", F.unix_micros("ts").alias("us"))
     return timed.groupBy("worker_id").applyInPandasWithState(run, "worker_id int, last_us long", "last long", "append", GroupStateTimeout.EventTimeTimeout)

@@ -89,7 +89,7 @@ BENCHMARK_GB = 5.0  # what benchmarking the large model asks of a worker's memor
 @query("x1_image_frameworks")
 def _(spark, sf):
     learner = x.image_learner(spark, sf)
-    cfg = replace(x.scaled(learner, x.SMALL, 0.2), epochs=8, max_merges=25, max_iterations=900, max_segment=20, precision="mixed")
+    cfg = replace(x.scaled(learner, x.SMALL, 0.2), epochs=8, max_merges=25, pushes_per_round=12, max_iterations=1500, max_segment=20, precision="mixed")
     return _closing(learner, x.summary(spark, x.compare(spark, learner, x.ALL, cfg), workload="embeddings"))
 
 

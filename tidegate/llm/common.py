@@ -2,9 +2,11 @@
 
 from __future__ import annotations
 
+import ctypes
 import os
 import tempfile
 import uuid
+from contextlib import contextmanager, suppress
 
 import numpy as np
 import pyarrow as pa
@@ -80,3 +82,22 @@ def arrow_function(kind: str):
         return call
 
     return made
+
+
+@contextmanager
+def arrow_rows(spark: SparkSession, rows: int):
+    """What is carried out in here passes at most so many rows at a time to Python; the session's setting is put back."""
+    name = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    before = spark.conf.get(name)
+    spark.conf.set(name, str(min(rows, int(before) if int(before) > 0 else rows)))
+    try:
+        yield
+    finally:
+        spark.conf.set(name, before)
+
+
+def give_back() -> None:
+    """Returns memory that Arrow and the C library hold without using it: workers share their machine with the JVM."""
+    pa.default_memory_pool().release_unused()
+    with suppress(OSError, AttributeError):
+        ctypes.CDLL("libc.so.6").malloc_trim(0)

@@ -2,7 +2,7 @@
 
 Pass 1 tokenizes and writes, for each document, its token ids, its scan partition and the tokens before it in that
 partition. Pass 2 sums the partitions (as many rows as there were tasks), turns the sums into the partitions' offsets, and
-so knows each document's place in one endless row of tokens. Fixed windows cut that row; a document that crosses a window's
+so knows each document's place in one endless row of tokens (ids under 65,536 are kept in two bytes). Fixed windows cut that row; a document that crosses a window's
 edge gives one record for each window it touches. No document moves between machines for this, and a long document is cut
 like any other. Only the last window is not full: it is padded to the window, or left as it is at a power of two.
 
@@ -16,6 +16,7 @@ from __future__ import annotations
 
 import os
 import re
+import zlib
 from collections.abc import Iterator
 
 import numpy as np
@@ -25,11 +26,11 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from tidegate.llm.common import arrow_function, local_tokenizers, stored
+from tidegate.llm.common import arrow_rows, give_back, local_tokenizers, stored
 
 WINDOW = 4096
 END_ID = 2
-REMEMBER = 300_000  # runs in each of a worker's two generations of memory
+REMEMBER = 280_000  # runs in each of a worker's two generations of memory
 #: ASCII marks but the apostrophe, with which a contraction could begin
 MARKS = "".join(chr(c) for c in range(33, 127) if not chr(c).isalnum() and c != 39)
 
@@ -157,7 +158,7 @@ class WordEncoder:
             a = b
 
 
-STRETCH = 4_000_000  # bytes worked on at a time
+STRETCH = 3_000_000  # bytes worked on at a time
 
 
 def stretches(text: str) -> list[str]:
@@ -185,7 +186,7 @@ def encoder(path: str) -> WordEncoder:
 def _tokenized(path: str, end_id: int):
     def run(batches):
         e, part, before = encoder(path), TaskContext.get().partitionId(), 0
-        for batch in batches:
+        for k, batch in enumerate(batches):
             at = 0
             for ids in e.some(batch.column(1).cast(pa.string()), end_id):
                 counts = np.fromiter(map(len, ids), np.int64, len(ids))
@@ -196,44 +197,62 @@ def _tokenized(path: str, end_id: int):
                     names=["doc_id", "part", "local", "tokens", "ids"],
                 )
                 at += len(ids)
+            if k % 4 == 3:
+                give_back()
+        give_back()
 
     return run
 
 
-@arrow_function("long")
-def ids_crc32(ids: pa.Array) -> pa.Array:
-    """CRC-32 of ids kept in two bytes (they are under 65,536), written as unsigned 32-bit numbers."""
-    import zlib
+def _cut(window: int, checksum: bool):
+    """mapInArrow over (doc_id, tokens, at, all, ids): a row a piece, each document's ids parted at the windows' edges."""
 
-    return pa.array([zlib.crc32(np.frombuffer(x, "<u2").astype("<u4").tobytes()) for x in ids.to_pylist()], pa.int64())
+    def run(batches):
+        for batch in batches:
+            doc, tokens, at, everything, ids = batch.columns
+            tokens, at = tokens.to_numpy(), at.to_numpy()
+            first, last = at // window, (at + tokens - 1) // window
+            n = (last - first + 1).astype(np.int64)
+            row = np.repeat(np.arange(len(n)), n)
+            sequence = first[row] + np.arange(len(row)) - np.repeat(np.cumsum(n) - n, n)
+            start = np.maximum(0, sequence * window - at[row])
+            end = np.minimum(tokens[row], (sequence + 1) * window - at[row])
+            tail = np.minimum(window, everything.to_numpy()[row] - sequence * window)
+            padding = np.where(np.bitwise_count(tail) == 1, 0, window - tail)
+            views = [np.frombuffer(x, "<u2") for x in ids.to_pylist()]
+            pieces = (views[r][a:b] for r, a, b in zip(row.tolist(), start.tolist(), end.tolist(), strict=True))
+            if checksum:
+                said = pa.array([zlib.crc32(x.astype("<u4").tobytes()) for x in pieces], pa.int64())
+            else:
+                said = pa.array([x.tobytes() for x in pieces], pa.binary())
+            columns = [doc.take(pa.array(row)), *(pa.array(x.astype(np.int64)) for x in (start, end - start)), said, *(pa.array(x.astype(np.int64)) for x in (tokens[row], sequence, at[row] + start - sequence * window, padding))]
+            yield pa.RecordBatch.from_arrays(columns, names=["doc_id", "start", "length", "ids_crc32" if checksum else "ids", "doc_tokens", "sequence_id", "offset", "padding"])
+            del views, pieces, ids
+            give_back()
 
+    return run
 
-def pack(docs: DataFrame, tokenizer: str | None = None, window: int = WINDOW, end_id: int = END_ID) -> DataFrame:
-    """A row a piece: doc_id, start, length, ids (two bytes each), doc_tokens, sequence_id, offset, and the tokens that pad
-    the piece's sequence in `padding`."""
+
+def _packed(docs: DataFrame, tokenizer: str | None, window: int, end_id: int, checksum: bool) -> DataFrame:
     path = tokenizer or os.path.join(local_tokenizers(), "word_bpe_49k.json")
-    schema = f"doc_id {docs.schema['doc_id'].dataType.simpleString()}, part int, local long, tokens long, ids binary"
-    rows = stored(docs.select("doc_id", "text").mapInArrow(_tokenized(path, end_id), schema), "packed-tokens")
+    kind = docs.schema["doc_id"].dataType.simpleString()
+    tokenized = docs.select("doc_id", "text").mapInArrow(_tokenized(path, end_id), f"doc_id {kind}, part int, local long, tokens long, ids binary")
+    with arrow_rows(docs.sparkSession, 2000):
+        rows = stored(tokenized, "packed-tokens")
     sums = rows.groupBy("part").agg(F.sum("tokens").alias("n"))
     before = Window.orderBy("part").rowsBetween(Window.unboundedPreceding, -1)
     bases = sums.select("part", F.coalesce(F.sum("n").over(before), F.lit(0)).alias("base"), F.sum("n").over(Window.partitionBy()).alias("all"))
-    at = rows.join(F.broadcast(bases), "part").withColumn("at", F.col("base") + F.col("local"))  # a row a scan task
-    first, last = F.expr(f"at div {window}"), F.expr(f"(at + tokens - 1) div {window}")
-    cut = at.select("doc_id", "tokens", "at", "all", "ids", F.explode(F.sequence(first, last)).alias("sequence_id"))
-    start = F.greatest(F.lit(0), F.col("sequence_id") * window - F.col("at"))
-    end = F.least(F.col("tokens"), (F.col("sequence_id") + 1) * window - F.col("at"))
-    tail = F.when((F.col("sequence_id") + 1) * window > F.col("all"), F.col("all") - F.col("sequence_id") * window).otherwise(F.lit(window))
-    padding = F.when(F.bit_count(tail) == 1, F.lit(0)).otherwise(window - tail)
-    piece = cut.withColumn("start", start).withColumn("length", end - start)
-    return piece.select(
-        "doc_id", "start", "length",
-        F.substring(F.col("ids"), (F.col("start") * 2 + 1).cast("int"), (F.col("length") * 2).cast("int")).alias("ids"),
-        F.col("tokens").alias("doc_tokens"), "sequence_id",
-        (F.col("at") + F.col("start") - F.col("sequence_id") * window).alias("offset"), padding.cast("long").alias("padding"),
-    )
+    at = rows.join(F.broadcast(bases), "part").select("doc_id", "tokens", (F.col("base") + F.col("local")).alias("at"), "all", "ids")  # a row a scan task
+    said = "ids_crc32 long" if checksum else "ids binary"
+    return at.mapInArrow(_cut(window, checksum), f"doc_id {kind}, start long, length long, {said}, doc_tokens long, sequence_id long, offset long, padding long")
+
+
+def pack(docs: DataFrame, tokenizer: str | None = None, window: int = WINDOW, end_id: int = END_ID) -> DataFrame:
+    """A row a piece: doc_id, start, length, ids (two bytes each), doc_tokens, sequence_id, offset, and the tokens that pad
+    the piece's sequence in `padding`."""
+    return _packed(docs, tokenizer, window, end_id, False)
 
 
 def packed_pieces(docs: DataFrame, tokenizer: str | None = None, window: int = WINDOW, end_id: int = END_ID) -> DataFrame:
-    """pack() with a checksum of each piece's ids in place of them."""
-    p = pack(docs, tokenizer, window, end_id)
-    return p.select("doc_id", "start", "length", ids_crc32("ids").alias("ids_crc32"), "doc_tokens", "sequence_id", "offset")
+    """pack() with the CRC-32 of each piece's ids, written as little-endian unsigned 32-bit numbers, in place of them."""
+    return _packed(docs, tokenizer, window, end_id, True).drop("padding")

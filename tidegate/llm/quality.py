@@ -20,7 +20,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from tidegate.llm.common import arrow_function, as_bytes, stored
+from tidegate.llm.common import arrow_function, as_bytes, give_back, stored
 
 BROADCAST_SITES = 200_000  # paths (a name and some numbers each) that are sent to all; more are joined by a shuffle
 FEATURES = 136
@@ -80,7 +80,9 @@ def evidence(text: Column, weights: np.ndarray) -> Column:
 
     @F.arrow_udf("double")
     def score(column: pa.Array) -> pa.Array:
-        return pa.array([float(np.clip(features(t) @ w + constant, -30, 30)) if t else None for t in as_bytes(column)], pa.float64())
+        out = pa.array([float(np.clip(features(t) @ w + constant, -30, 30)) if t else None for t in as_bytes(column)], pa.float64())
+        give_back()
+        return out
 
     return score(text)
 

@@ -25,7 +25,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from tidegate.llm.common import LOWER_BYTES, as_bytes, splitmix, stored
+from tidegate.llm.common import LOWER_BYTES, as_bytes, give_back, splitmix, stored
 
 HOT = 4096  # distinct fingerprints of a key; above, the key is split
 LANES = 512  # rows compared at once
@@ -89,6 +89,7 @@ def sketch(text: Column, n_words: int, words: int, bands: int = 0, rows: int = 0
                 for r in range(1, rows):
                     mixed = splitmix(mixed ^ least[:, r], r)
                 keys.append(mixed)
+        give_back()
         n = len(fps)
         lists = lambda x, k: pa.ListArray.from_arrays(
             pa.array(np.arange(0, n * k + 1, k, dtype=np.int32) if k else np.zeros(n + 1, np.int32)), pa.array(np.concatenate(x).view(np.int64) if x else np.empty(0, np.int64))

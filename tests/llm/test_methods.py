@@ -99,6 +99,45 @@ def test_near_copies_hot_bands(spark, monkeypatch):
     assert [x["doc_id"] for x in simhash.near_copies(df).collect()] == [0]
 
 
+def pairs_of_similarity(r, sizes, shares):
+    """Lone pairs of texts whose five-word shingle sets have about the given shares, and the exact ones."""
+    out = []
+    for k in range(len(shares)):
+        n, s = sizes[k], shares[k]
+        common = max(1, round(s * n))
+        base = [f"d{k}w{i}" for i in range(common + 4)]  # common shingles lie in one run of words
+        extra = n - common
+        left = r.randrange(extra + 1)
+        a, b = base + [f"d{k}a{i}" for i in range(left)], base + [f"d{k}b{i}" for i in range(extra - left)]
+        sh = [{tuple(x[i : i + 5]) for i in range(len(x) - 4)} for x in (a, b)]
+        out.append((" ".join(a), " ".join(b), len(sh[0] & sh[1]) / len(sh[0] | sh[1])))
+    return out
+
+
+@pytest.mark.parametrize("sizes", [(5, 60), (100, 400)])
+def test_near_copies_exact_limit(spark, sizes):
+    """Lone pairs at 0.72 to 0.88: removed at 0.8 and above, kept below, as brute force has it."""
+    r = random.Random(11)
+    pairs = pairs_of_similarity(r, [r.randrange(*sizes) for _ in range(400)], [r.uniform(0.72, 0.88) for _ in range(400)])
+    rows = [(2 * k + side, x[side]) for k, x in enumerate(pairs) for side in (0, 1)]
+    kept = {x["doc_id"] for x in simhash.near_copies(spark.createDataFrame(rows, "doc_id long, text string")).select("doc_id").collect()}
+    for k, (_, _, s) in enumerate(pairs):
+        assert 2 * k in kept and (2 * k + 1 in kept) == (s < 0.8), (k, s)
+
+
+def test_alike_is_brute():
+    r = np.random.default_rng(5)
+    base = r.integers(0, 300, (6, 40))
+    sets = [np.unique(np.where(r.random(40) < r.choice([0.02, 0.1, 0.2]), r.integers(0, 10**6, 40), base[k % 6])) for k in range(90)]
+    parent = list(range(90))
+    for i in range(90):
+        for j in range(i):
+            if len(np.intersect1d(sets[i], sets[j])) / len(np.union1d(sets[i], sets[j])) >= 0.8:
+                x, y = sorted((parent[i], parent[j]))
+                parent = [x if p == y else p for p in parent]
+    assert simhash.alike(sets, 0.8).tolist() == parent and 6 < len(set(parent)) < 90
+
+
 # ---- token edits
 
 

@@ -9,6 +9,8 @@ blocks         rows that may be near each other share a key. `piece_keys`: the f
 bit slices     a block's fingerprints are stored as bit planes, 64 rows to a word. Distances of one row to 64 others are
                counted at once by carry-save adders over the planes; a block is left as soon as all its distances are
                over the radius.
+confirmation   `near_copies` takes the near rows of a block only as a candidate group: its members' shingle sets are
+               brought together and pairs are linked by their exact share of common shingles.
 components     each block gives its spanning links only (rows minus one at most, however many pairs are near), and
                alternating large and small stars join them over all blocks.
 
@@ -18,6 +20,7 @@ Copies of one fingerprint are one node. Keys with over HOT rows are dealt out ag
 from __future__ import annotations
 
 from itertools import combinations
+from math import comb
 
 import numpy as np
 import pyarrow as pa
@@ -25,7 +28,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from tidegate.llm.common import LOWER_BYTES, as_bytes, give_back, splitmix, stored
+from tidegate.llm.common import LOWER_BYTES, arrow_function, arrow_rows, as_bytes, give_back, splitmix, stored
 
 HOT = 4096  # distinct fingerprints of a key; above, the key is split
 LANES = 512  # rows compared at once
@@ -73,16 +76,17 @@ def least_hashes(hashes: np.ndarray, n: int) -> np.ndarray:
 
 
 def sketch(text: Column, n_words: int, words: int, bands: int = 0, rows: int = 0, distinct: bool = False) -> Column:
-    """struct<fp array<long>, bands array<long>> of a text column."""
+    """struct<fp array<long>, bands array<long>, node long> of a text column; node: a hash of the shingle set."""
 
-    @F.arrow_udf("struct<fp:array<long>,bands:array<long>>")
+    @F.arrow_udf("struct<fp:array<long>,bands:array<long>,node:long>")
     def made(column: pa.Array) -> pa.Array:
-        fps, keys = [], []
+        fps, keys, sets = [], [], []
         for text in as_bytes(column):
             h = shingle_hashes(text, n_words)
             if distinct:
                 h = np.unique(h)
             fps.append(majority(h, words))
+            sets.append(xxhash.xxh64_intdigest(h.tobytes(), SEED))
             if bands:
                 least = least_hashes(h, bands * rows).reshape(bands, rows)
                 mixed = least[:, 0]
@@ -94,7 +98,22 @@ def sketch(text: Column, n_words: int, words: int, bands: int = 0, rows: int = 0
         lists = lambda x, k: pa.ListArray.from_arrays(
             pa.array(np.arange(0, n * k + 1, k, dtype=np.int32) if k else np.zeros(n + 1, np.int32)), pa.array(np.concatenate(x).view(np.int64) if x else np.empty(0, np.int64))
         )
-        return pa.StructArray.from_arrays([lists(fps, words), lists(keys, bands)], names=["fp", "bands"])
+        node = pa.array(np.array(sets, np.uint64).view(np.int64))
+        return pa.StructArray.from_arrays([lists(fps, words), lists(keys, bands), node], names=["fp", "bands", "node"])
+
+    return made(text)
+
+
+def shingle_sets(text: Column, n_words: int) -> Column:
+    """array<long>: the distinct shingle hashes of a text, in order."""
+
+    @arrow_function("array<long>")
+    def made(column: pa.Array) -> pa.Array:
+        sets = [np.unique(shingle_hashes(text, n_words)).view(np.int64) for text in as_bytes(column)]
+        ends = np.concatenate(([0], np.cumsum([len(x) for x in sets], dtype=np.int64)))
+        out = pa.ListArray.from_arrays(pa.array(ends.astype(np.int32)), pa.array(np.concatenate(sets) if sets else np.empty(0, np.int64)))
+        give_back()
+        return out
 
     return made(text)
 
@@ -187,8 +206,20 @@ def labels(fps: np.ndarray, radius: int) -> np.ndarray:
     return parent
 
 
-def _link_blocks(radius: int, words: int):
-    """mapInArrow over (key, node, fp) in order of key: the spanning links of the rows that share keys."""
+def _groups(nodes: np.ndarray, root: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(group, node) of the components of two rows or more; equal components have equal groups, whatever key found them."""
+    order = np.argsort(root, kind="stable")
+    starts = np.flatnonzero(np.diff(root[order], prepend=-1))
+    size = np.diff(starts, append=len(order))
+    with np.errstate(over="ignore"):
+        ids = np.add.reduceat(splitmix(nodes[order].view(np.uint64), 3), starts).view(np.int64)
+    several = np.repeat(size > 1, size)
+    return np.repeat(ids, size)[several], nodes[order][several]
+
+
+def _link_blocks(radius: int, words: int, groups: bool = False):
+    """mapInArrow over (key, node, fp) in order of key: the spanning links of the rows that share keys, or (group, node) of
+    the components within each block."""
 
     def links(nodes, fps, keys):
         order = np.arange(len(nodes))
@@ -206,7 +237,9 @@ def _link_blocks(radius: int, words: int):
                 continue
             root = labels(fps[part], radius)
             off = root != np.arange(len(part))
-            if off.any():
+            if off.any() and groups:
+                yield _groups(nodes[part], root)
+            elif off.any():
                 yield nodes[part[off]], nodes[part[root[off]]]
 
     def run(batches):
@@ -229,6 +262,85 @@ def _link_blocks(radius: int, words: int):
     return run
 
 
+# ---- exact similarity --------------------------------------------------------------------------------------------
+
+
+def alike(sets: list[np.ndarray], similarity: float) -> np.ndarray:
+    """Component of each set: the least row that pairs with at least this share of common members lead to. Pairs that are
+    joined already are not counted again."""
+    n, size = len(sets), np.array([len(x) for x in sets], np.int64)
+    cuts = np.concatenate(([0], np.cumsum(size)))
+    ids = np.unique(np.concatenate(sets), return_inverse=True)[1]
+    parent, has = np.arange(n), np.zeros(cuts[-1] + 1, np.int32)
+    for i in range(n - 1):
+        j = np.flatnonzero(parent[i + 1 :] != parent[i]) + i + 1
+        j = j[np.minimum(size[j], size[i]) >= similarity * np.maximum(size[j], size[i]) - 1e-6]
+        if not len(j):
+            continue
+        mine = ids[cuts[i] : cuts[i + 1]]
+        has[mine] = 1
+        total = np.concatenate(([0], np.cumsum(has[np.concatenate([ids[cuts[k] : cuts[k + 1]] for k in j])])))
+        has[mine] = 0
+        ends = np.cumsum(size[j])
+        common = total[ends] - total[ends - size[j]]
+        hit = common / np.maximum(size[i] + size[j] - common, 1) >= similarity
+        if hit.any():
+            joined = np.unique(np.append(parent[j[hit]], parent[i]))
+            parent[np.isin(parent, joined)] = joined[0]
+    return parent
+
+
+def _confirm_blocks(similarity: float):
+    """mapInArrow over (group, node, set) in order of group: spanning links of the pairs that are similar."""
+
+    def links(nodes, sets, groups):
+        cuts = [0, *(np.flatnonzero(groups[1:] != groups[:-1]) + 1).tolist(), len(groups)]
+        a, b = [], []
+        for x, y in zip(cuts, cuts[1:], strict=False):
+            if y - x > 1:
+                root, mine = alike(sets[x:y], similarity), nodes[x:y]
+                off = root != np.arange(y - x)
+                a.append(mine[off])
+                b.append(mine[root[off]])
+        if a:
+            yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(x)) for x in (a, b)], names=["a", "b"])
+
+    def run(batches):
+        groups, nodes, sets = np.empty(0, np.int64), np.empty(0, np.int64), []
+        for batch in batches:
+            if not batch.num_rows:
+                continue
+            more, new = (batch.column(k).to_numpy(zero_copy_only=False) for k in (0, 1))
+            # copies, so that no batch is held for the sake of a few rows
+            flat, ends = batch.column(2).flatten().to_numpy().copy(), np.cumsum(batch.column(2).value_lengths().to_numpy())
+            groups, nodes, sets = np.concatenate((groups, more)), np.concatenate((nodes, new)), [*sets, *np.split(flat, ends[:-1])]
+            whole = int(np.searchsorted(groups, groups[-1]))  # the last group may go on in the next batch
+            yield from links(nodes[:whole], sets[:whole], groups[:whole])
+            groups, nodes, sets = groups[whole:], nodes[whole:], sets[whole:]
+        if len(groups):
+            yield from links(nodes, sets, groups)
+        give_back()
+
+    return run
+
+
+def widest_share(similarity: float) -> float:
+    """Largest mean share of bits in which SimHashes of sets of this similarity or more differ. Large sets: the angle's
+    share, arccos(2s / (1 + s)) / pi. Small ones differ more, as even counts can tie: every way for up to 40 members."""
+    most = float(np.arccos(2 * similarity / (1 + similarity)) / np.pi)
+    half = lambda n: [comb(n, k) / 2**n for k in range(n + 1)]
+    for union in range(2, 41):
+        for common in range(1, union):
+            if common / union < similarity:
+                continue
+            for x in range((union - common) // 2 + 1):
+                y = union - common - x
+                one = lambda k, extra: sum(p for e, p in enumerate(half(extra)) if 2 * (k + e) > common + extra)
+                differ = sum(p * (a + b - 2 * a * b) for k, p in enumerate(half(common)) for a, b in [(one(k, x), one(k, y))])
+                most = max(most, differ)
+    return most
+
+
 # ---- keys --------------------------------------------------------------------------------------------------------
 
 
@@ -258,8 +370,9 @@ def finer_keys(fp: Column, radius: int, choice: Column) -> Column:
     return F.element_at(F.array(*sets), choice + 1)
 
 
-def near_links(nodes: DataFrame, radius: int, words: int = 1) -> DataFrame:
-    """(a, b) links that span the near rows. nodes: node long and keys array<long>, and fp array<long> if words > 1
+def near_links(nodes: DataFrame, radius: int, words: int = 1, groups: bool = False) -> DataFrame:
+    """(a, b) links that span the near rows, or with groups (group, node) of candidate groups, which hold every near pair
+    that shares a key. nodes: node long and keys array<long>, and fp array<long> if words > 1
     (else node is the fingerprint).
 
     Keys of one row go at once. A key of over HOT nodes is dealt out again by finer keys: for pieces by the other bits,
@@ -268,7 +381,7 @@ def near_links(nodes: DataFrame, radius: int, words: int = 1) -> DataFrame:
     spread = nodes.select(F.posexplode("keys").alias("choice", "key"), "node")
     counted = spread.withColumn("n", F.count(F.lit(1)).over(Window.partitionBy("key"))).where("n > 1")
     cold, hot = counted.where(F.col("n") <= HOT), counted.where(F.col("n") > HOT)
-    link, schema = _link_blocks(radius, words), "a long, b long"
+    link, schema = _link_blocks(radius, words, groups), "a long, b long"
     again = lambda df: df.repartition("key").sortWithinPartitions("key").mapInArrow(link, schema)
     if words == 1:
         fine = hot.select("key", "node", F.explode(finer_keys(F.col("node"), radius, F.col("choice"))).alias("m"))
@@ -279,7 +392,8 @@ def near_links(nodes: DataFrame, radius: int, words: int = 1) -> DataFrame:
         first = again(cold.select("key", "node").join(prints.select("node", "fp"), "node").select("key", "node", "fp"))
         fine = hot.join(prints, "node").select("key", "node", "fp", F.explode(F.filter("keys", lambda k: k != F.col("key"))).alias("m"))
         second = again(fine.select(F.xxhash64(F.least("key", "m"), F.greatest("key", "m")).alias("key"), "node", "fp"))
-    return first.unionByName(second).distinct()
+    out = first.unionByName(second).distinct()
+    return out.toDF("group", "node") if groups else out
 
 
 # ---- components --------------------------------------------------------------------------------------------------
@@ -328,23 +442,27 @@ def simhash_classes(docs: DataFrame, n_words: int = 3, radius: int = 2) -> DataF
     return out.select("doc_id", F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), "component_id")
 
 
-def near_copies(docs: DataFrame, n_words: int = 5, similarity: float = 0.8, words: int = 8, bands: int = 12, rows: int = 4) -> DataFrame:
+def near_copies(docs: DataFrame, n_words: int = 5, similarity: float = 0.8, words: int = 8, bands: int = 16, rows: int = 4) -> DataFrame:
     """docs without near copies: of each group the row with the least doc_id stays (null last), ties by text.
 
-    Similarity is that of the shingle sets (shared over all), read from the distance of `words` x 64-bit SimHashes of the
-    distinct shingles: a share s of common shingles means a cosine of 2s / (1 + s), and an angle t differs in t / 180 degrees
-    of the bits. The limit in bits leaves the measure's standard error in favour of a link.
+    Similarity is that of the shingle sets (shared over all) and is exact. Rows that share a band are filtered by the distance of
+    `words` x 64-bit SimHashes of the distinct shingles, with a limit 3.5 standard errors over the mean at `similarity`;
+    pairs of what is left are counted shingle by shingle.
     """
-    bits = 64 * words
-    share = lambda s: float(np.arccos(2 * s / (1 + s)) / np.pi)
-    p = share(similarity)
-    radius = int(round(bits * p + 0.7 * (bits * p * (1 - p)) ** 0.5))
+    bits, p = 64 * words, widest_share(similarity)
+    radius = int(np.ceil(bits * p + 3.5 * (bits * p * (1 - p)) ** 0.5))
     key = F.xxhash64("doc_id", "text")
     made = docs.select("doc_id", key.alias("k"), sketch(F.col("text"), n_words, words, bands, rows, distinct=True).alias("s"))
     keyed = F.transform("s.bands", lambda k, i: F.xxhash64(i, k))
-    prints = stored(made.select("doc_id", "k", "s.fp", keyed.alias("keys"), F.xxhash64("s.fp").alias("node")), "sketches")
-    nodes = stored(prints.groupBy("node").agg(F.first("fp").alias("fp"), F.first("keys").alias("keys")), "sketch-nodes")
-    roots = components(near_links(nodes, radius, words))
+    prints = stored(made.select("doc_id", "k", "s.fp", keyed.alias("keys"), "s.node"), "sketches")
+    nodes = stored(prints.groupBy("node").agg(F.first("fp").alias("fp"), F.first("keys").alias("keys"), F.min("k").alias("k")), "sketch-nodes")
+    groups = stored(near_links(nodes, radius, words, groups=True), "candidates")
+    texts = docs.select(key.alias("k"), "text").join(nodes.select("node", "k").join(groups.select("node").distinct(), "node"), "k").dropDuplicates(["k"])
+    with arrow_rows(docs.sparkSession, 1_000):
+        sets = stored(texts.select("node", shingle_sets(F.col("text"), n_words).alias("set")), "shingles")
+        pairs = groups.join(sets, "node").select("group", "node", "set").repartition("group").sortWithinPartitions("group")
+        links = stored(pairs.mapInArrow(_confirm_blocks(similarity), "a long, b long").distinct(), "similar")
+    roots = components(links)
     grouped = prints.select("doc_id", "k", "node").join(roots, "node", "left").withColumn("group", F.coalesce("root", "node"))
     first = grouped.groupBy("group").agg(F.min(F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "k")).alias("stay"))
     mine = docs.withColumn("_key", key).join(first.select(F.col("stay.k").alias("_key")), "_key", "left_semi")

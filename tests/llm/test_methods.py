@@ -99,6 +99,19 @@ def test_near_copies_hot_bands(spark, monkeypatch):
     assert [x["doc_id"] for x in simhash.near_copies(df).collect()] == [0]
 
 
+@pytest.mark.parametrize("hot", [4, 4096])
+def test_only_key_is_hot(spark, monkeypatch, hot):
+    """Two near rows that share one hot band and no other still meet."""
+    monkeypatch.setattr(simhash, "HOT", hot)
+    r = np.random.default_rng(9)
+    fps = r.integers(0, 2**62, (50, 2)).tolist()
+    fps[31] = [fps[17][0] ^ 5, fps[17][1]]
+    rows = [(k, fps[k], [7, 1000 + k, 2000 + k]) for k in range(50)]
+    nodes = spark.createDataFrame(rows, "node long, fp array<long>, keys array<long>")
+    assert {tuple(sorted(x)) for x in simhash.near_links(nodes, 4, 2).collect()} == {(17, 31)}
+    assert {x["node"] for x in simhash.near_links(nodes, 4, 2, groups=True).collect()} == {17, 31}
+
+
 def pairs_of_similarity(r, sizes, shares):
     """Lone pairs of texts whose five-word shingle sets have about the given shares, and the exact ones."""
     out = []

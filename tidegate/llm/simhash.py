@@ -14,7 +14,8 @@ confirmation   `near_copies` takes the near rows of a block only as a candidate
 components     each block gives its spanning links only (rows minus one at most, however many pairs are near), and
                alternating large and small stars join them over all blocks.
 
-Copies of one fingerprint are one node. Keys with over HOT rows are dealt out again by further keys. Null texts are empty.
+Copies of one fingerprint (near_copies: of one shingle set) are one node. Keys with over HOT nodes are dealt out again, by
+further keys or by pairs of blocks. Null texts are empty.
 """
 
 from __future__ import annotations
@@ -208,7 +209,9 @@ def labels(fps: np.ndarray, radius: int) -> np.ndarray:
 
 def _groups(nodes: np.ndarray, root: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """(group, node) of the components of two rows or more; equal components have equal groups, whatever key found them."""
-    order = np.argsort(root, kind="stable")
+    order = np.lexsort((nodes, root))
+    again = (np.diff(root[order], prepend=-1) == 0) & (nodes[order] == np.roll(nodes[order], 1))  # a node under two keys
+    order = order[~again]
     starts = np.flatnonzero(np.diff(root[order], prepend=-1))
     size = np.diff(starts, append=len(order))
     with np.errstate(over="ignore"):
@@ -236,7 +239,7 @@ def _link_blocks(radius: int, words: int, groups: bool = False):
             if len(part) < 2:
                 continue
             root = labels(fps[part], radius)
-            off = root != np.arange(len(part))
+            off = nodes[part] != nodes[part[root]]  # the same node may be there under two keys
             if off.any() and groups:
                 yield _groups(nodes[part], root)
             elif off.any():
@@ -375,8 +378,9 @@ def near_links(nodes: DataFrame, radius: int, words: int = 1, groups: bool = Fal
     that shares a key. nodes: node long and keys array<long>, and fp array<long> if words > 1
     (else node is the fingerprint).
 
-    Keys of one row go at once. A key of over HOT nodes is dealt out again by finer keys: for pieces by the other bits,
-    for bands by the row's other bands. What then is still large is compared block by block.
+    Keys of one row go at once. A key of over HOT nodes is dealt out again: for pieces by the other bits, of which near
+    rows share a part; for bands by every two of its blocks of nodes, so that any two of its nodes meet. What then is still
+    large is compared lane by lane.
     """
     spread = nodes.select(F.posexplode("keys").alias("choice", "key"), "node")
     counted = spread.withColumn("n", F.count(F.lit(1)).over(Window.partitionBy("key"))).where("n > 1")
@@ -388,10 +392,13 @@ def near_links(nodes: DataFrame, radius: int, words: int = 1, groups: bool = Fal
         first = cold.select("key", "node", F.array("node").alias("fp")).mapInArrow(link, schema)
         second = again(fine.select(F.xxhash64("key", "m").alias("key"), "node", F.array("node").alias("fp")))
     else:
-        prints = nodes.select("node", "fp", "keys")
-        first = again(cold.select("key", "node").join(prints.select("node", "fp"), "node").select("key", "node", "fp"))
-        fine = hot.join(prints, "node").select("key", "node", "fp", F.explode(F.filter("keys", lambda k: k != F.col("key"))).alias("m"))
-        second = again(fine.select(F.xxhash64(F.least("key", "m"), F.greatest("key", "m")).alias("key"), "node", "fp"))
+        prints = nodes.select("node", "fp")
+        first = again(cold.select("key", "node").join(prints, "node").select("key", "node", "fp"))
+        # blocks of a key by a hash of the node; every two of them meet, each with itself too
+        cut = hot.select("key", "node", F.ceil(F.col("n") / HOT).cast("long").alias("blocks")).withColumn("mine", F.pmod(F.xxhash64("node"), F.col("blocks")))
+        dealt = cut.withColumn("other", F.explode(F.sequence(F.lit(0).cast("long"), F.col("blocks") - 1)))
+        pair = F.xxhash64("key", F.least("mine", "other"), F.greatest("mine", "other"))
+        second = again(dealt.select(pair.alias("key"), "node").join(prints, "node").select("key", "node", "fp"))
     out = first.unionByName(second).distinct()
     return out.toDF("group", "node") if groups else out
 

@@ -327,3 +327,23 @@ def test_late_rows_and_alarms(spark, tmp_path):
     q.awaitTermination()
     alarms = {(r["worker_id"], r["last_us"] // 60_000_000) for r in spark.read.schema("worker_id int, last_us long").parquet(f"{tmp_path}/o").collect()}
     assert alarms == {(2, 5), (1, 20), (1, 210)}
+
+
+def test_all_rows_train_and_test(spark):
+    """Small sub-shards hold all training rows and take turns; a run reports the whole test split."""
+    from tidegate.plans.experiments import _shared_out
+    from tidegate.plans.learners import Softmax, evaluate
+    from tidegate.plans.trainer import BSP, TrainConfig, train
+    from tidegate.sources import tables
+
+    r = np.random.default_rng(4)
+    rows = [(k, [float(v) for v in r.normal(size=2)], k % 2, "train" if k < 1200 else "test") for k in range(6000)]
+    df = spark.createDataFrame(rows, "key long, features array<float>, label long, split string")
+    learner = _shared_out(spark, df, Softmax(2, 2), 42, shard_rows=20)
+    assert learner.rows == learner.shards.count() == 1200
+    assert learner.shards.groupBy("worker_id", "sub").count().agg({"count": "max"}).first()[0] < 45
+    out = train(spark, learner, tables.fleet_rows(), BSP, TrainConfig(n0=20, max_merges=6), "all")
+    assert all(learner.turns[w] == 5 for w in learner.subs) and max(learner.subs.values()) <= 6
+    assert len(learner.y) == 2000 and learner.test.count() == 4800
+    assert out.accuracy == evaluate(learner.model, out.params, learner.test)[1]
+    learner.close()

@@ -42,15 +42,15 @@ def text_learner(spark: SparkSession, sf: str, model: str = "mlp", seed: int = 4
 
 
 def _shared_out(spark, rows: DataFrame, model, seed: int, skew=None, shard_rows: int = 100_000) -> SparkLearner:
-    """A learner whose workers hold shards of at most `shard_rows` rows, whatever the table's size."""
-    alloc = tables.fleet(spark).select("worker_id", F.lit(shard_rows).cast("long").alias("n_rows"), F.lit(16).alias("batch_rows"))
+    """A learner whose workers share all training rows, in sub-shards of about `shard_rows` rows."""
+    alloc = tables.fleet(spark).select("worker_id", F.lit(10**9).cast("long").alias("n_rows"), F.lit(16).alias("batch_rows"))
     train_rows = rows.where("split = 'train'")
     if skew is None:
         shards = sizing.deal_rows(train_rows, F.col("key"), alloc, seed=seed)
     else:  # two rows of five go by label, the others anywhere: shards differ, and none lacks a label
         by_label = F.pmod("key", F.lit(5)) < 2
         shards = sizing.deal_rows(train_rows.where(by_label), F.col("key"), alloc, seed=seed, skew=skew).unionByName(sizing.deal_rows(train_rows.where(~by_label), F.col("key"), alloc, seed=seed))
-    return SparkLearner(shards, rows.where("split = 'test'"), model, seed)
+    return SparkLearner(shards, rows.where("split = 'test'"), model, seed, shard_rows=shard_rows)
 
 
 def compare(spark: SparkSession, learner, policies=ALL, cfg: TrainConfig = SMALL, workers: list[tuple] | None = None, tag: str = "") -> list[RunResult]:

@@ -275,20 +275,27 @@ def mean_loss(model, p: np.ndarray, x: np.ndarray, y: np.ndarray) -> tuple[float
 class SparkLearner:
     """A model trained in Spark tasks: shards are cached by worker, parameters are broadcast, a job runs all segments.
 
+    A worker's rows lie in sub-shards of about `shard_rows` rows, by a hash of key. A segment takes one of them, the next
+    segment of the worker the next one, so that all rows take part and a task holds one sub-shard.
     The held-out probe that workers and server evaluate on is a bounded sample of the test split (least hashes of key);
     evaluate_all() goes over the whole of it.
     """
 
-    def __init__(self, shards: DataFrame, test: DataFrame, model, seed: int = 42, probe_rows: int = 2000):
+    def __init__(self, shards: DataFrame, test: DataFrame, model, seed: int = 42, probe_rows: int = 2000, shard_rows: int = 100_000):
         self.spark, self.model, self.seed = shards.sparkSession, model, seed
-        self.shards = shards.select("worker_id", "key", "features", "label").repartition("worker_id").sortWithinPartitions("worker_id", "key").persist()
+        counts = {r["worker_id"]: r["count"] for r in shards.groupBy("worker_id").count().collect()}  # a row a worker
+        self.subs = {w: -(-n // shard_rows) for w, n in counts.items()}
+        self.turns: dict[int, int] = {}
+        subs = F.coalesce(*[F.when(F.col("worker_id") == w, n) for w, n in self.subs.items()], F.lit(1))
+        shards = shards.select("worker_id", F.pmod(F.xxhash64("key", F.lit(seed)), subs).cast("int").alias("sub"), "key", "features", "label")
+        self.shards = shards.repartition("worker_id", "sub").sortWithinPartitions("worker_id", "sub", "key").persist()
         self.test = test
         probe = test.orderBy(F.xxhash64("key"), "key").limit(probe_rows).select("features", "label").collect()
         self.x = np.array([r["features"] for r in probe], np.float64).reshape(len(probe), -1)
         self.y = np.array([r["label"] for r in probe], np.int64)
         self.probe = self.spark.sparkContext.broadcast((self.x, self.y))
         self.w_init = model.init(seed)
-        self.rows = self.shards.count()
+        self.rows = sum(counts.values())
         self.row_bytes = 4 * (self.x.shape[1] if len(probe) else 1)
         self.jobs = 0
 
@@ -313,8 +320,12 @@ class SparkLearner:
             done = run_segment(s, w_init, steps, lambda p: mean_loss(model, p, px, py)[0])
             return pa.table({"worker_id": pa.array([s.worker_id], pa.int32()), "state": pa.array([pickle.dumps(done)], pa.binary())})
 
-        wanted = self.shards.where(F.col("worker_id").isin([s.worker_id for s in segments]))
-        got = {r["worker_id"]: pickle.loads(r["state"]) for r in wanted.groupBy("worker_id").applyInArrow(train, "worker_id int, state binary").collect()}
+        chosen = F.lit(False)
+        for s in segments:  # a run starts over
+            self.turns[s.worker_id] = turn = self.turns.get(s.worker_id, -1) + 1 if s.iteration else 0
+            chosen |= (F.col("worker_id") == s.worker_id) & (F.col("sub") == turn % self.subs.get(s.worker_id, 1))
+        wanted = self.shards.where(chosen)
+        got = {r["worker_id"]: pickle.loads(r["state"]) for r in wanted.groupBy("worker_id", "sub").applyInArrow(train, "worker_id int, state binary").collect()}
         tasks.unpersist()
         self.jobs += 1
         out = []

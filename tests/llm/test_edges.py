@@ -162,6 +162,17 @@ def test_fixity(spark):
     assert all(r["damaged"] for r in fixity.audit(a, none).collect())
 
 
+def test_fixity_replica_only(spark):
+    """A record at the end of a replica's file and a file of its own are damaged, and nothing else is."""
+    kind = "page_id long, url string, html string"
+    mine = [(k, f"u{k}", "x") for k in range(1000)]
+    theirs = [*mine, (1005, "u1005", "y"), *[(k, f"u{k}", "z") for k in range(4096, 4100)]]
+    a, b = (fixity.manifest(spark.createDataFrame(r, kind), 512) for r in (mine, theirs))
+    got = fixity.audit(a, b).collect()
+    assert sorted(r["page_id"] for r in got) == sorted(r[0] for r in theirs)
+    assert {r["page_id"] for r in got if r["damaged"]} == {1005, 4096, 4097, 4098, 4099}
+
+
 def test_neighbours(spark):
     v = [0.5, 0.25, -1.0, 0.0]
     rows = [(0, v), (1, v), (2, None), (3, [0.0] * 4), (4, [float("nan"), 1.0, 1.0, 1.0]), (5, [float("inf"), 0.0, 0.0, 0.0]), (6, [None, 1.0, 0.0, 0.0]), (7, v), (8, [-x for x in v]), (20, [1.0, 0.0, 0.0, 0.0]), (None, v)]

@@ -72,7 +72,10 @@ def mismatches(a: DataFrame, b: DataFrame) -> DataFrame:
 
 
 def audit(mine: DataFrame, replica: DataFrame) -> DataFrame:
-    """The manifest's rows with `damaged`; replica: another manifest. Both are written once, so records are hashed once."""
+    """The manifest's rows with `damaged`, and the rows that only the replica has, as damaged; replica: another manifest. Both
+    are written once, so records are hashed once."""
     mine, replica = stored(mine, "manifest"), stored(replica, "manifest")
-    bad = mismatches(tree(mine), tree(replica)).withColumn("damaged", F.lit(True))
-    return mine.join(bad, ["file_no", "record_no"], "left").withColumn("damaged", F.coalesce("damaged", F.lit(False)))
+    bad, place = mismatches(tree(mine), tree(replica)), ["file_no", "record_no"]
+    own = mine.join(bad.withColumn("damaged", F.lit(True)), place, "left").withColumn("damaged", F.coalesce("damaged", F.lit(False)))
+    extra = replica.join(bad, place).join(mine.select(place), place, "left_anti").withColumn("damaged", F.lit(True))
+    return own.unionByName(extra)

@@ -267,6 +267,33 @@ def test_encoder_special_runs():
         assert got.tolist() == [*e.tokenizer.encode(t, add_special_tokens=False).ids, 2], t
 
 
+HARD = [*"İıŞßẞÉéΣσςﬁK Å\u0958\ufb1d\u0307\u0301\u0345ªºǅ𝐀ᄀ\u1161가½²٣日ー々'’_-.,!?()<>|~^$\x1c\x85\xa0\u3000 \tabXYZ09", "'s", "<|endoftext|>", "İ,", "i\u0307"]
+
+
+@settings(max_examples=500, deadline=None)
+@given(st.lists(st.one_of(st.sampled_from(HARD), st.characters(blacklist_categories=["Cs"])), max_size=14))
+def test_encoder_is_tokenizer(parts):
+    e, text = packing.encoder(packing.os.path.join(packing.local_tokenizers(), "word_bpe_49k.json")), "".join(parts)
+    assert e.texts(pa.array([text]), 2)[0].tolist() == [*e.tokenizer.encode(text, add_special_tokens=False).ids, 2]
+
+
+def test_encoder_letters_before_marks():
+    """Each letter there is, before marks: some are normalised into a letter and a mark, which the marks join."""
+    e = packing.encoder(packing.os.path.join(packing.local_tokenizers(), "word_bpe_49k.json"))
+    texts = [f"x{c}!? {c}," for c in map(chr, range(0x80, 0x30000)) if c.isalpha()]
+    for t, got, want in zip(texts, e.texts(pa.array(texts), 2), e.tokenizer.encode_batch_fast(texts, add_special_tokens=False), strict=True):
+        assert got.tolist() == [*want.ids, 2], t
+
+
+def test_wide_ids(spark):
+    """Ids of 65,536 and more are kept in four bytes."""
+    docs = spark.createDataFrame([(1, "a b c"), (2, None)], "doc_id long, text string")
+    got = {r["doc_id"]: np.frombuffer(r["ids"], "<u4").tolist() for r in packing.pack(docs, end_id=70_000).collect()}
+    assert got[1][-1] == got[2][-1] == 70_000 and len(got[1]) == 4
+    with pytest.raises(ValueError):
+        packing.pack(docs, end_id=2**32)
+
+
 def test_generations_turn_over(monkeypatch):
     monkeypatch.setattr(packing, "REMEMBER", 10)
     e = packing.WordEncoder(packing.os.path.join(packing.local_tokenizers(), "word_bpe_49k.json"))

@@ -2,9 +2,10 @@
 
 Pass 1 tokenizes and writes, for each document, its token ids, its scan partition and the tokens before it in that
 partition. Pass 2 sums the partitions (as many rows as there were tasks), turns the sums into the partitions' offsets, and
-so knows each document's place in one endless row of tokens (ids under 65,536 are kept in two bytes). Fixed windows cut that row; a document that crosses a window's
-edge gives one record for each window it touches. No document moves between machines for this, and a long document is cut
-like any other. Only the last window is not full: it is padded to the window, or left as it is at a power of two.
+so knows each document's place in one endless row of tokens (ids are kept in two bytes, or in four where the tokenizer or the
+end id has larger ones). Fixed windows cut that row; a document that crosses a window's edge gives one record for each window
+it touches. No document moves between machines for this, and a long document is cut like any other. Only the last window is
+not full: it is padded to the window, or left as it is at a power of two.
 
 Ids are what the tokenizers library gives for the whole text. Text is encoded in runs between ASCII white space, which this
 vocabulary's pre-tokenizer never joins, and ids of runs are remembered, since most runs return (WordEncoder).
@@ -39,7 +40,8 @@ class WordEncoder:
     """Token ids of texts, as little-endian unsigned 32-bit bytes.
 
     Texts are parted at ASCII white space, where this vocabulary's pre-tokenizer always parts. Letters and the marks after
-    them are separate pre-tokens, so runs are held as letters (ASCII ones folded) and marks; any other run is held whole.
+    them are separate pre-tokens, so runs are held as letters (ASCII ones folded) and marks; any other run is held whole, as
+    is one with a letter that normalising turns into a letter and a mark (sound()), for that mark joins those that follow.
     Those seen lately are remembered in two generations: when the young one is full it becomes the old one, and what is met
     again moves back. New letters are encoded many at a time, joined by blanks, and parted after ids that end a pre-token.
     """
@@ -55,10 +57,21 @@ class WordEncoder:
         self.young: dict[bytes, bytes] = {}
         self.old: dict[bytes, bytes] = {}
         self.marks: dict[str, bytes] = {}
+        self.letters: dict[str, bool] = {}
+        self.largest = max(self.tokenizer.get_vocab(with_added_tokens=True).values())
 
     def _one(self, run: str) -> bytes:
         return np.asarray(self.tokenizer.encode(run, add_special_tokens=False).ids, "<u4").tobytes()
 
+    def sound(self, letter: str) -> bool:
+        """Whether a mark after this letter is a pre-token of its own."""
+        got = self.letters.get(letter)
+        if got is None:
+            t = self.tokenizer
+            alone, marked = ([x for x, _ in t.pre_tokenizer.pre_tokenize_str(t.normalizer.normalize_str(w))] for w in (letter, letter + ","))
+            got = self.letters[letter] = len(alone) == 1 and marked == [*alone, ","]
+        return got
+
     def _letters(self, words: list[bytes]) -> dict[bytes, bytes]:
         out = {}
         for at in range(0, len(words), 4000):
@@ -92,13 +105,21 @@ class WordEncoder:
         low = pc.if_else(pc.string_is_ascii(words), pc.ascii_lower(words), words)
         core = pc.utf8_rtrim(low, MARKS)
         plain = pc.utf8_is_alpha(core)
+        other = np.flatnonzero(pc.and_(plain, pc.invert(pc.string_is_ascii(core))).to_numpy(zero_copy_only=False))
+        if len(other):
+            odd = [k for k, w in zip(other.tolist(), core.take(pa.array(other)).to_pylist(), strict=True) if not all(map(self.sound, {c for c in w if c > "\x7f"}))]
+            if odd:
+                mask = plain.to_numpy(zero_copy_only=False).copy()
+                mask[odd] = False
+                plain = pa.array(mask)
         coded = pc.if_else(plain, core, words).dictionary_encode()
         bases = coded.dictionary.cast(pa.binary()).to_pylist()
         got = list(map(self.young.get, bases))
         missing = [k for k, g in enumerate(got) if g is None]
         if missing:
-            letters = pc.utf8_is_alpha(coded.dictionary.take(pa.array(missing, pa.int64()))).to_pylist()
-            self.learn([bases[k] for k in missing], letters)
+            alone = np.zeros(len(bases), bool)
+            alone[coded.indices.to_numpy()[plain.to_numpy(zero_copy_only=False)]] = True
+            self.learn([bases[k] for k in missing], alone[missing].tolist())
             for k in missing:
                 got[k] = self.young[bases[k]]
         out = [got[k] for k in coded.indices.to_pylist()]
@@ -186,6 +207,7 @@ def encoder(path: str) -> WordEncoder:
 def _tokenized(path: str, end_id: int):
     def run(batches):
         e, part, before = encoder(path), TaskContext.get().partitionId(), 0
+        kind = "<u2" if max(e.largest, end_id) < 1 << 16 else "<u4"
         for k, batch in enumerate(batches):
             at = 0
             for ids in e.some(batch.column(1).cast(pa.string()), end_id):
@@ -193,7 +215,7 @@ def _tokenized(path: str, end_id: int):
                 places = before + np.cumsum(counts) - counts
                 before += int(counts.sum())
                 yield pa.RecordBatch.from_arrays(
-                    [batch.column(0).slice(at, len(ids)), pa.array(np.full(len(ids), part, np.int32)), pa.array(places), pa.array(counts), pa.array([x.astype("<u2").tobytes() for x in ids], pa.binary())],
+                    [batch.column(0).slice(at, len(ids)), pa.array(np.full(len(ids), part, np.int32)), pa.array(places), pa.array(counts), pa.array([x.astype(kind).tobytes() for x in ids], pa.binary())],
                     names=["doc_id", "part", "local", "tokens", "ids"],
                 )
                 at += len(ids)
@@ -219,7 +241,7 @@ def _cut(window: int, checksum: bool):
             end = np.minimum(tokens[row], (sequence + 1) * window - at[row])
             tail = np.minimum(window, everything.to_numpy()[row] - sequence * window)
             padding = np.where(np.bitwise_count(tail) == 1, 0, window - tail)
-            views = [np.frombuffer(x, "<u2") for x in ids.to_pylist()]
+            views = [np.frombuffer(x, "<u2" if len(x) == 2 * n else "<u4") for x, n in zip(ids.to_pylist(), tokens.tolist(), strict=True)]
             pieces = (views[r][a:b] for r, a, b in zip(row.tolist(), start.tolist(), end.tolist(), strict=True))
             if checksum:
                 said = pa.array([zlib.crc32(x.astype("<u4").tobytes()) for x in pieces], pa.int64())
@@ -234,6 +256,8 @@ def _cut(window: int, checksum: bool):
 
 
 def _packed(docs: DataFrame, tokenizer: str | None, window: int, end_id: int, checksum: bool) -> DataFrame:
+    if not 0 <= end_id < 1 << 32:
+        raise ValueError(f"end_id {end_id} is no unsigned 32-bit number")
     path = tokenizer or os.path.join(local_tokenizers(), "word_bpe_49k.json")
     kind = docs.schema["doc_id"].dataType.simpleString()
     tokenized = docs.select("doc_id", "text").mapInArrow(_tokenized(path, end_id), f"doc_id {kind}, part int, local long, tokens long, ids binary")
@@ -248,7 +272,7 @@ def _packed(docs: DataFrame, tokenizer: str | None, window: int, end_id: int, ch
 
 
 def pack(docs: DataFrame, tokenizer: str | None = None, window: int = WINDOW, end_id: int = END_ID) -> DataFrame:
-    """A row a piece: doc_id, start, length, ids (two bytes each), doc_tokens, sequence_id, offset, and the tokens that pad
+    """A row a piece: doc_id, start, length, ids (two or four bytes each), doc_tokens, sequence_id, offset, and the tokens that pad
     the piece's sequence in `padding`."""
     return _packed(docs, tokenizer, window, end_id, False)
 

@@ -7,11 +7,14 @@ Search  a query visits the `probes` lists whose centroids have the largest inner
         codes meet by asymmetric distance tables (query slice times codeword); the `shortlist` best, and all others that
         the tables' errors could hide, are rescored exactly, in double precision on the original vectors, and each
         block returns its k best of each query.
-Probes  are set by measuring: the least number that finds `recall` of the sample's own true neighbours.
+Probes  are set by measuring: the least number that finds `recall` of the sample's own true neighbours. A query whose lists
+        hold fewer than k candidates visits further ones, in order, until they hold k or there are no more.
 
 Equal codes and equal scores go by id, so copies of a vector come in order of id. Queries that probe a list come in blocks
-too. Defined results: vectors that are null, zero or hold null or non-finite components take no part, neither as queries nor
-as candidates; a query with fewer candidates gets all that there are; of repeated ids each row counts.
+too. Defined results: vectors that are null, zero or hold null or non-finite components, whose id is null, or whose length is not
+the most frequent one (of equals: the longest), take no part, neither as queries nor as candidates; a query with fewer candidates
+than k gets all that there are; of repeated ids each row counts as a candidate, and what rows of one query id find is ranked together; an empty table gives no rows; extra columns are
+left out, whatever their names.
 """
 
 from __future__ import annotations
@@ -138,7 +141,10 @@ def search(vectors: DataFrame, is_query: Column, vector_col: str = "embedding",
     number = "float" if element == "float" else "double"  # vectors are kept as they are, and reckoned with in double precision
     v = F.transform(F.col(vector_col), lambda x: x.cast(number))
     rows = vectors.where(usable(F.col(vector_col)) & F.col(id_col).isNotNull()).select(F.col(id_col).cast("long").alias("vec_id"), v.alias("v"), is_query.alias("is_query"))
-    n = rows.count()
+    lengths = rows.groupBy(F.size("v").alias("d")).agg(F.count(F.lit(1)).alias("n"), F.count_if("is_query").alias("asked")).orderBy(F.desc("n"), F.desc("d")).first()
+    if lengths is None:
+        return spark.createDataFrame([], schema)
+    rows, n = rows.where(F.size("v") == lengths["d"]), lengths["n"]
     lists = lists or int(min(4096, max(16, n**0.5 / 3)))
     model = fit(rows, lists, k=k, shortlist=shortlist, **how)
     if model is None:
@@ -155,14 +161,22 @@ def search(vectors: DataFrame, is_query: Column, vector_col: str = "embedding",
 
     index = stored(rows.mapInArrow(indexed, f"vec_id long, v array<{number}>, is_query boolean, list int, code binary"), "ivf-index")
 
+    # a row a list, at most 4096; a query's own rows are no candidates: as many as its id's most frequent copies
+    counts = np.zeros(len(model.lists), np.int64)
+    for r in index.groupBy("list").count().collect():
+        counts[r["list"]] = r["count"]
+    own_rows = index.where("is_query").groupBy("vec_id").count().agg(F.max("count")).first()[0] or 1
+
     def probing(batches):
         m = shared.value
         for b in batches:
             if b.num_rows:
                 q = b.column(1).flatten().to_numpy(zero_copy_only=False).astype(np.float64).reshape(b.num_rows, -1)
-                to = m.ranked(q)[:, : m.probes].astype(np.int32)
-                at = np.arange(b.num_rows + 1, dtype=np.int32) * to.shape[1]
-                yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.ListArray.from_arrays(pa.array(at), pa.array(to.reshape(-1)))], names=["vec_id", "v", "lists"])
+                to = m.ranked(q).astype(np.int32)
+                short = np.cumsum(counts[to], axis=1) - counts[to] < k + own_rows  # lists before hold too few
+                short[:, : m.probes] = True
+                at = np.concatenate(([0], np.cumsum(short.sum(1)))).astype(np.int32)
+                yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.ListArray.from_arrays(pa.array(at), pa.array(to[short]))], names=["vec_id", "v", "lists"])
 
     asked = index.where("is_query").select("vec_id", "v").mapInArrow(probing, f"vec_id long, v array<{number}>, lists array<int>")
     asked = asked.select(F.col("vec_id").alias("query_id"), F.col("v").alias("q"), F.explode("lists").alias("list"))

@@ -1,5 +1,8 @@
 """Each operator and pipeline stage on nulls, empty and long texts, ties, repeated rows, empty tables and extra columns."""
 
+import re
+
+import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
@@ -132,6 +135,26 @@ def test_chat_events(spark):
     assert [got["formatted"][s["start"] : s["start"] + s["length"]] for s in got["loss_spans"]] == ["good day"]
 
 
+def test_chat_fold_order(spark):
+    """Equal seq go by kind and text; a message opened again after a retraction stays; null seq come first."""
+    log = [
+        (1, 1, 1, "open", "user", "a"), (1, 2, 1, "edit", None, "FINAL"), (1, 2, 1, "delta", None, "late"),
+        (1, 3, 2, "open", "assistant", ""), (1, 4, 2, "edit", None, "b"), (1, 4, 2, "edit", None, "a"), (1, 5, 2, "delta", None, "+"), (1, 5, 2, "delta", None, "+"),
+        (1, 6, 3, "open", "user", "x"), (1, 6, 3, "open", "assistant", "x"), (1, 7, 3, "retract", None, None), (1, 8, 3, "open", "assistant", "again"),
+        (2, 1, 1, "open", "user", "q"), (2, 2, 2, "open", "assistant", "goes"), (2, 2, 1, "regenerate", None, "Q"), (2, 3, 3, "open", "assistant", "<stays["), (2, None, 3, "delta", None, "early"),
+    ]
+    events = spark.createDataFrame(log, "conv_id long, seq long, msg long, kind string, role string, text string").withColumns({n: F.lit(1) for n in ("e", "log", "cut", "turn")})
+    for seed in (1, 2, 3):
+        made = chat.format_chats(events.orderBy(F.rand(seed)))
+        got = {r["conv_id"]: r for r in made.select("conv_id", chat.parse(F.col("formatted")).alias("t"), "formatted", "loss_spans").collect()}
+        assert [(t["role"], t["text"]) for t in got[1]["t"]] == [("user", "FINAL"), ("assistant", "b++"), ("assistant", "again")]
+        assert [(t["role"], t["text"]) for t in got[2]["t"]] == [("user", "Q"), ("assistant", "<stays[")]
+        for r in got.values():
+            spans = [r["formatted"][s["start"] : s["start"] + s["length"]] for s in r["loss_spans"]]
+            assert spans == [re.sub(r"([<\[\\])", r"\1\\", t["text"]) for t in r["t"] if t["role"] == "assistant"]
+        assert {r["conv_id"]: r["loss_chars"] for r in chat.read_back(made).collect()} == {1: 8, 2: 7}
+
+
 RULES = [("org", "/", "allow"), ("b.org", "/x/", "block"), ("b.org", "/x/y", "allow"), ("B.org", "/x/y", "block"), (None, "/", "block"), ("", "", "block")]
 
 
@@ -184,6 +207,16 @@ def test_neighbours(spark):
     assert ivfpq.search(df.where("vec_id = 0"), F.lit(True)).count() == 0
 
 
+@pytest.mark.parametrize("n", [2, 24, 90])
+def test_neighbours_all_found(spark, n):
+    """Few candidates: each query gets k of them, or all that there are; vectors of another length take no part."""
+    r = np.random.default_rng(n)
+    rows = [(i, r.normal(size=64).tolist()) for i in range(n)] + [(1000, [1.0, 2.0]), (1, r.normal(size=64).tolist())]
+    df = spark.createDataFrame(rows, "vec_id long, embedding array<double>").withColumn("d", F.lit("x"))
+    got = ivfpq.search(df, F.lit(True)).groupBy("query_id").count().collect()
+    assert {x["query_id"]: x["count"] for x in got} == {i: min(20, 2 * (n - 1) if i == 1 else n) for i in range(n)}
+
+
 @pytest.mark.parametrize("kind", ["empty", "odd"])
 def test_pipeline(spark, docs, labels, kind, tmp_path):
     docs[kind].select("doc_id", "text", "lang", "source", "n_chars").write.parquet(f"{tmp_path}/documents.parquet")

@@ -1,20 +1,23 @@
 """Token counts that follow edits.
 
-A document's text is parted into pre-tokens, whose token counts are the leaves of a segment tree of sums. An edit re-parts
-only from the pre-token a few characters before it (boundary context) to the first boundary after it that the old parting
-has too; those leaves are encoded anew and their sums go up the tree. Everything else keeps its counts.
+A document's text is parted into pre-tokens. Up to LEAF of them, with their token counts, are a node of a balanced search
+tree, whose subtrees keep sums of characters, pre-tokens and tokens; the text itself lies in the nodes, in pieces. An edit
+cuts the tree before the pre-token a few characters ahead of it (boundary context) and behind the first boundary after it that
+the old parting has too, parts and encodes only what lies between, and puts the three parts together again. So it copies no
+text, moves no other leaf, however many it adds or takes away, and adds sums only on the paths that were cut.
 
 Defined results: null text is empty and has no tokens; edits are (start, length, text) in code points of the text that they
-are given for, in order of start; edits that overlap an earlier one or lie outside the text are cut to what is left.
+are given for, in order of start; edits that overlap an earlier one or lie outside the text are cut to what is left; null
+edits are left out, and null fields of one are 0 or empty; repeated rows are counted each; an empty table gives no rows; extra
+columns are left out, whatever their names.
 """
 
 from __future__ import annotations
 
 import base64
 import os
-from bisect import bisect_left
+from random import Random
 
-import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
@@ -23,7 +26,8 @@ from tidegate.llm.common import arrow_function, local_tokenizers
 
 CONTEXT = 4  # characters before an edit that a pre-token's end may have looked at
 REMEMBER = 400_000
-FAN = 16  # children of a tree node
+LEAF = 64  # pre-tokens of a tree node
+LOOK = 256  # characters after an edit that are parted anew before more are looked at
 
 
 class PieceCounter:
@@ -54,60 +58,134 @@ class PieceCounter:
         return self.pattern.findall(text)
 
 
+class Node:
+    """A node's own pre-tokens and counts, and the sums of its subtree."""
+
+    __slots__ = ("left", "right", "pieces", "counts", "own", "size", "chars", "segments", "tokens")
+
+    def __init__(self, left: Node | None, pieces: list[str], counts: list[int], right: Node | None):
+        self.pieces, self.counts, self.own = pieces, counts, sum(map(len, pieces))
+        self.left, self.right = left, right
+        self.added()
+
+    def added(self) -> Node:
+        self.size, self.chars, self.segments, self.tokens = 1, self.own, len(self.pieces), sum(self.counts)
+        for kid in (self.left, self.right):
+            if kid is not None:
+                self.size += kid.size
+                self.chars += kid.chars
+                self.segments += kid.segments
+                self.tokens += kid.tokens
+        return self
+
+
 class CountTree:
-    """Segment tree over the pre-tokens of one text: level 0 has their token counts, the last level the text's."""
+    """Tree of the token counts of one text's pre-tokens."""
 
     def __init__(self, text: str, count: PieceCounter):
-        self.text, self.count = text, count
+        self.count, self.encoded, self.touched, self.dice = count, 0, 0, Random(1)
         pieces = count.pieces(text)
-        self.ends = np.cumsum(np.fromiter(map(len, pieces), np.int64, len(pieces)))
-        self.levels = [np.fromiter(map(count, pieces), np.int64, len(pieces))]
-        self.encoded = 0
-        self._grow()
+        self.root = self._grown(pieces, list(map(count, pieces)))
+
+    def _grown(self, pieces: list[str], counts: list[int]) -> Node | None:
+        def grow(a: int, b: int) -> Node | None:  # nodes a to b, the middle one on top
+            if a >= b:
+                return None
+            self.touched += 1
+            m = (a + b) // 2
+            part = slice(m * LEAF, (m + 1) * LEAF)
+            return Node(grow(a, m), pieces[part], counts[part], grow(m + 1, b))
+
+        return grow(0, -(-len(pieces) // LEAF))
+
+    total = property(lambda self: self.root.tokens if self.root else 0)
+    chars = property(lambda self: self.root.chars if self.root else 0)
+    segments = property(lambda self: self.root.segments if self.root else 0)
+
+    def _joined(self, a: Node | None, b: Node | None) -> Node | None:
+        """All of a before all of b: a root drawn in proportion to the sizes keeps trees as balanced as random ones."""
+        if a is None or b is None:
+            return a or b
+        self.touched += 1
+        if self.dice.random() * (a.size + b.size) < a.size:
+            a.right = self._joined(a.right, b)
+            return a.added()
+        b.left = self._joined(a, b.left)
+        return b.added()
+
+    def _cut(self, t: Node | None, at: int) -> tuple[Node | None, Node | None]:
+        """The pre-tokens that end at `at` characters or before, and the others."""
+        if t is None:
+            return None, None
+        self.touched += 1
+        before = t.left.chars if t.left else 0
+        if at < before:
+            low, t.left = self._cut(t.left, at)
+            return low, t.added()
+        if at >= before + t.own:
+            t.right, high = self._cut(t.right, at - before - t.own)
+            return t.added(), high
+        k, left, right = 0, t.left, t.right
+        while before + len(t.pieces[k]) <= at:
+            before += len(t.pieces[k])
+            k += 1
+        low, high = (Node(None, p, c, None) if p else None for p, c in ((t.pieces[:k], t.counts[:k]), (t.pieces[k:], t.counts[k:])))
+        return self._joined(left, low), self._joined(high, right)
+
+    def _walk(self, t: Node | None):
+        """Nodes in order of the text, found as they are asked for."""
+        stack = []
+        while t is not None or stack:
+            while t is not None:
+                stack.append(t)
+                t = t.left
+            t = stack.pop()
+            yield t
+            t = t.right
 
-    def _grow(self) -> None:
-        del self.levels[1:]
-        while len(self.levels[-1]) > 1:
-            self.levels.append(np.add.reduceat(self.levels[-1], np.arange(0, len(self.levels[-1]), FAN)))
+    @property
+    def text(self) -> str:
+        return "".join(p for n in self._walk(self.root) for p in n.pieces)
 
     @property
-    def total(self) -> int:
-        return int(self.levels[-1][0]) if len(self.levels[-1]) else 0
+    def pieces(self) -> list[str]:
+        return [p for n in self._walk(self.root) for p in n.pieces]
 
     def edit(self, start: int, length: int, new: str) -> None:
-        """Replaces text[start:start + length]."""
-        start = max(0, min(start, len(self.text)))
-        length = max(0, min(length, len(self.text) - start))
-        text = self.text[:start] + new + self.text[start + length :]
-        shift = len(new) - length
-        first = int(np.searchsorted(self.ends, max(0, start - CONTEXT), side="right"))
-        first = min(first, max(0, len(self.ends) - 1))
-        at = int(self.ends[first - 1]) if first else 0
-        old = self.ends[first:].tolist()
-        ends, counts, last = [], [], len(self.ends)
-        for m in self.count.pattern.finditer(text, at):
-            ends.append(m.end())
-            counts.append(self.count(m.group()))
-            self.encoded += m.end() - m.start()
-            if m.end() >= start + len(new):
-                k = bisect_left(old, m.end() - shift)
-                if k < len(old) and old[k] == m.end() - shift and old[k] >= start + length:
-                    last = first + k + 1
+        """Replaces `length` characters from `start` on."""
+        start = max(0, min(start, self.chars))
+        length = max(0, min(length, self.chars - start))
+        low, rest = self._cut(self.root, max(0, start - CONTEXT))
+        start -= low.chars if low else 0
+        # the old text from the cut on, as far as it has been looked at, and where its pre-tokens end
+        old, ends, size, nodes = [], [], 0, self._walk(rest)
+        whole = rest.chars if rest else 0
+        want = start + length + LOOK
+        while True:
+            while size < min(want, whole):
+                for p in next(nodes).pieces:
+                    old.append(p)
+                    size += len(p)
+                    ends.append(size)
+            seen = "".join(old)
+            pieces, here, stop = [], 0, None
+            after, known = seen[:start] + new + seen[start + length :], set(ends)
+            shift = len(new) - length
+            for m in self.count.pattern.finditer(after):
+                if size < whole and m.end() > len(after) - 2:
+                    break  # what follows could change it
+                pieces.append(m.group())
+                here = m.end()
+                if here >= start + len(new) and here - shift >= start + length and here - shift in known:
+                    stop = here - shift
                     break
-        self.text = text
-        same = last - first == len(ends)
-        self.ends = np.concatenate((self.ends[:first], np.asarray(ends, np.int64), self.ends[last:] + shift))
-        if same and len(self.levels) > 1:
-            self.levels[0][first:last] = counts
-            lo, hi = first, last
-            for level in range(1, len(self.levels)):  # only the touched paths
-                lo, hi = lo // FAN, -(-hi // FAN)
-                below = self.levels[level - 1]
-                for node in range(lo, hi):
-                    self.levels[level][node] = below[node * FAN : (node + 1) * FAN].sum()
-        else:
-            self.levels[0] = np.concatenate((self.levels[0][:first], np.asarray(counts, np.int64), self.levels[0][last:]))
-            self._grow()  # leaves have moved: sums are added again, nothing is encoded again
+            if stop is not None or size >= whole:
+                break
+            want = 2 * size + LOOK
+        stop = whole if stop is None else stop
+        self.encoded += sum(map(len, pieces))
+        middle = self._grown(pieces, list(map(self.count, pieces)))
+        self.root = self._joined(self._joined(low, middle), self._cut(rest, stop)[1])
 
 
 def apply_edits(tree: CountTree, edits: list[tuple[int, int, str]]) -> None:
@@ -147,10 +225,10 @@ def edited_counts(text: Column, edits: Column, vocabulary: str | None = None) ->
         c, out = counter(path), []
         for t, e in zip(texts.to_pylist(), edit_lists.to_pylist(), strict=True):
             tree = CountTree(t or "", c)
-            before, segments = tree.total, len(tree.ends)
+            before, segments = tree.total, tree.segments
             e = [(x["start"] or 0, x["length"] or 0, x["text"] or "") for x in e or [] if x]
             apply_edits(tree, e)
-            out.append((before, segments, len(e), tree.total, len(tree.text), tree.encoded))
+            out.append((before, segments, len(e), tree.total, tree.chars, tree.encoded))
         columns = list(zip(*out, strict=True)) if out else [[]] * 6
         return pa.StructArray.from_arrays([pa.array(x, pa.int64()) for x in columns], names=["n_tokens", "n_segments", "n_edits", "edited_tokens", "edited_chars", "reencoded_chars"])
 

@@ -1,18 +1,22 @@
 """Quality by hierarchical empirical Bayes.
 
 A document's own evidence is the log odds of a logistic regression on the make-up of its bytes (shares of each ASCII
-character and of the rest, length of words and lines) and how much its words and lines repeat, fitted on a bounded sample of labelled rows: at most
-`max_rows`, those with the least hash of doc_id. All else is over all rows: hosts, and paths within hosts, get a posterior
-share of good documents from grouped sums of the documents' probabilities, in which a path with few rows is drawn towards
-its host and a host with few rows towards the whole, as strongly as the spread between groups tells (method of moments).
-A document's posterior log odds are its evidence plus what its path's posterior differs from the whole, in log odds.
-
-Defined results: null and empty texts are rejected (posterior 0); a null host or path is a group of its own; with no
-usable labels the evidence is 0 and everything with words is kept; repeated rows count each time.
+character and of the rest, length of words and lines) and how much its words and lines repeat, fitted on a bounded sample of
+labelled rows: at most `max_rows`, those with the least hash of doc_id. All else is over all rows. Grouped sums of the
+documents' probabilities give hosts, and paths within hosts, a mean; a path's is drawn towards its host's and a host's towards
+the whole's, by the noise within groups against the spread between them (nested analysis of variance), so sparse sites say
+little. For each document its own probability is taken out of the sums first, so it is not counted twice: a path with no
+other document says what its host says. The posterior log odds are the evidence plus what the path's posterior differs from
+the whole's, in log odds.
+
+Defined results: null and empty texts are rejected (posterior 0) and say nothing of their site; a null host or path is a group
+of its own; with no usable labels the evidence is 0 and everything with words is kept; repeated rows count each time; an
+empty table gives no rows; extra columns are kept by good_documents, whatever their names, and left out by quality_table.
 """
 
 from __future__ import annotations
 
+from dataclasses import dataclass
 from operator import eq
 
 import numpy as np
@@ -25,6 +29,7 @@ from tidegate.llm.common import arrow_function, as_bytes, give_back, stored
 BROADCAST_SITES = 200_000  # paths (a name and some numbers each) that are sent to all; more are joined by a shuffle
 FEATURES = 136
 LOW = 0.001  # probabilities are kept this far from 0 and 1
+LEAST, MOST = 1.0, 1e6  # limits of the level above's weight
 
 
 def features(text: bytes) -> np.ndarray:
@@ -87,51 +92,80 @@ def evidence(text: Column, weights: np.ndarray) -> Column:
     return score(text)
 
 
-def site_posteriors(scored: DataFrame, host: str, path: str) -> tuple[DataFrame, float]:
-    """A row a path (_host, _path, and the posteriors _hp and _pp) and the whole's share. scored has `_p`.
+@dataclass(frozen=True)
+class Sites:
+    """A row a path (host, path, n, s, host_n, host_s: documents and sums of their probabilities), and the whole."""
 
-    The groups' sums are pre-aggregated; only moments of them reach the driver, as one row a level.
+    table: DataFrame
+    n: int
+    s: float
+    host_weight: float  # documents that the whole counts for against a host's own, and a host against a path's
+    path_weight: float
+
+
+def site_sums(scored: DataFrame) -> Sites:
+    """scored: host, path and p, null where a document says nothing.
+
+    Sums are pre-aggregated and stored; only their moments reach the driver, as one row a level.
+    """
+    total = lambda c: F.coalesce(F.sum(c), F.lit(0.0))
+    paths = stored(scored.groupBy("host", "path").agg(F.count("p").alias("n"), total("p").alias("s"), total(F.col("p") * F.col("p")).alias("q")), "sites")
+    hosts = paths.groupBy("host").agg(F.sum("n").alias("host_n"), F.sum("s").alias("host_s"), F.sum("q").alias("host_q"))
+    both = paths.join(hosts.select(F.col("host").alias("of"), "host_n", "host_s"), F.col("host").eqNullSafe(F.col("of"))).drop("of")
+    h = hosts.where("host_n > 0").agg(
+        F.count(F.lit(1)).alias("groups"), F.sum("host_n").alias("n"), F.sum("host_s").alias("s"), F.sum(F.col("host_s") ** 2 / F.col("host_n")).alias("means"),
+        F.sum("host_q").alias("q"), F.sum(F.col("host_n").cast("double") ** 2).alias("squares"),
+    ).first()
+    p = both.where("n > 0").agg(F.count(F.lit(1)).alias("groups"), F.sum(F.col("s") ** 2 / F.col("n")).alias("means"), F.sum(F.col("n").cast("double") ** 2 / F.col("host_n")).alias("squares")).first()
+    if not h["groups"]:
+        return Sites(both, 0, 0.0, MOST, MOST)
+    # host level: groups are hosts within the whole; path level: paths within hosts
+    host_weight = weight(h["n"], h["q"], h["means"], h["s"] ** 2 / h["n"], h["groups"], 1, h["n"] - h["squares"] / h["n"])
+    path_weight = weight(h["n"], h["q"], p["means"], h["means"], p["groups"], h["groups"], h["n"] - p["squares"])
+    return Sites(both, h["n"], h["s"], host_weight, path_weight)
+
+
+def weight(n: int, q: float, means: float, above: float, groups: int, parents: int, room: float) -> float:
+    """Noise within groups over variance between them: so many documents does the level above count for.
+
+    q: sum of squares; means, above: sums of size times squared mean of the groups and of the level above.
     """
-    paths = stored(scored.groupBy(F.col(host).alias("_host"), F.col(path).alias("_path")).agg(F.count("_p").alias("_n"), F.coalesce(F.sum("_p"), F.lit(0.0)).alias("_s")), "sites")
-    hosts = paths.groupBy("_host").agg(F.sum("_n").alias("_hn"), F.sum("_s").alias("_hs"))
-    all_n, all_s = hosts.agg(F.coalesce(F.sum("_hn"), F.lit(0)), F.coalesce(F.sum("_hs"), F.lit(0.0))).first()
-    mean = min(max(all_s / all_n if all_n else 0.5, LOW), 1 - LOW)
-
-    def strength(level: DataFrame, n: str, s: str, centre: Column) -> float:
-        got = level.where(F.col(n) > 0).agg(
-            F.sum(n), F.sum(F.col(n) * (F.col(s) / F.col(n) - centre) ** 2), F.sum(F.col(n) * F.col(n) * 1.0), F.sum(centre * (1 - centre)), F.count(F.lit(1))
-        ).first()
-        if not got[0] or got[4] < 2:
-            return 1e6
-        room = got[0] - got[2] / got[0]
-        between = max((got[1] - got[3]) / room if room > 0 else 0.0, 1e-9)
-        return float(min(max(mean * (1 - mean) / between - 1, 1.0), 1e6))
-
-    k_host = strength(hosts, "_hn", "_hs", F.lit(mean))
-    hosts = hosts.withColumn("_hp", (F.col("_hs") + k_host * mean) / (F.col("_hn") + k_host))
-    both = paths.join(hosts.select(F.col("_host").alias("_h"), "_hp"), F.col("_host").eqNullSafe(F.col("_h")))
-    k_path = strength(both, "_n", "_s", F.col("_hp"))
-    return both.select("_host", "_path", F.col("_hp"), ((F.col("_s") + k_path * F.col("_hp")) / (F.col("_n") + k_path)).alias("_pp")), mean
-
-
-def judged(docs: DataFrame, weights: np.ndarray, host: str = "source", path: str = "lang") -> DataFrame:
-    """docs with _evidence, the host's and path's posteriors _hp and _pp, and _posterior."""
-    scored = docs.withColumn("_evidence", evidence(F.col("text"), weights))
-    sites, mean = site_posteriors(scored.select(host, path, (1 / (1 + F.exp(-F.col("_evidence")))).alias("_p")), host, path)
-    if sites.count() <= BROADCAST_SITES:
-        sites = F.broadcast(sites)
-    j = scored.join(sites, F.col(host).eqNullSafe(F.col("_host")) & F.col(path).eqNullSafe(F.col("_path")), "left")
-    share = F.least(F.greatest("_pp", F.lit(LOW)), F.lit(1 - LOW))
-    shift = F.log(share / (1 - share)) - float(np.log(mean / (1 - mean)))
-    return j.withColumn("_posterior", F.coalesce(1 / (1 + F.exp(-(F.col("_evidence") + shift))), F.lit(0.0)))
+    noise = max(0.0, q - means) / max(1, n - groups)
+    between = max(0.0, (means - above - (groups - parents) * noise) / room) if room > 1e-9 else 0.0
+    return float(min(max(noise / between, LEAST), MOST)) if between > 1e-12 else MOST
+
+
+def scored(docs: DataFrame, keep: Column, weights: np.ndarray, host: str, path: str) -> DataFrame:
+    """(row, host, path, evidence, p) of each document, written once; row is the `keep` struct."""
+    said = docs.select(keep.alias("row"), F.col(host).alias("host"), F.col(path).alias("path"), evidence(F.col("text"), weights).alias("evidence"))
+    return stored(said.withColumn("p", 1 / (1 + F.exp(-F.col("evidence")))), "evidence")
+
+
+def judged(said: DataFrame, sites: Sites) -> DataFrame:
+    """said with host_posterior, path_posterior and posterior, each without the document's own probability."""
+    table = sites.table.select(F.col("host").alias("_host"), F.col("path").alias("_path"), "n", "s", "host_n", "host_s")
+    if table.count() <= BROADCAST_SITES:
+        table = F.broadcast(table)
+    j = said.join(table, F.col("host").eqNullSafe(F.col("_host")) & F.col("path").eqNullSafe(F.col("_path")), "left")
+    own, one = F.coalesce("p", F.lit(0.0)), F.when(F.col("p").isNull(), 0).otherwise(1)
+    inside = lambda c: F.least(F.greatest(c, F.lit(LOW)), F.lit(1 - LOW))
+    mean = inside((F.lit(sites.s) - own + 0.5) / (F.lit(sites.n) - one + 1))
+    hosted = (F.col("host_s") - own + sites.host_weight * mean) / (F.col("host_n") - one + sites.host_weight)
+    pathed = (F.col("s") - own + sites.path_weight * F.col("host_posterior")) / (F.col("n") - one + sites.path_weight)
+    odds = lambda c: F.log(inside(c) / (1 - inside(c)))
+    j = j.withColumn("mean", mean).withColumn("host_posterior", hosted).withColumn("path_posterior", pathed)
+    shift = odds(F.col("path_posterior")) - odds(F.col("mean"))
+    return j.withColumn("posterior", F.coalesce(1 / (1 + F.exp(-(F.col("evidence") + shift))), F.lit(0.0)))
 
 
 def quality_table(docs: DataFrame, labels: DataFrame, host: str = "source", path: str = "lang", threshold: float = 0.5, max_rows: int = 8000) -> DataFrame:
     """doc_id, evidence, host_posterior, path_posterior, posterior and keep of each document."""
-    j = judged(docs.select("doc_id", "text", host, path), fit(docs, labels, max_rows), host, path)
-    return j.select("doc_id", F.col("_evidence").alias("evidence"), F.col("_hp").alias("host_posterior"), F.col("_pp").alias("path_posterior"), F.col("_posterior").alias("posterior"), (F.col("_posterior") >= threshold).alias("keep"))
+    said = scored(docs, F.struct("doc_id"), fit(docs, labels, max_rows), host, path)
+    j = judged(said, site_sums(said))
+    return j.select("row.doc_id", "evidence", "host_posterior", "path_posterior", "posterior", (F.col("posterior") >= threshold).alias("keep"))
 
 
 def good_documents(docs: DataFrame, labels: DataFrame, host: str = "source", path: str = "lang", threshold: float = 0.5, max_rows: int = 8000) -> DataFrame:
     """The documents that are kept, with their own columns."""
-    return judged(docs, fit(docs, labels, max_rows), host, path).where(F.col("_posterior") >= threshold).select(*docs.columns)
+    said = scored(docs, F.struct(*docs.columns), fit(docs, labels, max_rows), host, path)
+    return judged(said, site_sums(said)).where(F.col("posterior") >= threshold).select("row.*")

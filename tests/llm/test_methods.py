@@ -162,22 +162,45 @@ def count():
 PIECES = ["a", " ", "  ", "\n", "'", "'re", "r", "e", "s", "é", "日本", "12", "3", "!", "..", "\t", " the", "don't", " ", "🙂", "_"]
 
 
+def sums_hold(node):
+    if node is None:
+        return [0, 0, 0, 0]
+    below = [a + b for a, b in zip(sums_hold(node.left), sums_hold(node.right), strict=True)]
+    own = [1, sum(map(len, node.pieces)), len(node.pieces), sum(node.counts)]
+    assert [node.size, node.chars, node.segments, node.tokens] == [a + b for a, b in zip(below, own, strict=True)]
+    return [node.size, node.chars, node.segments, node.tokens]
+
+
+@pytest.mark.parametrize("leaf,look", [(2, 1), (64, 256)])
 @settings(max_examples=300, deadline=None)
 @given(st.lists(st.sampled_from(PIECES), max_size=40), st.lists(st.tuples(st.integers(0, 60), st.integers(0, 8), st.lists(st.sampled_from(PIECES), max_size=4)), max_size=4))
-def test_edits_equal_recount(text, edits):
+def test_edits_equal_recount(leaf, look, text, edits):
     count = token_edits.counter(token_edits.default_vocabulary())
-    tree = token_edits.CountTree("".join(text), count)
-    for start, length, new in edits:
-        tree.edit(start, length, "".join(new))
-        fresh = token_edits.CountTree(tree.text, count)
-        assert tree.total == fresh.total == len(count.encoding.encode_ordinary(tree.text))
-        assert tree.ends.tolist() == fresh.ends.tolist() and [x.tolist() for x in tree.levels] == [x.tolist() for x in fresh.levels]
-
-
-def test_edits_reencode_little(count):
-    tree = token_edits.CountTree("some words here " * 2000, count)
-    tree.edit(16_000, 4, "more")
-    assert tree.encoded < 100 and tree.total == len(count.encoding.encode_ordinary(tree.text))
+    before = token_edits.LEAF, token_edits.LOOK
+    token_edits.LEAF, token_edits.LOOK = leaf, look
+    try:
+        text = "".join(text)
+        tree = token_edits.CountTree(text, count)
+        for start, length, new in edits:
+            tree.edit(start, length, "".join(new))
+            at = min(start, len(text))
+            text = text[:at] + "".join(new) + text[at + length :]
+            assert tree.text == text and tree.total == len(count.encoding.encode_ordinary(text))
+            assert tree.pieces == count.pieces(text)
+            sums_hold(tree.root)
+    finally:
+        token_edits.LEAF, token_edits.LOOK = before
+
+
+def test_edits_stay_local(count):
+    """Leaves added and taken away: little is encoded, few nodes are touched, whatever the text's length."""
+    for words in (2_000, 50_000):
+        tree = token_edits.CountTree("some words here " * words, count)
+        tree.touched = 0
+        for k in range(50):
+            tree.edit(16 * (words // 60) * (k + 5), 4 + k % 3, "more and more, or" if k % 2 else "")
+        assert tree.encoded < 50 * 100 and tree.touched < 50 * 120
+        assert tree.total == len(count.encoding.encode_ordinary(tree.text))
 
 
 def test_overlapping_edits(count):
@@ -342,11 +365,23 @@ def test_mix_places_are_a_stream(spark):
 
 
 def test_shrinkage(spark):
-    rows = [("big", "p", 0.9)] * 2000 + [("big", "q", 0.1)] * 2000 + [("bad", "p", 0.05)] * 2000 + [("tiny", "p", 0.0)] + [("new", "z", 1.0)]
-    sites, mean = quality.site_posteriors(spark.createDataFrame(rows, "source string, lang string, _p double"), "source", "lang")
-    got = {(r["_host"], r["_path"]): r for r in sites.collect()}
-    assert abs(got["big", "p"]["_pp"] - 0.9) < 0.02 and abs(got["big", "q"]["_pp"] - 0.1) < 0.02 and abs(got["bad", "p"]["_pp"] - 0.05) < 0.02
-    assert 0 < got["tiny", "p"]["_pp"] < mean < got["new", "z"]["_pp"] < 1 and abs(got["tiny", "p"]["_hp"] - mean) < abs(0.0 - mean)
+    rows = [("big", "p", 0.9)] * 2000 + [("big", "q", 0.1)] * 2000 + [("bad", "p", 0.05)] * 1000 + [("bad", "p", 0.15)] * 1000 + [("tiny", "p", 0.0)] + [("new", "z", 1.0)] + [("mute", "m", None)]
+    said = spark.createDataFrame(rows, "host string, path string, p double").withColumn("evidence", F.log((F.col("p") + 1e-9) / (1 - F.col("p") + 1e-9)))
+    sites = quality.site_sums(said)
+    assert sites.n == 6002 and abs(sites.s - 2201) < 1e-6 and sites.host_weight < 100 and sites.path_weight < 100
+    got = {(r["host"], r["path"]): r for r in quality.judged(said, sites).collect()}
+    assert abs(got["big", "p"]["path_posterior"] - 0.9) < 0.02 and abs(got["big", "q"]["path_posterior"] - 0.1) < 0.02 and abs(got["bad", "p"]["path_posterior"] - 0.1) < 0.02
+    # alone on their site: its own probability does not come back
+    assert abs(got["tiny", "p"]["path_posterior"] - 2201 / 6002) < 1e-3 and abs(got["new", "z"]["path_posterior"] - 2201 / 6002) < 1e-3 and got["mute", "m"]["posterior"] == 0
+
+
+def test_weight_is_moments():
+    """The weight of the level above, from groups drawn with known variances."""
+    r = np.random.default_rng(1)
+    groups = [r.normal(m, 0.3, r.integers(20, 60)) for m in r.normal(0.5, 0.1, 3000)]
+    x, n = np.concatenate(groups), np.array([len(g) for g in groups])
+    means = sum(len(g) * g.mean() ** 2 for g in groups)
+    assert abs(quality.weight(len(x), (x**2).sum(), means, len(x) * x.mean() ** 2, len(n), 1, len(x) - (n**2).sum() / len(x)) - 9) < 1.5
 
 
 def test_logistic():

@@ -15,7 +15,11 @@ components     each block gives its spanning links only (rows minus one at most,
                alternating large and small stars join them over all blocks.
 
 Copies of one fingerprint (near_copies: of one shingle set) are one node. Keys with over HOT nodes are dealt out again, by
-further keys or by pairs of blocks. Null texts are empty.
+further keys, and then by pairs of blocks.
+
+Defined results: a null text is empty; empty texts have the fingerprint 0 (near_copies: the same empty set) and are copies of each other; of
+equal ids the row with the least text hash comes first; repeated rows are one node, of which simhash_classes returns each and near_copies
+one; an empty table gives no rows; extra columns are kept by near_copies, whatever their names, and left out by simhash_classes.
 """
 
 from __future__ import annotations
@@ -373,14 +377,21 @@ def finer_keys(fp: Column, radius: int, choice: Column) -> Column:
     return F.element_at(F.array(*sets), choice + 1)
 
 
+def pairs_of_blocks(hot: DataFrame) -> DataFrame:
+    """(key, node) from (key, node, n: the key's nodes): a key's nodes lie in blocks by a hash, and every two blocks are a key of
+    their own, each with itself too, so any two nodes meet in a group of about two blocks of HOT / 2."""
+    cut = hot.select("key", "node", F.ceil(2 * F.col("n") / HOT).cast("long").alias("blocks")).withColumn("mine", F.pmod(F.xxhash64("node"), F.col("blocks")))
+    dealt = cut.withColumn("other", F.explode(F.sequence(F.lit(0).cast("long"), F.col("blocks") - 1)))
+    return dealt.select(F.xxhash64("key", F.least("mine", "other"), F.greatest("mine", "other")).alias("key"), "node")
+
+
 def near_links(nodes: DataFrame, radius: int, words: int = 1, groups: bool = False) -> DataFrame:
     """(a, b) links that span the near rows, or with groups (group, node) of candidate groups, which hold every near pair
     that shares a key. nodes: node long and keys array<long>, and fp array<long> if words > 1
     (else node is the fingerprint).
 
     Keys of one row go at once. A key of over HOT nodes is dealt out again: for pieces by the other bits, of which near
-    rows share a part; for bands by every two of its blocks of nodes, so that any two of its nodes meet. What then is still
-    large is compared lane by lane.
+    rows share a part; a band's, and what then is still over HOT, by every two of its blocks of nodes.
     """
     spread = nodes.select(F.posexplode("keys").alias("choice", "key"), "node")
     counted = spread.withColumn("n", F.count(F.lit(1)).over(Window.partitionBy("key"))).where("n > 1")
@@ -388,17 +399,15 @@ def near_links(nodes: DataFrame, radius: int, words: int = 1, groups: bool = Fal
     link, schema = _link_blocks(radius, words, groups), "a long, b long"
     again = lambda df: df.repartition("key").sortWithinPartitions("key").mapInArrow(link, schema)
     if words == 1:
-        fine = hot.select("key", "node", F.explode(finer_keys(F.col("node"), radius, F.col("choice"))).alias("m"))
+        fine = hot.select(F.explode(finer_keys(F.col("node"), radius, F.col("choice"))).alias("m"), "key", "node").select(F.xxhash64("key", "m").alias("key"), "node")
+        fine = fine.withColumn("n", F.count(F.lit(1)).over(Window.partitionBy("key"))).where("n > 1")
         first = cold.select("key", "node", F.array("node").alias("fp")).mapInArrow(link, schema)
-        second = again(fine.select(F.xxhash64("key", "m").alias("key"), "node", F.array("node").alias("fp")))
+        met = fine.where(F.col("n") <= HOT).select("key", "node").unionByName(pairs_of_blocks(fine.where(F.col("n") > HOT)))
+        second = again(met.select("key", "node", F.array("node").alias("fp")))
     else:
         prints = nodes.select("node", "fp")
         first = again(cold.select("key", "node").join(prints, "node").select("key", "node", "fp"))
-        # blocks of a key by a hash of the node; every two of them meet, each with itself too
-        cut = hot.select("key", "node", F.ceil(F.col("n") / HOT).cast("long").alias("blocks")).withColumn("mine", F.pmod(F.xxhash64("node"), F.col("blocks")))
-        dealt = cut.withColumn("other", F.explode(F.sequence(F.lit(0).cast("long"), F.col("blocks") - 1)))
-        pair = F.xxhash64("key", F.least("mine", "other"), F.greatest("mine", "other"))
-        second = again(dealt.select(pair.alias("key"), "node").join(prints, "node").select("key", "node", "fp"))
+        second = again(pairs_of_blocks(hot).join(prints, "node").select("key", "node", "fp"))
     out = first.unionByName(second).distinct()
     return out.toDF("group", "node") if groups else out
 
@@ -472,6 +481,6 @@ def near_copies(docs: DataFrame, n_words: int = 5, similarity: float = 0.8, word
     roots = components(links)
     grouped = prints.select("doc_id", "k", "node").join(roots, "node", "left").withColumn("group", F.coalesce("root", "node"))
     first = grouped.groupBy("group").agg(F.min(F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "k")).alias("stay"))
-    mine = docs.withColumn("_key", key).join(first.select(F.col("stay.k").alias("_key")), "_key", "left_semi")
-    once = Window.partitionBy("_key").orderBy("_key")  # repeated rows have one key; the join has dealt them by it
-    return mine.withColumn("_nth", F.row_number().over(once)).where("_nth = 1").select(*docs.columns)
+    mine = docs.select(F.struct(*docs.columns).alias("row"), key.alias("k")).join(first.select(F.col("stay.k").alias("k")), "k", "left_semi")
+    once = Window.partitionBy("k").orderBy("k")  # repeated rows have one key; the join has dealt them by it
+    return mine.withColumn("nth", F.row_number().over(once)).where("nth = 1").select("row.*")

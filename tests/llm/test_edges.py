@@ -25,7 +25,9 @@ def rows_of(kind):
 
 @pytest.fixture(scope="module")
 def docs(spark):
-    clash = {n: F.lit(7) for n in ("size", "h", "key", "node", "part", "ids", "group", "rank", "source_no", "_key_", "posterior", "host_posterior", "list", "code", "v")}
+    clash = {n: F.lit(7) for n in ("size", "h", "key", "node", "part", "ids", "group", "rank", "source_no", "_key_", "posterior", "host_posterior", "list", "code", "v",
+                                  "_key", "_nth", "_evidence", "_posterior", "_host", "_path", "_hp", "_pp", "_k", "_copy", "_n", "_ranges", "_wk", "_wanted", "_size", "_h", "_s", "_doc", "_y", "_x", "_span",
+                                  "row", "k", "nth", "copy", "wk", "wanted", "ranges", "words", "n", "s", "p", "q", "mean", "host", "path", "evidence", "path_posterior", "host_n", "host_s", "taken", "r", "stay", "fp", "keys", "root")}
     return {k: spark.createDataFrame(rows_of(k), DOCS).withColumns(clash) for k in ("empty", "odd")}
 
 
@@ -41,6 +43,7 @@ def test_quality(docs, labels, kind, labelled):
     assert len(got) == len(rows_of(kind))
     assert all(r["posterior"] is not None and r["keep"] is not None for r in got)
     kept = quality.good_documents(docs[kind], labels[labelled])
+    assert kind == "empty" or {kept.first()[c] for c in kept.columns[5:]} == {7}
     assert kept.columns == docs[kind].columns and kept.count() == sum(r["keep"] for r in got)
     if kind == "odd":
         assert not any(r["keep"] for r in got if r["doc_id"] in (3, 4))
@@ -71,6 +74,7 @@ def test_simhash(docs, kind):
 @pytest.mark.parametrize("kind", ["empty", "odd"])
 def test_near_copies(docs, kind):
     got = simhash.near_copies(docs[kind])
+    assert kind == "empty" or {got.first()[c] for c in got.columns[5:]} == {7}
     assert got.columns == docs[kind].columns
     ids = sorted((r["doc_id"] if r["doc_id"] is not None else -1) for r in got.collect())
     assert ids == ([] if kind == "empty" else [1, 3, 6, 7, 9]), ids
@@ -99,7 +103,7 @@ def test_mixing(docs, kind):
         by.setdefault((r["source_size"], round(r["target"], 6)), []).append(r["taken"])
     assert all(abs(sum(t) - k[1]) <= 1 for k, t in by.items())
     mixed = mixing.mixed_documents(docs[kind], block=16)
-    assert mixed.columns == docs[kind].columns
+    assert mixed.columns == docs[kind].columns and (kind == "empty" or {mixed.first()[c] for c in mixed.columns[5:]} == {7})
     words = sum(len(r["text"].split()) for r in mixed.select("text").collect())
     assert words == sum(r["taken"] for r in got)
 

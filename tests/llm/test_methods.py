@@ -112,6 +112,16 @@ def test_only_key_is_hot(spark, monkeypatch, hot):
     assert {x["node"] for x in simhash.near_links(nodes, 4, 2, groups=True).collect()} == {17, 31}
 
 
+def test_hot_band_pairs(spark):
+    """4,200 lone near pairs that share one band and nothing else, over HOT as it is: all of them are found."""
+    r = np.random.default_rng(3)
+    fps = r.integers(0, 2**62, (4200, 2))
+    rows = [(2 * k + side, [int(fps[k, 0]) ^ (side * 9), int(fps[k, 1])], [7, 10_000 + 2 * k + side]) for k in range(4200) for side in (0, 1)]
+    nodes = spark.createDataFrame(rows, "node long, fp array<long>, keys array<long>")
+    got = {tuple(sorted(x)) for x in simhash.near_links(nodes, 4, 2).collect()}
+    assert got == {(2 * k, 2 * k + 1) for k in range(4200)}
+
+
 def pairs_of_similarity(r, sizes, shares):
     """Lone pairs of texts whose five-word shingle sets have about the given shares, and the exact ones."""
     out = []
@@ -340,10 +350,48 @@ def test_water_filling():
     assert mixing.fill({}, (1.0,), 1.5, 2.0) == {} and mixing.fill({"a": 0}, (1.0,), 1.5, 2.0) == {"a": 0.0}
 
 
-def test_permutation():
-    for n in (1, 2, 7, 64, 1000):
-        a = mixing.multiplier(n, 12345)
-        assert sorted((a * x + 5) % n for x in range(n)) == list(range(n))
+def test_permutation(spark):
+    """Every place has one image, also where the network's numbers go over n, and neighbours scatter."""
+    for n in (1, 2, 3, 4, 5, 7, 11, 64, 997, 10_007):
+        a, b = mixing.sides(n)
+        assert a * b >= n and (n < 50 or a * b - n < 3)
+        rows = spark.range(n).select("id", F.lit(n).cast("long").alias("n"), F.lit(a).cast("long").alias("a"), F.lit(b).cast("long").alias("b"))
+        got = [r["image"] for r in mixing.permuted(rows, "id", "n", "a", "b", "image", F.lit(3)).orderBy("id").collect()]
+        assert sorted(got) == list(range(n))
+    assert len(set(np.diff(got).tolist())) > 5000 and abs(np.corrcoef(np.arange(n), got)[0, 1]) < 0.05
+
+
+def test_draws_are_multinomial(spark):
+    """Counts by shard sum to a source's slots, spread as a multinomial's do, and the slots follow one another."""
+    sources = spark.createDataFrame([(0, 20_000), (1, 300), (2, 0)], "source_no int, slots long")
+    got = mixing.draws(sources, 100, 42).toPandas().sort_values(["source_no", "shard"])
+    by = {s: g for s, g in got.groupby("source_no")}
+    assert set(by) == {0, 1} and by[0].n.sum() == 20_000 and by[1].n.sum() == 300
+    assert all(g["first"].tolist() == [0, *g.n.cumsum().tolist()[:-1]] for g in by.values())
+    assert abs(((by[0].n - 200) ** 2 / 200).sum() - 99) < 5 * (2 * 99) ** 0.5
+
+
+def test_mixed_blocks(spark):
+    """Shards hold their drawn slots, every slot the words of its block, and all of them the documents' taken words."""
+    docs = spark.createDataFrame([(i, " ".join(f"d{i}w{k}" for k in range(i % 41)), "s" if i % 3 else "t") for i in range(400)], "doc_id long, text string, source string")
+    how = {"block": 16, "shard_words": 900}
+    blocks = mixing.mixed_blocks(docs, **how).toPandas()
+    assert (blocks.text.str.split().map(len) == blocks.words).all() and blocks.shard.nunique() > 5
+    for _, g in blocks.sort_values(["shard", "slot"]).groupby("source_no"):
+        assert g.slot.tolist() == list(range(len(g))) and (g.words == 16).sum() >= len(g) - 4
+    said = sorted(w for t in blocks.text for w in t.split())
+    assert said == sorted(w for r in mixing.mixed_documents(docs, **how).collect() for w in r["text"].split())
+
+
+def test_mix_copies(spark):
+    """Hundreds of identical rows have places of their own."""
+    rows = [(None, "a b c", "s")] * 700 + [(1, "x y", "s")] * 2 + [(2, "z", None)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, source string")
+    placed, _ = mixing.mix(docs, block=8)
+    got = placed.where("source = 's'").orderBy("rank").collect()
+    assert [r["rank"] for r in got] == list(range(702)) and [r["at"] for r in got] == np.concatenate(([0], np.cumsum([r["size"] for r in got])[:-1])).tolist()
+    assert sorted(r["copy"] for r in got if r["doc_id"] is None) == list(range(1, 701))
+    assert mixing.mixed_documents(docs, block=8).count() >= 703
 
 
 def test_mix_places_are_a_stream(spark):
@@ -354,6 +402,7 @@ def test_mix_places_are_a_stream(spark):
         by.setdefault(r["source"], []).append((r["at"], r["rank"], r["size"]))
     for rows in by.values():
         rows.sort(key=lambda x: x[1])
+        assert [r[1] for r in rows] == list(range(len(rows)))
         at = 0
         for a, _, n in rows:
             assert a == at

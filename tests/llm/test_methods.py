@@ -286,8 +286,25 @@ def test_wave_round_trip(form):
 
 def test_resampled(spark):
     assert telephony.doubled(np.array([0, 10, -3], np.int16)).tolist() == [0, 5, 10, 3, -3, -3]
-    media = spark.createDataFrame([("ab",), (None,)], "t string").select(telephony.decoded_pcm(telephony.stored_media(F.col("t"))).alias("p")).collect()
-    assert [len(m["p"]) for m in media] == [192 * 4] * 2
+    for form, n in ((telephony.MU_LAW, 192), (telephony.A_LAW, 192), (telephony.IMA_ADPCM, 370)):
+        media = spark.createDataFrame([("ab",), (None,)], "t string").select(telephony.decoded_pcm(telephony.stored_media(F.col("t"), form)).alias("p")).collect()
+        assert [len(m["p"]) for m in media] == [n * 4] * 2
+
+
+def test_pcm_is_stored(spark, tmp_path, monkeypatch):
+    """Stored PCM is what each medium decodes to by itself, though ADPCM blocks are decoded across media."""
+    docs = spark.createDataFrame([(i, "some text " * (i * 7 % 90)) for i in range(60)], "doc_id long, text string")
+    telephony.store_pcm(docs, f"{tmp_path}/pcm")
+    got = {r["doc_id"]: r["pcm"] for r in spark.read.parquet(f"{tmp_path}/pcm").collect()}
+    forms = set()
+    for r in telephony.media_table(docs).collect():
+        form, _, block, payload = telephony.read_wave(bytes(r["media"]))
+        forms.add(form)
+        assert bytes(got[r["doc_id"]]) == telephony.doubled(telephony.pcm(form, block, payload)).astype("<i2").tobytes()
+    assert len(got) == 60 and forms == {6, 7, 17}
+    monkeypatch.setattr(telephony, "STRETCH", 300)
+    media = [bytes(r["media"]) for r in telephony.media_table(docs).collect()] + [None]
+    assert [None if x is None else x.tolist() for _, x in telephony.decoded(media)] == [None if m is None else telephony.pcm(f[0], f[2], f[3]).tolist() for m in media for f in [m and telephony.read_wave(m)]]
 
 
 # ---- packing and mixing

@@ -107,10 +107,11 @@ class WordEncoder:
         plain = pc.utf8_is_alpha(core)
         other = np.flatnonzero(pc.and_(plain, pc.invert(pc.string_is_ascii(core))).to_numpy(zero_copy_only=False))
         if len(other):
-            odd = [k for k, w in zip(other.tolist(), core.take(pa.array(other)).to_pylist(), strict=True) if not all(map(self.sound, {c for c in w if c > "\x7f"}))]
+            said = core.take(pa.array(other)).to_pylist()
+            odd = {c for c in set("".join(said)) if c > "\x7f" and not self.sound(c)}
             if odd:
                 mask = plain.to_numpy(zero_copy_only=False).copy()
-                mask[odd] = False
+                mask[[k for k, w in zip(other.tolist(), said, strict=True) if not odd.isdisjoint(w)]] = False
                 plain = pa.array(mask)
         coded = pc.if_else(plain, core, words).dictionary_encode()
         bases = coded.dictionary.cast(pa.binary()).to_pylist()

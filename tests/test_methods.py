@@ -151,9 +151,9 @@ def test_worker_identity():
         seen = []
         s = Segment(0, np.zeros(3), 8, 1, length=3, lr=0.05, momentum=momentum)
 
-        def steps(it, n, b, e, seen=seen):
+        def steps(it, n, b, seen=seen):
             for _ in range(n):
-                yield lambda p: seen.append(p.copy()) or p - goal
+                yield 1, lambda p: seen.append(p.copy()) or p - goal
 
         out = run_segment(replace(s, gate=(GateParams(), -1.3, 0, 0)), np.zeros(3), steps, lambda p: float(((p - goal) ** 2).sum()))
         p, v = np.zeros(3), np.zeros(3)
@@ -203,14 +203,16 @@ def runs(spark, learner, *policies, workers=None, **change):
 
 
 def test_framework_identities(spark, learner):
-    asp, loose = runs(spark, learner, x.ASP, replace(x.SSP, staleness=10**9))
-    assert [r[1:] for r in asp.log] == [r[1:] for r in loose.log]
+    asp, loose = runs(spark, learner, x.ASP, replace(x.SSP, staleness=10**9), latency_s=0.0)  # but for asking how far others are
+    assert [r[2:] for r in asp.log] == [r[2:] for r in loose.log if r[4] != "peers"]
+    late = runs(spark, learner, x.SSP)[0]
+    assert late.trajectory[-1][2] > runs(spark, learner, x.ASP)[0].trajectory[-1][2]
     every = runs(spark, learner, Policy("gradient", delta=-1.0), merge="equal", max_segment=1, sizing=False)[0]
     assert len([r for r in every.log if r[4] == "push"]) > 0
     again = runs(spark, learner, x.GATED[1])[0]
     assert again.log == runs(spark, learner, x.GATED[1])[0].log
     one = tables.fleet_rows()[:1]
-    a, b = runs(spark, learner, x.BSP, x.ASP, workers=one, max_merges=20, pushes_per_round=1)
+    a, b = runs(spark, learner, x.BSP, x.ASP, workers=one, max_merges=20, pushes_per_round=1, async_scale=1.0)
     assert np.allclose([t[4] for t in a.trajectory], [t[4] for t in b.trajectory])
     tight = runs(spark, learner, replace(x.SSP, staleness=0))[0]
     clocks = dict.fromkeys(range(12), 0)
@@ -329,21 +331,123 @@ def test_late_rows_and_alarms(spark, tmp_path):
     assert alarms == {(2, 5), (1, 20), (1, 210)}
 
 
-def test_all_rows_train_and_test(spark):
-    """Small sub-shards hold all training rows and take turns; a run reports the whole test split."""
-    from tidegate.plans.experiments import _shared_out
-    from tidegate.plans.learners import Softmax, evaluate
+def points(spark, n=6000, train=1200):
+    r = np.random.default_rng(4)
+    rows = [(k, [float(v) for v in r.normal(size=2)], k % 2, "train" if k < train else "test") for k in range(n)]
+    return spark.createDataFrame(rows, "key long, features array<float>, label int, split string")
+
+
+def test_trained_rows_are_charged(spark):
+    """In tasks: each worker's iterations train on the rows that it is dealt at its turn, and the clock charges these; the whole
+    test split is reported; the next turn is fetched ahead."""
+    from tidegate.plans.learners import SparkLearner, Softmax, evaluate
     from tidegate.plans.trainer import BSP, TrainConfig, train
-    from tidegate.sources import tables
 
-    r = np.random.default_rng(4)
-    rows = [(k, [float(v) for v in r.normal(size=2)], k % 2, "train" if k < 1200 else "test") for k in range(6000)]
-    df = spark.createDataFrame(rows, "key long, features array<float>, label long, split string")
-    learner = _shared_out(spark, df, Softmax(2, 2), 42, shard_rows=20)
-    assert learner.rows == learner.shards.count() == 1200
-    assert learner.shards.groupBy("worker_id", "sub").count().agg({"count": "max"}).first()[0] < 45
-    out = train(spark, learner, tables.fleet_rows(), BSP, TrainConfig(n0=20, max_merges=6), "all")
-    assert all(learner.turns[w] == 5 for w in learner.subs) and max(learner.subs.values()) <= 6
-    assert len(learner.y) == 2000 and learner.test.count() == 4800
+    learner = SparkLearner(points(spark), Softmax(2, 2))
+    assert learner.rows == 1200
+    dealt = {}
+    plain = learner.dealt
+    learner.dealt = lambda turn: dealt.setdefault(turn, plain(turn))
+    out = train(spark, learner, tables.fleet_rows(), BSP, TrainConfig(n0=70, b0=16, max_merges=3), "all")
+    k = {w[0]: w[4] for w in tables.fleet_rows()}
+    keys = {}
+    for turn in range(3):
+        rows = dealt[turn].select("worker_id", "key").collect()
+        assert len({r["key"] for r in rows}) == len(rows)  # nobody shares a row
+        for w in k:
+            keys[w, turn] = {r["key"] for r in rows if r["worker_id"] == w}
+    assert len(out.allocations) == 36
+    for a in out.allocations:
+        n = len(keys[a[1], a[2] - 1])
+        assert 40 < n <= 70 and a[3] == n and abs(a[5] - k[a[1]] * n / 16) < 1e-9
+    assert keys[0, 0] != keys[0, 1] and len(set().union(*keys.values())) > 900
+    assert out.stopped == "cap" and learner.test.count() == 4800
     assert out.accuracy == evaluate(learner.model, out.params, learner.test)[1]
     learner.close()
+
+
+def test_sizes_beyond_the_rows(spark):
+    """Workers that ask for more rows than there are get their shares, and a new size is dealt anew at its turn."""
+    from tidegate.plans.learners import Segment, Softmax, SparkLearner
+
+    learner = SparkLearner(points(spark), Softmax(2, 2), workers=3, prefetch=False)
+    zero = np.zeros(6)
+    first = learner.run([Segment(w, zero, n, 16) for w, n in ((0, 5000), (1, 2500), (2, 2500))])
+    got = {s.worker_id: s.trained[0] for s in first}
+    assert sum(got.values()) == 1200 and 500 < got[0] < 700 and 200 < got[1] < 400
+    again = learner.run([Segment(w, zero, n, 16, iteration=1) for w, n in ((0, 100), (1, 200), (2, 300))])
+    assert {s.worker_id: s.trained[0] for s in again} == {0: 100, 1: 200, 2: 300}
+    learner.close()
+
+
+def test_learners_agree(spark, learner):
+    """Least squares in tasks and on the driver reach the same model on other mini-batches."""
+    from tidegate.plans.trainer import BSP, train
+
+    tasks = x.tabular_learner(spark, "/root/testdata/sf0.001", held=0)
+    held = x.tabular_learner(spark, "/root/testdata/sf0.001")
+    assert type(tasks).__name__ == "SparkLearner" and tasks.rows == held.rows
+    cfg = replace(x.TABULAR, n0=400, lr=0.02, max_merges=8)
+    a, b = (train(spark, one, tables.fleet_rows(), BSP, cfg) for one in (tasks, held))
+    assert np.allclose(a.params, b.params, atol=0.05) and abs(a.accuracy - b.accuracy) < 0.02 and a.accuracy > 0.9
+    tasks.close()
+
+
+def test_batch_size_acts_alike(spark):
+    """The same batch size leaves the same noise in gradients whatever the table's length."""
+    spread = []
+    for sf in ("sf0.001", "sf0.01"):
+        one = x.tabular_learner(spark, f"/root/testdata/{sf}")
+        for b in (4, 64):
+            g = [gradient(np.zeros(4)) for it in range(60) for _, gradient in list(one.steps(3)(it, b, b))]
+            spread.append(np.std(g, axis=0)[0])
+    assert abs(spread[0] / spread[2] - 1) < 0.4 and abs(spread[1] / spread[3] - 1) < 0.4 and spread[0] > 2.5 * spread[1]
+
+
+def test_sizes_act_on_what_begins_after(spark, learner):
+    """One by one: an iteration that begins after a resize has the new size, one that began before has the old."""
+    run = runs(spark, learner, x.GATED[1], slow=(0, 12, 1.6), resize_every=20)[0]
+    mine = [a for a in run.allocations if a[1] == 0]
+    assert mine[0][3] == 2500 and mine[-1][3] < 700 and len({a[3] for a in mine}) >= 3
+    assert all(abs(a[5] - 0.048 * (1.6 if a[2] > 12 else 1) * a[3] / 16) < 1e-9 for a in mine)
+
+
+def test_elastic_benchmark_crashes(spark, learner):
+    from tidegate.plans.trainer import EBSP, benchmark_demand, train
+
+    assert benchmark_demand(110_033, 150, 12) < 2 < benchmark_demand(989_756, 150, 12) < 4
+    assert benchmark_demand(989_756, 1, 12) < 2
+    with pytest.raises(MemoryError):
+        train(spark, learner, tables.fleet_rows(), EBSP, x.TABULAR, demand_gb=benchmark_demand(989_756, 150, 12))
+
+
+def test_every_worker_owns_a_bucket(spark):
+    """Also the ones whose share of rows is far under a bucket's."""
+    alloc = spark.range(1500).select(F.col("id").cast("int").alias("worker_id"), F.when(F.col("id") == 7, 10**6).otherwise(1).cast("long").alias("n_rows"), F.lit(16).alias("batch_rows"))
+    owned = sizing.owned_buckets(alloc, 64 * 1500)
+    assert owned.select("worker_id").distinct().count() == 1500 and owned.select("bucket").distinct().count() == owned.count() == 64 * 1500
+    dealt = sizing.deal_rows(spark.range(400_000), F.col("id"), alloc).groupBy("worker_id").count()
+    assert dealt.count() >= 1450  # a bucket of four rows may be empty
+
+
+def test_half_scaled_gradients():
+    """fp16 keeps small gradients by a loss scale."""
+    from tidegate.plans.learners import Segment, run_segment
+
+    steps = lambda it, n, b: iter([(n, lambda p: np.full(2, 3e-8))])
+    got = run_segment(Segment(0, np.zeros(2), 4, 4, precision="fp16"), np.zeros(2), steps, lambda p: 1.0).acc
+    assert np.allclose(got, 3e-8, rtol=0.1)
+
+
+def test_shared_folder_is_asked_for(spark, monkeypatch):
+    """A cluster without a shared folder gets an error, no folder of one machine."""
+    class Context:
+        master = "spark://host:7077"
+        getCheckpointDir = staticmethod(lambda: None)  # noqa: N815
+
+    class Session:
+        conf = type("Conf", (), {"get": staticmethod(lambda *a: None)})
+        sparkContext = Context()  # noqa: N815
+
+    with pytest.raises(RuntimeError):
+        tables.shared_dir(Session())

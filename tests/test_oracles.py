@@ -7,7 +7,8 @@ from tidegate import registry
 
 SF = "/root/testdata/sf0.001"
 QUERIES, ORACLES = registry.queries(), registry.oracle_sql()
-SLOW = {"x1_image_frameworks", "x1_image_cnn", "x2_text_frameworks", "x14_ablation", "x17_accuracy_spread", "m16_three_seeds", "b4_elastic_spread_run", "x3_tabular_frameworks", "x15_merge_rules", "x16_communication"}
+#: queries without an oracle that may be empty
+MAY_BE_EMPTY = {"r87_late_rows"}
 
 
 @pytest.mark.parametrize("name", sorted(ORACLES))
@@ -15,7 +16,11 @@ def test_matches_sql(spark, name):
     same(QUERIES[name](spark, SF), SF, ORACLES[name])
 
 
-@pytest.mark.parametrize("name", sorted(set(QUERIES) - set(ORACLES) - SLOW))
+@pytest.mark.parametrize("name", sorted(set(QUERIES) - set(ORACLES)))
 def test_runs(spark, name):
-    df = QUERIES[name](spark, SF)
-    assert df.columns and df.count() >= 0
+    rows = QUERIES[name](spark, SF).toPandas()
+    assert len(rows.columns) and (len(rows) or name in MAY_BE_EMPTY)
+    if "stopped" in rows.columns:  # whole runs end by patience, or say why not
+        assert set(rows.stopped) <= {"patience", "diverged", "crashed"}
+        done = rows[rows.stopped == "patience"]
+        assert (done.iterations > 0).all() and (done.minutes > 0).all() and (done.independence >= 0.9).all() and (done.calls > done.iterations).all()

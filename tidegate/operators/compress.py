@@ -3,7 +3,8 @@
 from __future__ import annotations
 
 import numpy as np
-import pandas as pd
+import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import Column
 from pyspark.sql import functions as F
 
@@ -17,18 +18,32 @@ def from_half(b: bytes) -> np.ndarray:
     return np.frombuffer(b, "<f2").astype(np.float32)
 
 
+def _cuts(lengths: pa.Array) -> np.ndarray:
+    return np.concatenate(([0], np.cumsum(pc.fill_null(lengths, 0).to_numpy(zero_copy_only=False).astype(np.int64))))
+
+
 def pack_half(c: Column) -> Column:
-    @F.pandas_udf("binary")
-    def run(s: pd.Series) -> pd.Series:
-        return s.map(lambda x: None if x is None else to_half(np.asarray(x, np.float64)))
+    """binary of an array of numbers; null stays null."""
+
+    @F.arrow_udf("binary")
+    def run(column: pa.Array) -> pa.Array:
+        flat = column.flatten().cast(pa.float64()).to_numpy(zero_copy_only=False)
+        cuts = (2 * _cuts(pc.list_value_length(column))).astype(np.int32)
+        packed = pa.Array.from_buffers(pa.binary(), len(column), [None, pa.py_buffer(cuts.tobytes()), pa.py_buffer(to_half(flat))])
+        return pc.if_else(pc.is_valid(column), packed, pa.scalar(None, pa.binary()))
 
     return run(c)
 
 
 def unpack_half(c: Column) -> Column:
-    @F.pandas_udf("array<float>")
-    def run(s: pd.Series) -> pd.Series:
-        return s.map(lambda x: None if x is None else from_half(x))
+    """array of numbers of a binary; null stays null."""
+
+    @F.arrow_udf("array<float>")
+    def run(column: pa.Array) -> pa.Array:
+        flat = from_half(b"".join(x for x in column.to_pylist() if x))
+        cuts = _cuts(pc.binary_length(column)) // 2
+        ends = pa.array([None if not ok else int(a) for ok, a in zip(column.is_valid().to_pylist(), cuts, strict=False)] + [int(cuts[-1])], pa.int32()) if column.null_count else pa.array(cuts.astype(np.int32))
+        return pa.ListArray.from_arrays(ends, pa.array(flat, pa.float32()))
 
     return run(c)
 

@@ -54,15 +54,29 @@ def _time(n: Column, k: Column, epochs: Column, b: Column) -> Column:
 
 def search_rows(target: Column, k: Column, epochs: Column, batch_rows: Column, cap: Column, max_log: int = 40) -> Column:
     """Most rows, at most cap, whose time at this batch size does not pass the target: a binary search."""
-    zero = F.struct(F.lit(0).cast("long").alias("lo"), cap.cast("long").alias("hi"))
+    return _searched_rows(target, k, epochs, batch_rows, cap, max_log)["lo"]
+
+
+def _searched_rows(target: Column, k: Column, epochs: Column, batch_rows: Column, cap: Column, max_log: int = 40) -> Column:
+    """struct<lo, hi, probes>: where the binary search ends, and how many times it looked."""
+    zero = F.struct(F.lit(0).cast("long").alias("lo"), cap.cast("long").alias("hi"), F.lit(0).alias("probes"))
 
     def halve(s, _):
         mid = ((s["lo"] + s["hi"] + 1) / 2).cast("long")
         fits = (_time(mid, k, epochs, batch_rows) <= target) & (mid <= s["hi"])
-        return F.struct(F.when(fits, mid).otherwise(s["lo"]).alias("lo"), F.when(fits, s["hi"]).otherwise(F.least(s["hi"], mid - 1)).alias("hi"))
+        looks = s["probes"] + F.when(s["lo"] < s["hi"], 1).otherwise(0)
+        return F.struct(F.when(fits, mid).otherwise(s["lo"]).alias("lo"), F.when(fits, s["hi"]).otherwise(F.least(s["hi"], mid - 1)).alias("hi"), looks.alias("probes"))
 
     steps = F.least(F.ceil(F.log2(F.greatest(cap, F.lit(1)).cast("double"))) + 1, F.lit(max_log)).cast("int")
-    return F.aggregate(F.sequence(F.lit(1), F.greatest(steps, F.lit(1))), zero, halve, lambda s: s["lo"])
+    return F.aggregate(F.sequence(F.lit(1), F.greatest(steps, F.lit(1))), zero, halve)
+
+
+def search_probes(workers: DataFrame, total_rows: int, epochs: int = 1, prefer: str = "current") -> DataFrame:
+    """worker_id and `probes`: how many times the dual search looks at a predicted time for a worker, of batch sizes and of rows."""
+    cap, e, k, t = F.least(F.col("cap_rows"), F.lit(total_rows)).cast("long"), F.lit(epochs), F.col("sec_per_batch"), F.col("t_target")
+    sized = workers.withColumn("_cap", cap).withColumn("_b", search_batch(t, k, e, F.col("_cap"), F.col("batch_rows"), prefer))
+    outer = (HIGH_EXP - LOW_EXP + 1).bit_length() - 1
+    return sized.select("worker_id", (_searched_rows(t, k, e, F.col("_b"), F.col("_cap"))["probes"] + outer).alias("probes"))
 
 
 def _feasible(target: Column, k: Column, epochs: Column, b: Column, cap: Column) -> Column:
@@ -164,35 +178,70 @@ def reallocate(obs: DataFrame, caps: DataFrame, total_rows: int, resize: str = "
     return j.select("worker_id", "status", pick("new_n", "old_n").cast("long").alias("n_rows"), pick("new_b", "batch_rows").cast("int").alias("batch_rows"), pick("new_t", "t_train").alias("t_pred"), "t_target")
 
 
-def deal_rows(df: DataFrame, key: Column, alloc: DataFrame, iteration: int = 0, seed: int = 42, skew: Column | None = None, buckets: int = 1024) -> DataFrame:
+def with_buckets(df: DataFrame, key: Column, buckets: int, seed: int = 42, skew: Column | None = None) -> DataFrame:
+    """df with `bucket`, below `buckets`, by a hash of key. With `skew`, a value of few kinds such as a label, two rows of five
+    lie in buckets that their value has in proportion to its rows, the others anywhere, so that neighbouring buckets hold
+    few kinds for the most part, and none lacks one."""
+    from tidegate.functions.scalar import arithmetic_hash
+
+    h = arithmetic_hash(key * 1009 + seed)
+    if skew is None:
+        return df.withColumn("bucket", F.pmod(h, F.lit(buckets)).cast("long"))
+    regions = _regions(df, skew, buckets)
+    tagged = df.withColumn("_label", skew).join(F.broadcast(regions), F.col("_label").eqNullSafe(F.col("_skew")))  # a row a label
+    own = F.col("_lo") + F.pmod(h, F.col("_width"))
+    anywhere = F.pmod(F.floor(h / 7), F.lit(buckets))
+    return tagged.withColumn("bucket", F.when(F.pmod(key, F.lit(5)) < 2, own).otherwise(anywhere).cast("long")).drop("_label", "_skew", "_lo", "_width")
+
+
+def _regions(df: DataFrame, skew: Column, buckets: int) -> DataFrame:
+    """(_skew, _lo, _width): neighbouring buckets of each value, in proportion to its rows."""
+    before = Window.orderBy("_skew").rowsBetween(Window.unboundedPreceding, 0)  # a row a label
+    counts = df.groupBy(skew.alias("_skew")).agg(F.count(F.lit(1)).alias("_n")).withColumns({"_to": F.sum("_n").over(before), "_of": F.sum("_n").over(Window.partitionBy())})
+    lo, hi = (F.floor(c * buckets / F.col("_of")) for c in (F.col("_to") - F.col("_n"), F.col("_to")))
+    return counts.select("_skew", F.least(lo, F.lit(buckets - 1)).alias("_lo"), F.greatest(hi - lo, F.lit(1)).alias("_width"))
+
+
+def owned_buckets(alloc: DataFrame, buckets: int) -> DataFrame:
+    """alloc (worker_id, n_rows, batch_rows) with a row for each bucket of a worker: neighbouring ones, one at least and the others in
+    proportion to its rows. `buckets` must be no fewer than the workers."""
+    every = Window.orderBy("worker_id").rowsBetween(Window.unboundedPreceding, 0)  # a row a worker
+    shares = alloc.select("worker_id", "n_rows", "batch_rows", F.sum("n_rows").over(every).alias("_upto"), F.sum("n_rows").over(Window.partitionBy()).alias("_all"), F.row_number().over(Window.orderBy("worker_id")).alias("_no"), F.count(F.lit(1)).over(Window.partitionBy()).alias("_w"))
+    edge = lambda c, no: F.floor(c * (buckets - F.col("_w")) / F.col("_all")) + no
+    return shares.select("worker_id", "n_rows", "batch_rows", F.explode(F.sequence(edge(F.col("_upto") - F.col("n_rows"), F.col("_no") - 1), edge(F.col("_upto"), F.col("_no")) - 1)).alias("bucket"))
+
+
+def deal_rows(df: DataFrame, key: Column, alloc: DataFrame, iteration: int = 0, seed: int = 42, skew: Column | None = None, buckets: int | None = None, counts: DataFrame | None = None) -> DataFrame:
     """df's rows that go to a worker in this iteration, with worker_id, pos and batch_no.
 
     A row's bucket is a hash of its key and the iteration; with `skew`, a value of few kinds such as a label, every value has
-    buckets of its own in proportion to its rows, so that shards hold few of them. Workers own
-    neighbouring buckets in proportion to their rows, by prefix sums. Within a worker, rows are numbered by hash.
+    buckets of its own in proportion to its rows, so that shards hold few of them. Workers own neighbouring buckets, at least one each, in
+    proportion to their rows. Within a worker, rows are numbered by hash. Where the workers ask for more rows than there are, each
+    gets its share of them. buckets: by default 1024, or 64 a worker if that is more.
+
+    With `counts` (bucket, _rows), df already has a `bucket`, such as one that it is stored by: then buckets go round the
+    workers by iteration, and of df only those that are dealt are read.
     """
     from tidegate.functions.scalar import arithmetic_hash
 
+    if buckets is None:
+        buckets = max(1024, 64 * alloc.count())  # a row a worker
     tagged = df.withColumn("_h", arithmetic_hash(key * 1009 + (iteration * 31 + seed)))
-    if skew is None:
+    turn = lambda c: c
+    if counts is not None:
+        turn = lambda c: F.pmod(c + iteration * (buckets // 3 + 1), F.lit(buckets))
+    elif skew is None:
         tagged = tagged.withColumn("bucket", F.pmod("_h", F.lit(buckets)).cast("long"))
     else:
-        before = Window.orderBy("_skew").rowsBetween(Window.unboundedPreceding, 0)  # a row a label
-        counts = df.groupBy(skew.alias("_skew")).agg(F.count(F.lit(1)).alias("_n")).withColumns({"_to": F.sum("_n").over(before), "_of": F.sum("_n").over(Window.partitionBy())})
-        lo, hi = (F.floor(c * buckets / F.col("_of")) for c in (F.col("_to") - F.col("_n"), F.col("_to")))
-        regions = counts.select("_skew", F.least(lo, F.lit(buckets - 1)).alias("_lo"), F.greatest(hi - lo, F.lit(1)).alias("_width"))
-        tagged = tagged.withColumn("_label", skew).join(F.broadcast(regions), F.col("_label").eqNullSafe(F.col("_skew")))
+        tagged = tagged.withColumn("_label", skew).join(F.broadcast(_regions(df, skew, buckets)), F.col("_label").eqNullSafe(F.col("_skew")))
         tagged = tagged.withColumn("bucket", F.col("_lo") + F.pmod("_h", F.col("_width"))).drop("_label", "_skew", "_lo", "_width")
-    every = Window.orderBy("worker_id").rowsBetween(Window.unboundedPreceding, 0)  # a row a worker
-    shares = alloc.select("worker_id", "n_rows", "batch_rows", F.sum("n_rows").over(every).alias("_upto"), F.sum("n_rows").over(Window.partitionBy()).alias("_all"))
-    edge = lambda c: F.floor(c * buckets / F.col("_all"))
-    owned = shares.select("worker_id", "n_rows", "batch_rows", F.explode(F.when(edge(F.col("_upto")) > edge(F.col("_upto") - F.col("n_rows")), F.sequence(edge(F.col("_upto") - F.col("n_rows")), edge(F.col("_upto")) - 1))).alias("bucket"))
-    # buckets are counted first, and a worker takes no more of its buckets than its rows need: the rest is not shuffled
-    counts = tagged.groupBy("bucket").agg(F.count(F.lit(1)).alias("_rows"))
-    first = Window.partitionBy("worker_id").orderBy("bucket").rowsBetween(Window.unboundedPreceding, -1)
-    taken = counts.join(F.broadcast(owned), "bucket").withColumn("_before", F.coalesce(F.sum("_rows").over(first), F.lit(0)))
-    taken = taken.where(F.col("_before") < F.col("n_rows")).select("bucket", "worker_id", "n_rows", "batch_rows")
+    owned = owned_buckets(alloc, buckets).withColumnRenamed("bucket", "_place")
+    # buckets are counted first, and a worker takes no more of its buckets than its rows need: the rest is not read or shuffled
+    counted = tagged.groupBy("bucket").agg(F.count(F.lit(1)).alias("_rows")) if counts is None else counts
+    first = Window.partitionBy("worker_id").orderBy("_place").rowsBetween(Window.unboundedPreceding, -1)
+    taken = counted.withColumn("_place", turn(F.col("bucket"))).join(F.broadcast(owned), "_place").withColumn("_before", F.coalesce(F.sum("_rows").over(first), F.lit(0)))
+    taken = taken.where(F.col("_before") < F.col("n_rows")).select("bucket", "_place", "worker_id", "n_rows", "batch_rows")
     tagged = tagged.join(F.broadcast(taken), "bucket")  # at most `buckets` rows
-    w = Window.partitionBy("worker_id").orderBy("bucket", "_h", key)
+    w = Window.partitionBy("worker_id").orderBy("_place", "_h", key)
     numbered = tagged.withColumn("pos", F.row_number().over(w).cast("long") - 1).where(F.col("pos") < F.col("n_rows"))
-    return numbered.withColumn("batch_no", F.floor(F.col("pos") / F.col("batch_rows")).cast("long")).drop("_h", "n_rows", "batch_rows")
+    return numbered.withColumn("batch_no", F.floor(F.col("pos") / F.col("batch_rows")).cast("long")).drop("_h", "_place", "n_rows", "batch_rows")

@@ -7,9 +7,8 @@ from dataclasses import replace
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from tidegate.operators import sizing
 from tidegate.plans import metrics
-from tidegate.plans.learners import Cnn, GramLearner, Mlp, Softmax, SparkLearner
+from tidegate.plans.learners import CNN_110K, CNN_990K, HELD_BYTES, HELD_ROWS, Cnn, HeldLearner, LeastSquares, Mlp, RowLearner, Softmax, SparkLearner
 from tidegate.plans.trainer import ASP, BSP, EBSP, GATED, GRADIENT, SSP, Policy, RunResult, TrainConfig, train
 from tidegate.sources import tables
 
@@ -17,40 +16,49 @@ ALL = (BSP, ASP, SSP, EBSP, *GATED)
 #: published settings of the two models
 SMALL = TrainConfig(lr=0.1, patience=25)
 LARGE = TrainConfig(lr=0.001, momentum=0.9, patience=10)
-#: least squares: a rate at which it takes tens of iterations, as the published models do
-TABULAR = TrainConfig(lr=0.002, patience=25, min_delta=1e-7)
+#: least squares: a rate at which it takes tens of iterations, as the published models do. A push is the whole way of 150 mini-batches
+#: or so, a quarter of what is left: without a gate, twelve of them at once would go three times too far, so each is damped
+TABULAR = TrainConfig(lr=0.002, patience=25, min_delta=1e-7, async_scale=1 / 12, apply_sizes="next_iteration", one_by_one=True)
+#: the same without the damping, as published
+UNDAMPED = replace(TABULAR, async_scale=1.0)
+#: sizes as they were dealt first, whatever the workers' speeds
+STATIC = replace(TABULAR, sizing=False)
 
 
 def with_quiet(policies: tuple[Policy, ...], quiet_limit: int) -> tuple[Policy, ...]:
     return tuple(replace(p, gate=replace(p.gate, quiet_limit=quiet_limit)) for p in policies)
 
 
-def tabular_learner(spark: SparkSession, sf: str, seed: int = 42) -> GramLearner:
+def tabular_learner(spark: SparkSession, sf: str, seed: int = 42, held: int = HELD_ROWS) -> RowLearner | SparkLearner:
+    """Least squares on lineitem: on the driver while it has at most `held` training rows, else in tasks."""
     cols = ["l_orderkey", "l_partkey", "l_suppkey", "l_linenumber", "l_quantity", "l_extendedprice", "l_discount"]
-    return GramLearner(tables.tabular_rows(tables.load(spark, sf, "lineitem", cols)), seed=seed)
+    rows = tables.tabular_rows(tables.load(spark, sf, "lineitem", cols))
+    if rows.where("split = 'train'").count() <= held:
+        return RowLearner(rows, seed=seed)
+    features = F.array(*[F.col(c).cast("float") for c in ("x1", "x2", "x3")]).alias("features")
+    return SparkLearner(rows.select("key", features, F.col("y").alias("label"), "split"), LeastSquares(3), len(tables.fleet_rows()), seed)
 
 
-def image_learner(spark: SparkSession, sf: str, model: str = "softmax", seed: int = 42) -> SparkLearner:
-    rows = tables.image_rows(tables.load(spark, sf, "embeddings", ["vec_id", "embedding"]))
-    return _shared_out(spark, rows, {"softmax": Softmax(64, 10), "cnn": Cnn(8, 10, (8,)), "mlp": Mlp(64, 10)}[model], seed)
+IMAGE_MODELS = {"softmax": lambda: Softmax(64, 10), "cnn": lambda: CNN_110K, "small_cnn": lambda: Cnn(8, 10, (8,)), "deep_cnn": lambda: CNN_990K, "mlp": lambda: Mlp(64, 10)}
 
 
-def text_learner(spark: SparkSession, sf: str, model: str = "mlp", seed: int = 42, skewed: bool = True) -> SparkLearner:
-    rows = tables.text_rows(tables.load(spark, sf, "documents", ["doc_id", "text", "lang", "source"]))
-    d = len(tables.LETTERS)
-    return _shared_out(spark, rows, Mlp(d, 4) if model == "mlp" else Softmax(d, 4), seed, F.col("label") if skewed else None)
+def _learner(rows: DataFrame, width: int, model, seed: int, skew: str | None = None, held: int = HELD_BYTES) -> HeldLearner | SparkLearner:
+    """On the driver while rows of `width` features are few, else in tasks."""
+    small = rows.count() * (8 * width + 8) <= held
+    return HeldLearner(rows, model, len(tables.fleet_rows()), seed, skew) if small else SparkLearner(rows, model, len(tables.fleet_rows()), seed, skew=skew)
+
+
+def image_learner(spark: SparkSession, sf: str, model: str = "softmax", seed: int = 42, held: int = HELD_BYTES) -> HeldLearner | SparkLearner:
+    rows = tables.image_rows(tables.load(spark, sf, "embeddings", ["vec_id", "embedding"]))
+    return _learner(rows, 64, IMAGE_MODELS[model](), seed, held=held)
 
 
-def _shared_out(spark, rows: DataFrame, model, seed: int, skew=None, shard_rows: int = 100_000) -> SparkLearner:
-    """A learner whose workers share all training rows, in sub-shards of about `shard_rows` rows."""
-    alloc = tables.fleet(spark).select("worker_id", F.lit(10**9).cast("long").alias("n_rows"), F.lit(16).alias("batch_rows"))
-    train_rows = rows.where("split = 'train'")
-    if skew is None:
-        shards = sizing.deal_rows(train_rows, F.col("key"), alloc, seed=seed)
-    else:  # two rows of five go by label, the others anywhere: shards differ, and none lacks a label
-        by_label = F.pmod("key", F.lit(5)) < 2
-        shards = sizing.deal_rows(train_rows.where(by_label), F.col("key"), alloc, seed=seed, skew=skew).unionByName(sizing.deal_rows(train_rows.where(~by_label), F.col("key"), alloc, seed=seed))
-    return SparkLearner(shards, rows.where("split = 'test'"), model, seed, shard_rows=shard_rows)
+def text_learner(spark: SparkSession, sf: str, model: str = "mlp", seed: int = 42, skewed: bool = True, held: int = HELD_BYTES) -> HeldLearner | SparkLearner:
+    """Languages of documents by letter shares. "wide": a network of 990,004 parameters, as the larger published model has."""
+    rows = tables.text_rows(tables.load(spark, sf, "documents", ["doc_id", "text", "lang", "source"])).where("label is not null")
+    d = len(tables.LETTERS)
+    made = {"mlp": lambda: Mlp(d, 4), "wide": lambda: Mlp(d, 4, 22_500), "softmax": lambda: Softmax(d, 4)}[model]()
+    return _learner(rows.select("key", "features", "label", "split"), d, made, seed, "label" if skewed else None, held)
 
 
 def compare(spark: SparkSession, learner, policies=ALL, cfg: TrainConfig = SMALL, workers: list[tuple] | None = None, tag: str = "") -> list[RunResult]:
@@ -65,16 +73,15 @@ def logs(spark: SparkSession, runs: list[RunResult]) -> tuple[DataFrame, DataFra
 
 
 def summary(spark: SparkSession, runs: list[RunResult], base: str = "bsp", workload: str = "w") -> DataFrame:
-    """A row a run: iterations, minutes, independence, accuracy, calls, and these against the base run."""
+    """A row a run: iterations, minutes, independence, accuracy, calls, these against the base run, and what ended it."""
     log, _, _ = logs(spark, runs)
-    log = log.persist()
-    acc = spark.createDataFrame([(r.run_id, float(r.accuracy), float(r.loss)) for r in runs], "run_id string, accuracy double, loss double")
+    acc = spark.createDataFrame([(r.run_id, float(r.accuracy), float(r.loss), r.stopped) for r in runs], "run_id string, accuracy double, loss double, stopped string")
     t = acc
     for measure in (metrics.total_iterations(log), metrics.time_to_converge(log), metrics.mean_independence(log), metrics.total_calls(log), metrics.bytes_moved(log).select("run_id", "bytes")):
         t = t.join(measure, "run_id", "left")  # a run without a push has no time to converge
     t = t.withColumn("workload", F.lit(workload))
     t = metrics.accuracy_delta(metrics.speedup(t, base), base)
-    return t.select("workload", "run_id", "iterations", F.round("minutes", 4).alias("minutes"), F.round("independence", 4).alias("independence"), F.round("accuracy", 6).alias("accuracy"), F.round("loss", 6).alias("loss"), "calls", "bytes", F.round("speedup", 4).alias("speedup"), F.round("accuracy_delta", 4).alias("accuracy_delta"))
+    return t.select("workload", "run_id", "iterations", F.round("minutes", 4).alias("minutes"), F.round("independence", 4).alias("independence"), F.round("accuracy", 6).alias("accuracy"), F.round("loss", 6).alias("loss"), "calls", "bytes", F.round("speedup", 4).alias("speedup"), F.round("accuracy_delta", 4).alias("accuracy_delta"), "stopped")
 
 
 def scaled(learner, cfg: TrainConfig, share: float = 0.05) -> TrainConfig:
@@ -82,4 +89,4 @@ def scaled(learner, cfg: TrainConfig, share: float = 0.05) -> TrainConfig:
     return replace(cfg, n0=int(max(16, min(2500, share * learner.rows))))
 
 
-__all__ = ["ALL", "ASP", "BSP", "EBSP", "GATED", "GRADIENT", "LARGE", "SMALL", "SSP", "TABULAR", "compare", "image_learner", "logs", "scaled", "summary", "tabular_learner", "text_learner", "with_quiet"]
+__all__ = ["ALL", "ASP", "BSP", "EBSP", "GATED", "GRADIENT", "LARGE", "SMALL", "SSP", "STATIC", "TABULAR", "UNDAMPED", "compare", "image_learner", "logs", "scaled", "summary", "tabular_learner", "text_learner", "with_quiet"]

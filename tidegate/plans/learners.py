@@ -1,12 +1,15 @@
-"""What workers train: least squares on sums (driver, exact) and models trained by Spark tasks over cached shards.
+"""What workers train: least squares on rows that the driver holds, while they are few, and models trained by Spark tasks on
+dealt rows of tables of any size.
 
 A learner answers segments: local iterations of several workers, each from its own parameters, until the worker's policy
-fires or the segment's length is reached. Segments do not see each other, so all of them run at once.
+fires or the segment's length is reached. Segments do not see each other, so all of them run at once. A segment says how
+many rows each of its iterations was trained on, and that is what the virtual clock charges.
 """
 
 from __future__ import annotations
 
 import pickle
+import uuid
 from dataclasses import dataclass, field
 
 import numpy as np
@@ -14,9 +17,12 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from tidegate.operators import sizing
 from tidegate.operators.compress import carried
 from tidegate.operators.gate import GateParams, GateState
 from tidegate.operators.merge import Gram, gram_stats
+from tidegate.plans.prefetch import Prefetcher
+from tidegate.sources.tables import shared_dir
 
 
 @dataclass
@@ -41,21 +47,28 @@ class Segment:
     # results
     losses: list = field(default_factory=list)
     zs: list = field(default_factory=list)
+    trained: list = field(default_factory=list)
     fired: bool = False
 
 
 def run_segment(s: Segment, w_init: np.ndarray, steps, loss_of) -> Segment:
-    """Trains on: steps(iteration, n_rows, batch_rows, epochs) yields gradient functions, loss_of gives the held-out loss."""
+    """Trains on: steps(iteration, n_rows, batch_rows) yields an epoch's mini-batches as (rows, gradient function), loss_of gives
+    the held-out loss. With precision "fp16" or "mixed" parameters are rounded to half precision before a gradient is taken;
+    "fp16" rounds the gradient too, times a loss scale that keeps small values."""
     state = GateState(s.gate[0], *s.gate[1:]) if s.gate else None
     acc = s.acc.copy()
     velocity = np.zeros_like(acc) if s.velocity is None else s.velocity
     for _ in range(s.length):
-        before = acc.copy()
-        for gradient in steps(s.iteration, s.n_rows, s.batch_rows, s.epochs):
-            g = gradient(carried(w_init - s.lr * acc, s.precision))
-            velocity = s.momentum * velocity + g
-            acc = acc + velocity
+        before, rows = acc.copy(), 0
+        for _ in range(s.epochs):
+            for n, gradient in steps(s.iteration, s.n_rows, s.batch_rows):
+                g = gradient(carried(w_init - s.lr * acc, s.precision))
+                g = carried(g * LOSS_SCALE, s.precision) / LOSS_SCALE if s.precision == "fp16" else g
+                velocity = s.momentum * velocity + g
+                acc = acc + velocity
+                rows += n
         s.iteration += 1
+        s.trained.append(rows // max(1, s.epochs))
         loss = float(loss_of(w_init - s.lr * acc))
         s.losses.append(loss)
         z = None
@@ -76,41 +89,47 @@ def run_segment(s: Segment, w_init: np.ndarray, steps, loss_of) -> Segment:
     return s
 
 
-class GramLearner:
-    """Least squares. One scan sums X'X, X'y and y'y in `buckets` groups of rows; everything after that is exact arithmetic on
-    those sums, so a run costs the same whatever the table's size. A mini-batch is as many buckets as its rows need."""
+LOSS_SCALE = 1024.0
+HELD_ROWS = 4_000_000  # rows of four numbers that the driver holds at most
+HELD_BYTES = 128 << 20  # and of others; longer tables are trained by tasks
 
-    def __init__(self, rows: DataFrame, features=("x1", "x2", "x3"), target: str = "y", buckets: int = 1024, seed: int = 42):
+
+def first_place(worker_id: int, iteration: int, seed: int, rows: int) -> int:
+    """Where in the hashed order of rows an iteration of a worker begins: arithmetic that SQL can repeat."""
+    return ((worker_id * 7919 + iteration * 104729 + seed) % 1000003 * 2654435761) % 4294967296 % rows
+
+
+class RowLearner:
+    """Least squares on at most HELD_ROWS training rows, in an order by hash of key. An iteration of a worker takes as many
+    neighbouring rows as it is allotted, from a place that worker and iteration give, in mini-batches of neighbours; a
+    mini-batch's gradient is taken from its sums. Held-out loss and score are those of the whole test split, by its sums."""
+
+    def __init__(self, rows: DataFrame, features=("x1", "x2", "x3"), target: str = "y", seed: int = 42):
         from tidegate.functions.scalar import arithmetic_hash
 
         d = len(features) + 1
-        bucket = F.pmod(F.floor(arithmetic_hash(F.col("key") * 13 + seed) / 7), F.lit(buckets))
-        got = gram_stats(rows, list(features), target, [F.col("split"), bucket.alias("bucket")]).collect()  # at most 2 x buckets rows
-        self.train = [Gram.of_row(r, d) for r in sorted(got, key=lambda r: r["bucket"]) if r["split"] == "train"]
-        test = [Gram.of_row(r, d) for r in sorted(got, key=lambda r: r["bucket"]) if r["split"] == "test"] or self.train
-        self.test = test[0]
-        for g in test[1:]:
-            self.test = self.test + g
-        self.rows = sum(g.n for g in self.train)
+        order = [arithmetic_hash(F.col("key") * 13 + seed).alias("_h"), "key", *features, target]
+        got = rows.where("split = 'train'").select(*order).toArrow().sort_by([(c, "ascending") for c in ("_h", "key", *features)])
+        self.x = np.stack([np.ones(got.num_rows), *(got.column(c).to_numpy() for c in features)], axis=1)
+        self.y = got.column(target).to_numpy()
+        held_out = gram_stats(rows.where("split = 'test'"), list(features), target, [F.lit(1).alias("one")]).first()
+        self.test = Gram.of_row(held_out, d) if held_out else Gram(got.num_rows, float(self.y @ self.y), self.x.T @ self.x, self.x.T @ self.y)
+        self.rows, self.seed = got.num_rows, seed
         self.w_init = np.zeros(d)
         self.row_bytes = 8 * d
-        # all sums in arrays: a step is one small product
-        self.g = np.stack([x.g for x in self.train])
-        self.b = np.stack([x.b for x in self.train])
-        self.n = np.array([x.n for x in self.train], float)
-        self.seed = seed
 
     def steps(self, worker_id: int):
-        per = max(1.0, self.rows / len(self.train))
-
-        def run(iteration, n_rows, batch_rows, epochs):
-            r = np.random.default_rng((self.seed, worker_id, iteration))
-            count, width = max(1, round(epochs * n_rows / batch_rows)), max(1, round(batch_rows / per))
-            pick = r.integers(0, len(self.n), (count, width))
-            n = self.n[pick].sum(1)
-            g, b = self.g[pick].sum(1) / n[:, None, None], self.b[pick].sum(1) / n[:, None]
-            for k in range(count):
-                yield lambda p, k=k: g[k] @ p - b[k]
+        def run(iteration, n_rows, batch_rows):
+            n = min(n_rows, self.rows)
+            at = (first_place(worker_id, iteration, self.seed, self.rows) + np.arange(n)) % self.rows
+            x, y, whole = self.x[at], self.y[at], n // batch_rows
+            cut = whole * batch_rows
+            xs, ys = x[:cut].reshape(whole, batch_rows, -1), y[:cut].reshape(whole, batch_rows)
+            g, b = np.einsum("kni,knj->kij", xs, xs) / batch_rows, np.einsum("kni,kn->ki", xs, ys) / batch_rows
+            for k in range(whole):
+                yield batch_rows, lambda p, k=k: g[k] @ p - b[k]
+            if cut < n:
+                yield n - cut, lambda p: x[cut:].T @ (x[cut:] @ p - y[cut:]) / (n - cut)
 
         return run
 
@@ -131,7 +150,48 @@ class GramLearner:
 # ---- models ------------------------------------------------------------------------------------------------------
 
 
-class Softmax:
+class LeastSquares:
+    """Least squares with a constant; its score is the share of variance explained."""
+
+    target = np.float64
+
+    def __init__(self, d: int):
+        self.d, self.size = d, d + 1
+
+    def init(self, seed: int) -> np.ndarray:
+        return np.zeros(self.size)
+
+    def gradient(self, p: np.ndarray, x: np.ndarray, y: np.ndarray) -> np.ndarray:
+        off = x @ p[1:] + p[0] - y
+        return np.concatenate(([off.mean()], x.T @ off / len(y)))
+
+    def sums(self, p: np.ndarray, x: np.ndarray, y: np.ndarray) -> tuple[float, float, float]:
+        """Sums of losses, and what the score is made of: of squared targets and of targets."""
+        off = x @ p[1:] + p[0] - y
+        return float(off @ off) / 2, float(y @ y), float(y.sum())
+
+    @staticmethod
+    def score(n: float, loss: float, a: float, b: float) -> float:
+        total = a / n - (b / n) ** 2
+        return 1 - 2 * loss / n / total if total > 0 else 0.0
+
+
+class _Classes:
+    """What classifiers share: labels are whole numbers, the score is the accuracy."""
+
+    target = np.int64
+
+    def sums(self, p: np.ndarray, x: np.ndarray, y: np.ndarray) -> tuple[float, float, float]:
+        """Sums of losses, and what the score is made of: right answers."""
+        q = self.probabilities(p, x)
+        return float(-np.log(np.maximum(q[np.arange(len(y)), y], 1e-12)).sum()), float((q.argmax(1) == y).sum()), 0.0
+
+    @staticmethod
+    def score(n: float, loss: float, a: float, b: float) -> float:
+        return a / n
+
+
+class Softmax(_Classes):
     """Softmax regression."""
 
     def __init__(self, d: int, k: int):
@@ -152,7 +212,7 @@ class Softmax:
         return np.concatenate((x.T @ q, q.sum(0)[None, :])).ravel()
 
 
-class Mlp:
+class Mlp(_Classes):
     """One hidden layer of rectified units."""
 
     def __init__(self, d: int, k: int, hidden: int = 32):
@@ -183,7 +243,7 @@ class Mlp:
         return np.concatenate([np.concatenate((x.T @ back, back.sum(0)[None])).ravel(), np.concatenate((h.T @ q, q.sum(0)[None])).ravel()])
 
 
-class Cnn:
+class Cnn(_Classes):
     """Convolutions of 3x3 with rectified units, means of 2x2, and a dense layer; more than one stage makes it deep."""
 
     def __init__(self, side: int = 8, k: int = 10, filters: tuple[int, ...] = (8,), hidden: int = 0):
@@ -262,70 +322,159 @@ class Cnn:
         return np.concatenate([g.ravel() for g in reversed(grads)])
 
 
+#: the published models' sizes, 110,033 and 989,756 parameters, reached by width
+CNN_110K = Cnn(8, 10, (16, 32), 757)
+CNN_990K = Cnn(8, 10, (64, 128), 1750)
+
+
 def _softmax(z: np.ndarray) -> np.ndarray:
     e = np.exp(z - z.max(1, keepdims=True))
     return e / e.sum(1, keepdims=True)
 
 
 def mean_loss(model, p: np.ndarray, x: np.ndarray, y: np.ndarray) -> tuple[float, float]:
-    q = model.probabilities(p, x)
-    return float(-np.log(np.maximum(q[np.arange(len(y)), y], 1e-12)).mean()), float((q.argmax(1) == y).mean())
+    """Mean loss and score."""
+    loss, a, b = model.sums(p, x, y)
+    return loss / len(y), float(model.score(len(y), loss, a, b))
 
 
-class SparkLearner:
-    """A model trained in Spark tasks: shards are cached by worker, parameters are broadcast, a job runs all segments.
+def _matrix(table, model) -> tuple[np.ndarray, np.ndarray]:
+    x = table.column("features")
+    x = x.combine_chunks() if isinstance(x, pa.ChunkedArray) else x
+    return x.flatten().to_numpy(zero_copy_only=False).astype(np.float64).reshape(table.num_rows, -1), table.column("label").to_numpy(zero_copy_only=False).astype(model.target)
+
+
+class HeldLearner:
+    """A model on rows that the driver holds, as RowLearner does for least squares: an iteration of a worker takes neighbouring rows
+    of an order by bucket and hash, IID from a place that worker and iteration give; with `skew`, labels have buckets of their own and a worker
+    begins in its own part of them, a little further at each iteration. Losses are those of the whole test split."""
+
+    def __init__(self, rows: DataFrame, model, workers: int = 12, seed: int = 42, skew: str | None = None):
+        from tidegate.functions.scalar import arithmetic_hash
+
+        self.model, self.seed, self.workers, self.skewed = model, seed, workers, skew is not None
+        tagged = sizing.with_buckets(rows.where("split = 'train'"), F.col("key"), 1 << 20, seed, None if skew is None else F.col(skew))
+        tagged = tagged.select("bucket", arithmetic_hash(F.col("key") * 13 + seed).alias("_h"), "key", "features", "label")
+        self.x, self.y = self._held(tagged, [(k, "ascending") for k in (["bucket", "_h", "key"] if skew else ["_h", "key"])])
+        self.tx, self.ty = self._held(rows.where("split = 'test'").select("key", "features", "label"), [("key", "ascending")])
+        self.w_init, self.rows, self.row_bytes = model.init(seed), len(self.y), 4 * self.x.shape[1]
 
-    A worker's rows lie in sub-shards of about `shard_rows` rows, by a hash of key. A segment takes one of them, the next
-    segment of the worker the next one, so that all rows take part and a task holds one sub-shard.
-    The held-out probe that workers and server evaluate on is a bounded sample of the test split (least hashes of key);
-    evaluate_all() goes over the whole of it.
+    def _held(self, df: DataFrame, order: list) -> tuple[np.ndarray, np.ndarray]:
+        table = df.toArrow().sort_by(order)
+        return _matrix(table, self.model) if table.num_rows else (np.zeros((0, 1)), np.zeros(0, self.model.target))
+
+    def steps(self, worker_id: int):
+        def run(iteration, n_rows, batch_rows):
+            n = min(n_rows, self.rows)
+            first = worker_id * self.rows // self.workers + iteration * (n // 3 + 1) if self.skewed else first_place(worker_id, iteration, self.seed, self.rows)
+            at = (first + np.arange(n)) % self.rows
+            at = np.random.default_rng((self.seed, worker_id, iteration)).permutation(at) if self.skewed else at
+            for a in range(0, n, batch_rows):
+                part = at[a : a + batch_rows]
+                yield len(part), lambda p, part=part: self.model.gradient(p, self.x[part], self.y[part])
+
+        return run
+
+    def run(self, segments: list[Segment]) -> list[Segment]:
+        return [run_segment(s, self.w_init, self.steps(s.worker_id), lambda p: self.evaluate(p)[0]) for s in segments]
+
+    def evaluate(self, params: np.ndarray) -> tuple[float, float]:
+        return mean_loss(self.model, params, self.tx, self.ty)
+
+    def close(self) -> None:
+        pass
+
+
+class SparkLearner:
+    """A model trained in Spark tasks on rows that are dealt to the workers anew at each refresh.
+
+    Training rows are written once to the shared folder, in `buckets` by a hash of key (with `skew`, labels have buckets of their own). At a
+    worker's turn, which is the number of its refreshes, deal_rows() gives all workers their allotted rows from other buckets
+    than before, and only those buckets are read. While a turn trains, the next one is fetched (Prefetcher). A size that differs
+    from the dealt one is dealt anew. Workers that together ask for more rows than there are get their shares of what there is, and
+    segments say so. The held-out probe that workers and server evaluate on is a bounded sample of the test split (least hashes of
+    key); evaluate_all() goes over the whole of it.
     """
 
-    def __init__(self, shards: DataFrame, test: DataFrame, model, seed: int = 42, probe_rows: int = 2000, shard_rows: int = 100_000):
-        self.spark, self.model, self.seed = shards.sparkSession, model, seed
-        counts = {r["worker_id"]: r["count"] for r in shards.groupBy("worker_id").count().collect()}  # a row a worker
-        self.subs = {w: -(-n // shard_rows) for w, n in counts.items()}
-        self.turns: dict[int, int] = {}
-        subs = F.coalesce(*[F.when(F.col("worker_id") == w, n) for w, n in self.subs.items()], F.lit(1))
-        shards = shards.select("worker_id", F.pmod(F.xxhash64("key", F.lit(seed)), subs).cast("int").alias("sub"), "key", "features", "label")
-        self.shards = shards.repartition("worker_id", "sub").sortWithinPartitions("worker_id", "sub", "key").persist()
-        self.test = test
-        probe = test.orderBy(F.xxhash64("key"), "key").limit(probe_rows).select("features", "label").collect()
-        self.x = np.array([r["features"] for r in probe], np.float64).reshape(len(probe), -1)
-        self.y = np.array([r["label"] for r in probe], np.int64)
+    def __init__(self, rows: DataFrame, model, workers: int = 12, seed: int = 42, probe_rows: int = 2000, skew: str | None = None, buckets: int | None = None, prefetch: bool = True):
+        self.spark, self.model, self.seed = rows.sparkSession, model, seed
+        self.buckets = buckets or max(64, 8 * workers)
+        train = sizing.with_buckets(rows.where("split = 'train'"), F.col("key"), self.buckets, seed, None if skew is None else F.col(skew)).select("bucket", "key", "features", "label")
+        self.path = f"{shared_dir(self.spark)}/train-{uuid.uuid4().hex}"
+        train.repartition("bucket").write.partitionBy("bucket").parquet(self.path)
+        self.table = self.spark.read.schema("key long, features array<float>, label " + train.schema["label"].dataType.simpleString() + ", bucket long").parquet(self.path)
+        counted = self.table.groupBy("bucket").count().collect()  # at most `buckets` rows
+        self.rows = sum(r["count"] for r in counted)
+        self.counts = self.spark.createDataFrame([(r["bucket"], r["count"]) for r in counted], "bucket long, _rows long")
+        self.test = rows.where("split = 'test'")
+        probe = self.test.orderBy(F.xxhash64("key"), "key").limit(probe_rows).select("features", "label").toArrow()
+        self.x, self.y = _matrix(probe, model) if probe.num_rows else (np.zeros((0, 1)), np.zeros(0, model.target))
         self.probe = self.spark.sparkContext.broadcast((self.x, self.y))
         self.w_init = model.init(seed)
-        self.rows = sum(counts.values())
-        self.row_bytes = 4 * (self.x.shape[1] if len(probe) else 1)
+        self.row_bytes = 4 * (self.x.shape[1] if len(self.y) else 1)
         self.jobs = 0
+        self.sizes: dict[int, tuple[int, int]] = {}
+        self.turns: dict[int, int] = {}
+        self.deals: dict[int, tuple[dict, DataFrame]] = {}  # by turn: sizes and dealt rows
+        self.ahead = Prefetcher(self.spark) if prefetch else None
+        self.coming: tuple[int, dict] | None = None
+
+    def dealt(self, turn: int) -> DataFrame:
+        """The rows of a turn by worker: worker_id, pos, batch_no, key, features, label."""
+        alloc = self.spark.createDataFrame([(w, n, b) for w, (n, b) in sorted(self.sizes.items())], "worker_id int, n_rows long, batch_rows int")
+        return sizing.deal_rows(self.table, F.col("key"), alloc, turn, self.seed, buckets=self.buckets, counts=self.counts)
+
+    def turn(self, turn: int) -> DataFrame:
+        """The cached deal of a turn, with the sizes as they are now."""
+        if turn in self.deals and self.deals[turn][0] != self.sizes:
+            self.deals.pop(turn)[1].unpersist()
+        if turn not in self.deals:
+            got = None
+            if self.coming:
+                (at, sizes), self.coming = self.coming, None
+                got = self.ahead.take()
+                if at != turn or sizes != self.sizes:
+                    if sizes == self.sizes and at not in self.deals:
+                        self.deals[at] = sizes, got
+                    else:
+                        got.unpersist()
+                    got = None
+            if turn not in self.deals:
+                self.deals[turn] = dict(self.sizes), got if got is not None else self.dealt(turn).persist()
+        return self.deals[turn][1]
 
     def run(self, segments: list[Segment]) -> list[Segment]:
         model, seed, w_init, probe = self.model, self.seed, self.w_init, self.probe
+        for s in segments:
+            if not s.iteration:  # a run starts over
+                self.turns[s.worker_id] = 0
+            self.sizes[s.worker_id] = (s.n_rows, s.batch_rows)
         tasks = self.spark.sparkContext.broadcast({s.worker_id: s for s in segments})
 
         def train(key, table):
             s = tasks.value[key[0].as_py()]
-            x = table.column("features").combine_chunks().flatten().to_numpy(zero_copy_only=False).astype(np.float64).reshape(table.num_rows, -1)
-            y = table.column("label").to_numpy().astype(np.int64)
+            x, y = _matrix(table, model)
             px, py = probe.value
 
-            def steps(iteration, n_rows, batch_rows, epochs):
-                r = np.random.default_rng((seed, s.worker_id, iteration))
-                for _ in range(epochs):
-                    order = r.permutation(len(y))[:n_rows]
-                    for a in range(0, len(order), batch_rows):
-                        part = order[a : a + batch_rows]
-                        yield lambda p, part=part: model.gradient(p, x[part], y[part])
+            def steps(iteration, n_rows, batch_rows):
+                order = np.random.default_rng((seed, s.worker_id, iteration)).permutation(len(y))[:n_rows]
+                for a in range(0, len(order), batch_rows):
+                    part = order[a : a + batch_rows]
+                    yield len(part), lambda p, part=part: model.gradient(p, x[part], y[part])
 
             done = run_segment(s, w_init, steps, lambda p: mean_loss(model, p, px, py)[0])
             return pa.table({"worker_id": pa.array([s.worker_id], pa.int32()), "state": pa.array([pickle.dumps(done)], pa.binary())})
 
-        chosen = F.lit(False)
-        for s in segments:  # a run starts over
-            self.turns[s.worker_id] = turn = self.turns.get(s.worker_id, -1) + 1 if s.iteration else 0
-            chosen |= (F.col("worker_id") == s.worker_id) & (F.col("sub") == turn % self.subs.get(s.worker_id, 1))
-        wanted = self.shards.where(chosen)
-        got = {r["worker_id"]: pickle.loads(r["state"]) for r in wanted.groupBy("worker_id", "sub").applyInArrow(train, "worker_id int, state binary").collect()}
+        wanted = None
+        for turn in sorted({self.turns[s.worker_id] for s in segments}):
+            mine = [s.worker_id for s in segments if self.turns[s.worker_id] == turn]
+            part = self.turn(turn).where(F.col("worker_id").isin(mine)).select("worker_id", "features", "label")
+            wanted = part if wanted is None else wanted.unionByName(part)
+        latest = max(self.turns.values()) + 1
+        if self.ahead and not self.coming and latest not in self.deals:
+            self.coming = latest, dict(self.sizes)
+            self.ahead.submit(self.dealt(latest))
+        got = {r["worker_id"]: pickle.loads(r["state"]) for r in wanted.groupBy("worker_id").applyInArrow(train, "worker_id int, state binary").collect()}
         tasks.unpersist()
         self.jobs += 1
         out = []
@@ -336,7 +485,12 @@ class SparkLearner:
                 s.iteration, s.fired = s.iteration + 1, True
                 s.losses.append(mean_loss(model, w_init - s.lr * s.acc, self.x, self.y)[0])
                 s.zs.append(None)
+                s.trained.append(0)
                 out.append(s)
+            if out[-1].fired:
+                self.turns[s.worker_id] += 1
+        for old in [t for t in self.deals if t < min(self.turns.values())]:
+            self.deals.pop(old)[1].unpersist()
         return out
 
     def evaluate(self, params: np.ndarray) -> tuple[float, float]:
@@ -346,27 +500,45 @@ class SparkLearner:
         return evaluate(self.model, params, self.test)
 
     def close(self) -> None:
-        self.shards.unpersist()
+        if self.ahead:
+            self.ahead.close()
+        for _, df in self.deals.values():
+            df.unpersist()
+        self.deals.clear()
 
 
 def evaluate(model, params: np.ndarray, df: DataFrame) -> tuple[float, float]:
-    """Mean loss and accuracy over all rows: parameters broadcast, a row of sums a partition."""
+    """Mean loss and score over all rows: parameters broadcast, a row of sums a partition."""
     row = evaluation(model, params, df).first()
     return (row["loss"], row["accuracy"]) if row["n"] else (float("nan"), float("nan"))
 
 
-def evaluation(model, params: np.ndarray, df: DataFrame) -> DataFrame:
+def evaluation(model, params: np.ndarray, df: DataFrame, by: str | None = None) -> DataFrame:
+    """One row: n, loss and accuracy; with `by`, a whole number or a string, a row for each of its values."""
     shared = df.sparkSession.sparkContext.broadcast(params)
 
     def part(batches):
         for b in batches:
-            if b.num_rows:
-                x = b.column(0).flatten().to_numpy(zero_copy_only=False).astype(np.float64).reshape(b.num_rows, -1)
-                loss, right = mean_loss(model, shared.value, x, b.column(1).to_numpy(zero_copy_only=False).astype(np.int64))
-                yield pa.RecordBatch.from_arrays([pa.array([b.num_rows]), pa.array([loss * b.num_rows]), pa.array([round(right * b.num_rows)])], names=["n", "loss", "hits"])
-
-    sums = df.select("features", "label").mapInArrow(part, "n long, loss double, hits long").agg(F.sum("n").alias("n"), F.sum("loss").alias("l"), F.sum("hits").alias("h"))
-    return sums.select(F.coalesce("n", F.lit(0)).alias("n"), (F.col("l") / F.col("n")).alias("loss"), (F.col("h") / F.col("n")).alias("accuracy"))
+            if not b.num_rows:
+                continue
+            x, y = _matrix(b, model)
+            groups = b.column("by").to_pylist()
+            for group in set(groups):
+                at = np.array([g == group for g in groups])
+                loss, s, t = model.sums(shared.value, x[at], y[at])
+                yield pa.RecordBatch.from_arrays([b.column("by").filter(pa.array(at)).slice(0, 1), *(pa.array([float(v)]) for v in (at.sum(), loss, s, t))], names=["by", "n", "loss", "s", "t"])
+
+    kind = df.schema[by].dataType.simpleString() if by else "int"
+    tagged = df.select("features", "label", (F.col(by) if by else F.lit(0)).alias("by"))
+    sums = tagged.mapInArrow(part, f"by {kind}, n double, loss double, s double, t double")
+    sums = sums.groupBy("by") if by else sums.groupBy()
+    sums = sums.agg(*[F.coalesce(F.sum(c), F.lit(0.0)).alias(c) for c in ("n", "loss", "s", "t")])
+    if isinstance(model, LeastSquares):
+        total = F.try_divide("s", "n") - F.try_divide("t", "n") ** 2
+        score = 1 - F.try_divide(2 * F.try_divide("loss", "n"), total)
+    else:
+        score = F.try_divide("s", "n")
+    return sums.select(*([F.col("by").alias(by)] if by else []), F.col("n").cast("long").alias("n"), F.try_divide("loss", "n").alias("loss"), score.alias("accuracy"))
 
 
 def segment_gate(p: GateParams) -> tuple:

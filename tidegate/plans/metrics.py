@@ -1,6 +1,6 @@
 """Measures over run logs (run_id, seq, vtime, worker_id, kind, bytes, global_version) and trajectories.
 
-Kinds of log rows: iter, model_init, model_request, data, push, report, benchmark. All are aggregates or windows over log keys.
+Kinds of log rows: iter, model_init, model_request, data, push, report, benchmark, peers. All are aggregates or windows over log keys.
 """
 
 from __future__ import annotations
@@ -8,7 +8,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-CALLS = ("model_init", "model_request", "data", "push", "report", "benchmark")
+CALLS = ("model_init", "model_request", "data", "push", "report", "benchmark", "peers")
 
 
 def _is(kind: str) -> Column:

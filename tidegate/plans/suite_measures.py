@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import numpy as np
 from pyspark.sql import functions as F
 
 from tidegate.plans import metrics as m
@@ -64,11 +65,32 @@ def _(spark, sf):
     return r(m.independence_rollup(log(spark, sf), tables.fleet(spark)), "independence")
 
 
-@query("m4_accuracy_by_group", "SELECT lang, round(avg(CASE WHEN (lang = 'en') = (n_chars % 2 = 0) THEN 1.0::DOUBLE ELSE 0 END), 6) AS accuracy, count(*) AS n FROM documents WHERE doc_id % 20 >= 17 GROUP BY 1")
+#: a fixed model of letter shares: for each language the sum of its letters' shares
+MARKS = {"de": "äöüß", "en": "wy", "es": "ñóíá", "fr": "èêç"}
+
+
+def _letters_sql() -> str:
+    share = lambda c: f"CAST((len(low) - len(replace(low, '{c}', ''))) * 10.0::DOUBLE / greatest(len(text), 1) AS FLOAT)::DOUBLE"
+    logits = ", ".join(" + ".join(share(c) for c in MARKS[lang]) + f" AS z{k}" for k, lang in enumerate(tables.LANGS))
+    top = "greatest(z0, z1, z2, z3)"
+    return f"""WITH d AS (SELECT lang, text, lower(text) AS low FROM documents WHERE doc_id % 20 >= 17 AND lang IN ('de', 'en', 'es', 'fr') AND text IS NOT NULL), z AS (SELECT lang, {logits} FROM d),
+p AS (SELECT lang, CASE {' '.join(f"WHEN z{k} = {top} THEN '{lang}'" for k, lang in enumerate(tables.LANGS))} END AS said, ln(exp(z0) + exp(z1) + exp(z2) + exp(z3)) - CASE lang {' '.join(f"WHEN '{lang}' THEN z{k}" for k, lang in enumerate(tables.LANGS))} END AS loss FROM z)
+SELECT lang, count(*) AS n, round(avg(loss), 6) AS loss, round(avg(CASE WHEN said = lang THEN 1.0::DOUBLE ELSE 0 END), 6) AS accuracy FROM p GROUP BY 1"""
+
+
+@query("m4_accuracy_by_group", _letters_sql())
 def _(spark, sf):
-    d = tables.with_split(tables.load(spark, sf, "documents", ["doc_id", "lang", "n_chars"]), F.col("doc_id")).where("split = 'test'")
-    right = (F.col("lang") == "en") == (F.col("n_chars") % 2 == 0)
-    return d.groupBy("lang").agg(F.round(F.avg(right.cast("double")), 6).alias("accuracy"), F.count(F.lit(1)).alias("n"))
+    """Loss and accuracy of a model on the whole test split, by group."""
+    from tidegate.plans.learners import Softmax, evaluation
+
+    model = Softmax(len(tables.LETTERS), len(tables.LANGS))
+    w = np.zeros((model.d + 1, model.k))
+    for k, lang in enumerate(tables.LANGS):
+        w[[tables.LETTERS.index(c) for c in MARKS[lang]], k] = 1.0
+    rows = tables.load(spark, sf, "documents").where("text is not null")
+    test = tables.text_rows(rows).where("split = 'test' and label is not null")
+    lang = F.element_at(F.array(*map(F.lit, tables.LANGS)), F.col("label") + 1)
+    return r(evaluation(model, w.ravel(), test.withColumn("lang", lang), by="lang"), "loss", "accuracy")
 
 
 @query("m5_api_calls", f"WITH {LOG} SELECT run_id, kind, count(*) AS calls, CAST(sum(bytes) AS BIGINT) AS bytes FROM log WHERE {CALLS} GROUP BY 1, 2")
@@ -131,9 +153,12 @@ def _(spark, sf):
     return r(m.time_spread(obs), "mean_t", "sd_t", "cv", "share_inside")
 
 
-@query("m13_size_trace", "SELECT CAST(i AS BIGINT) AS iter, 2500::BIGINT AS n_rows, 16 AS batch_rows, round(0.048::DOUBLE * 2500 / 16 * (CASE WHEN i >= 5 THEN 1.5 ELSE 1 END)::DOUBLE, 6) AS t_train FROM range(1, 11) t(i)")
+@query("m13_size_trace", "SELECT CAST(l_linenumber AS BIGINT) AS iter, CAST(sum(l_quantity) AS BIGINT) AS n_rows, CAST(min(l_orderkey) % 7 + 1 AS INTEGER) AS batch_rows, round(avg(l_discount), 6) AS t_train FROM lineitem WHERE l_suppkey = 1 GROUP BY 1")
 def _(spark, sf):
-    return r(m.size_trace(tables.timings(tables.fleet(spark), slow_worker=0), 0), "t_train")
+    """Sizes and times of one worker: suppliers as workers, line numbers as iterations."""
+    rows = tables.load(spark, sf, "lineitem", ["l_orderkey", "l_suppkey", "l_linenumber", "l_quantity", "l_discount"])
+    obs = rows.groupBy(F.col("l_suppkey").cast("int").alias("worker_id"), F.col("l_linenumber").cast("long").alias("iter")).agg(F.sum("l_quantity").cast("long").alias("n_rows"), (F.min("l_orderkey") % 7 + 1).cast("int").alias("batch_rows"), F.avg("l_discount").alias("t_train"))
+    return r(m.size_trace(obs, 1), "t_train")
 
 
 @query("m14_push_frequency", f"WITH {LOG} SELECT run_id, count(*) FILTER (kind = 'push') AS pushes, count(*) FILTER (kind = 'iter') AS iterations, round(count(*) FILTER (kind = 'push') / nullif(count(*) FILTER (kind = 'iter'), 0)::DOUBLE, 6) AS share FROM log GROUP BY 1")

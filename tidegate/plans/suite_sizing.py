@@ -172,7 +172,7 @@ LINE_KEY = "l_orderkey * 7 + l_partkey * 31 + l_suppkey * 131 + l_linenumber * 1
 
 @query("s13_deal_rows", f"""WITH a AS (SELECT CAST(worker_id AS INTEGER) AS worker_id, CAST(500 + 300 * worker_id AS BIGINT) AS n FROM range(12) t(worker_id)),
 c AS (SELECT worker_id, n, CAST(sum(n) OVER (ORDER BY worker_id) AS BIGINT) AS upto, CAST(sum(n) OVER () AS BIGINT) AS total FROM a),
-e AS (SELECT worker_id, n, CAST(floor((upto - n) * 1024 / total::DOUBLE) AS BIGINT) AS lo, CAST(floor(upto * 1024 / total::DOUBLE) AS BIGINT) AS hi FROM c),
+e AS (SELECT worker_id, n, CAST(floor((upto - n) * 1012 / total::DOUBLE) AS BIGINT) + worker_id AS lo, CAST(floor(upto * 1012 / total::DOUBLE) AS BIGINT) + worker_id + 1 AS hi FROM c),
 d AS (SELECT ({HASH.format(key=LINE_KEY)}) % 1024 AS bucket FROM lineitem)
 SELECT e.worker_id, least(count(*), any_value(n)) AS dealt FROM d JOIN e ON bucket >= lo AND bucket < hi GROUP BY 1""")
 def _(spark, sf):
@@ -181,7 +181,16 @@ def _(spark, sf):
     return sizing.deal_rows(rows, F.expr(tables.LINE_KEY), alloc).groupBy("worker_id").agg(F.count(F.lit(1)).alias("dealt"))
 
 
-@query("s13_deal_rows_by_label")
+HASHED = "(((doc_id * 1009 + 42) % 2147483647) * 2654435761) % 4294967296"
+
+
+@query("s13_deal_rows_by_label", f"""WITH d AS (SELECT doc_id, CASE lang WHEN 'de' THEN 0 WHEN 'en' THEN 1 WHEN 'es' THEN 2 WHEN 'fr' THEN 3 ELSE -1 END AS label, CAST({HASHED} AS BIGINT) AS h FROM documents),
+n AS (SELECT label, count(*) AS n FROM d GROUP BY 1), t AS (SELECT label, n, CAST(sum(n) OVER (ORDER BY label) AS BIGINT) AS upto, CAST(sum(n) OVER () AS BIGINT) AS total FROM n),
+r AS (SELECT label, least(CAST(floor((upto - n) * 1024 / total::DOUBLE) AS BIGINT), 1023) AS lo, greatest(CAST(floor(upto * 1024 / total::DOUBLE) AS BIGINT) - CAST(floor((upto - n) * 1024 / total::DOUBLE) AS BIGINT), 1) AS width FROM t),
+b AS (SELECT doc_id, d.label, h, lo + h % width AS bucket FROM d JOIN r ON d.label = r.label),
+e AS (SELECT w AS worker_id, CAST(floor(200 * w * 1012 / 2400::DOUBLE) AS BIGINT) + w AS lo, CAST(floor(200 * (w + 1) * 1012 / 2400::DOUBLE) AS BIGINT) + w + 1 AS hi FROM range(12) q(w)),
+p AS (SELECT worker_id, label, row_number() OVER (PARTITION BY worker_id ORDER BY bucket, h, doc_id) AS pos FROM b JOIN e ON bucket >= e.lo AND bucket < e.hi)
+SELECT CAST(worker_id AS INTEGER) AS worker_id, nullif(label, -1) AS label, count(*) AS dealt FROM p WHERE pos <= 200 GROUP BY 1, 2""")
 def _(spark, sf):
     alloc = tables.fleet(spark).select("worker_id", F.lit(200).cast("long").alias("n_rows"), F.lit(16).alias("batch_rows"))
     rows = tables.text_rows(tables.load(spark, sf, "documents"))
@@ -204,15 +213,53 @@ def _(spark, sf):
     return sizing.benchmark_workers(fleet(spark, sf)).withColumns({"t_train": F.round("t_train", 6), "cost": F.round("cost", 6)})
 
 
-#: probing costs every worker eight runs of the probe; searching costs none
-@query("x12_search_cost", f"WITH {FLEET} SELECT count(*) AS workers, round(sum(list_sum(list_transform([2, 4, 8, 16, 32, 64, 128, 256], lambda b: k * (2500::DOUBLE / b)))), 4) AS probe_seconds, count(*) * 3 * 16 AS search_steps, count(*) * 8 AS brute_steps FROM f")
-def _(spark, sf):
-    b = sizing.benchmark_workers(fleet(spark, sf))
-    return b.agg(F.count(F.lit(1)).alias("workers"), F.round(F.sum("cost"), 4).alias("probe_seconds"), (F.count(F.lit(1)) * 3 * 16).alias("search_steps"), (F.count(F.lit(1)) * 8).alias("brute_steps"))
+SIZES = (60_000, 6_000_000, 600_000_000)
 
 
-@query("x13_fleet_spread", f"WITH {TIMES}, {BOUNDS} SELECT round(stddev_pop(t) / avg(t), 6) AS cv_before, round(stddev_pop(t2) / avg(t2), 4) AS cv_after FROM (SELECT t, k * ({most_rows('bs')}::DOUBLE / bs) AS t2 FROM (SELECT *, CASE WHEN k * ({TOTAL}::DOUBLE / 16) >= target THEN 16 ELSE least(16, {batch_sql(str(TOTAL))}) END AS bs FROM o, b))")
+def _probes_sql() -> str:
+    """Binary searches as a recursion over (worker, table size)."""
+    every = ", ".join(f"({n}::BIGINT)" for n in SIZES)
+    return f"""WITH RECURSIVE {TIMES}, {BOUNDS}, w AS (SELECT worker_id, k, target, total FROM o, b, (VALUES {every}) n(total)),
+s AS (SELECT worker_id, total, k, target, CASE WHEN k * (total::DOUBLE / 16) >= target THEN 16 ELSE least(16, {batch_sql('total')}) END AS bs FROM w),
+h(worker_id, total, k, target, bs, lo, hi, probes) AS (SELECT worker_id, total, k, target, bs, 0::BIGINT, total, 0 FROM s
+  UNION ALL SELECT worker_id, total, k, target, bs, CASE WHEN k * (mid::DOUBLE / bs) <= target THEN mid ELSE lo END, CASE WHEN k * (mid::DOUBLE / bs) <= target THEN hi ELSE mid - 1 END, probes + 1
+  FROM (SELECT *, (lo + hi + 1) // 2 AS mid FROM h WHERE lo < hi)),
+p AS (SELECT worker_id, total, max(probes) + 3 AS probes, any_value(k) AS k FROM h GROUP BY 1, 2)
+SELECT total AS total_rows, count(*) AS workers, CAST(sum(probes) AS BIGINT) AS search_probes, CAST(count(*) * 8 AS BIGINT) AS brute_probes, CAST(count(*) * 8 AS BIGINT) AS benchmark_probes,
+  round(sum(list_sum(list_transform([2, 4, 8, 16, 32, 64, 128, 256], lambda x: k * (2500::DOUBLE / x)))), 4) AS benchmark_seconds FROM p GROUP BY 1"""
+
+
+@query("x12_search_cost", _probes_sql())
+def _(spark, sf):
+    """What sizing looks at: predicted times by the dual search (log of rows and of batch sizes) and by trying all batch sizes in closed form, and runs
+    of a probe, with the seconds they take, by benchmarking."""
+    out = None
+    for total in SIZES:
+        w = searched(spark, sf, total)
+        looked = sizing.search_probes(w, total).agg(F.count(F.lit(1)).alias("workers"), F.sum("probes").alias("search_probes"))
+        tried = w.join(sizing.dual_search_brute(w, total).select("worker_id"), "worker_id").agg((F.count(F.lit(1)) * (sizing.HIGH_EXP - sizing.LOW_EXP + 1)).alias("brute_probes"))
+        timed_ = sizing.benchmark_workers(fleet(spark, sf)).agg(F.sum("probes").alias("benchmark_probes"), F.round(F.sum("cost"), 4).alias("benchmark_seconds"))
+        one = looked.crossJoin(F.broadcast(tried)).crossJoin(F.broadcast(timed_)).select(F.lit(total).cast("long").alias("total_rows"), "*")  # one row each
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
+FLEETS = (12, 100, 1000)
+
+
+@query("x13_fleet_spread", f"""WITH f AS (SELECT n AS fleet, i AS worker_id, 0.001::DOUBLE * (1 + (i * 37) % (n // 2)) AS k FROM (VALUES (12), (100), (1000)) q(n), range(1000) r(i) WHERE i < n),
+o AS (SELECT *, k * (2500::DOUBLE / 16) AS t FROM f), b AS (SELECT fleet, median(t) AS target FROM o GROUP BY 1),
+s AS (SELECT o.*, target, CASE WHEN k * ({TOTAL}::DOUBLE / 16) >= target THEN 16 ELSE least(16, {batch_sql(str(TOTAL))}) END AS bs FROM o JOIN b ON o.fleet = b.fleet)
+SELECT fleet AS workers, round(stddev_pop(t) / avg(t), 6) AS cv_before, round(stddev_pop(t2) / avg(t2), 4) AS cv_after FROM (SELECT *, k * ({most_rows('bs')}::DOUBLE / bs) AS t2 FROM s) GROUP BY 1""")
 def _(spark, sf):
-    s = searched(spark, sf)
-    both = s.select("worker_id", "t_train").join(sizing.dual_search(s, TOTAL), "worker_id")
-    return both.agg(F.round(F.stddev_pop("t_train") / F.avg("t_train"), 6).alias("cv_before"), F.round(F.stddev_pop("t_pred") / F.avg("t_pred"), 4).alias("cv_after"))
+    """Spread of times before and after sizing, in fleets of more workers and wider ranges of speed."""
+    out = None
+    for n in FLEETS:
+        w = spark.range(n).select(F.col("id").cast("int").alias("worker_id"), (0.001 * (1 + F.pmod(F.col("id") * 37, F.lit(n // 2)))).alias("sec_per_batch"))
+        t = w.withColumn("t_train", predict_time(2500, 16, 1, F.col("sec_per_batch")))
+        s = t.crossJoin(F.broadcast(sizing.target_time(t))).withColumn("batch_rows", F.lit(16)).withColumn("cap_rows", F.lit(TOTAL).cast("long"))  # one row
+        both = t.select("worker_id", "t_train").join(sizing.dual_search(s, TOTAL), "worker_id")
+        one = both.agg(F.round(F.stddev_pop("t_train") / F.avg("t_train"), 6).alias("cv_before"), F.round(F.stddev_pop("t_pred") / F.avg("t_pred"), 4).alias("cv_after"))
+        one = one.select(F.lit(n).alias("workers"), "*")
+        out = one if out is None else out.unionByName(one)
+    return out

@@ -25,14 +25,7 @@ def drained(spark, df, mode: str = "append"):
     return spark.table(name)
 
 
-def _shared(spark) -> str:
-    found = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
-    if not found:
-        import tempfile
-
-        spark.sparkContext.setCheckpointDir(tempfile.mkdtemp(prefix="tidegate-"))
-        found = spark.sparkContext.getCheckpointDir()
-    return found.rstrip("/")
+_shared = tables.shared_dir
 
 
 SECONDS = "epoch_us(ts) // 1000000"

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import tempfile
+
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 from pyspark.sql.types import StructType
@@ -105,6 +107,19 @@ def timings(workers: DataFrame, iters: int = 10, n_rows: int = 2500, batch_rows:
     return rows.select("worker_id", "family", "iter", F.lit(n_rows).cast("long").alias("n_rows"), F.lit(batch_rows).alias("batch_rows"), F.lit(epochs).alias("epochs"), t.alias("t_train"))
 
 
+def shared_dir(spark: SparkSession) -> str:
+    """The folder that driver and executors share: spark.checkpoint.dir, or the context's checkpoint folder. Where neither is set, a
+    local session gets a temporary one, and a cluster an error: a folder of one machine would lose or split what is written."""
+    context = spark.sparkContext
+    found = spark.conf.get("spark.checkpoint.dir", None) or context.getCheckpointDir()
+    if not found:
+        if not context.master.startswith("local") or context.master.startswith("local-cluster"):
+            raise RuntimeError("spark.checkpoint.dir names no folder that driver and executors share")
+        context.setCheckpointDir(tempfile.mkdtemp(prefix="tidegate-"))
+        found = context.getCheckpointDir()
+    return found.rstrip("/")
+
+
 # ---- streams and sinks -------------------------------------------------------------------------------------------
 
 

@@ -243,6 +243,22 @@ def test_sweep_is_brute():
         assert (x, v) == (max(fit)[3:] if fit else (None, None))
 
 
+def test_ranges_are_brute(spark):
+    """Many rules: dealt in ranges with the URLs, a third of which are of one host; hosts nest over ranges' edges."""
+    r = random.Random(6)
+    host = lambda: ".".join(r.choice("abc") for _ in range(r.randrange(1, 5)))
+    path = lambda: "/" + "".join(r.choice("xy/") for _ in range(r.randrange(4)))
+    rules = [(host(), path(), r.choice(["allow", "block"])) for _ in range(150)] + [("a", "/", "block"), ("A", "/", "allow")]
+    rows = [(k, "h://" + ("a.b.a" if k % 3 == 0 else host()) + path()) for k in range(1500)]
+    df, given = spark.createDataFrame(rows, "page_id long, url string"), spark.createDataFrame(rules, "host string, path string, verdict string")
+    got = {x["page_id"]: (x["rule"], x["verdict"]) for x in urls.apply_rules(df, given, chunk_rules=10, default="none").collect()}
+    assert len(got) == 1500 and got == {x["page_id"]: (x["rule"], x["verdict"]) for x in urls.apply_rules(df, given, default="none").collect()}
+    for k, u in rows:
+        h, p = u[4:].split("/", 1)
+        fit = [(len(a + b), len(a), c == "block", a.lower() + b, c) for a, b, c in rules if (h == a.lower() or h.endswith("." + a.lower())) and ("/" + p).startswith(b)]
+        assert got[k] == (max(fit)[3:] if fit else (None, "none")), u
+
+
 # ---- telephony
 
 

@@ -33,7 +33,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from tidegate.llm.common import LOWER_BYTES, arrow_function, arrow_rows, as_bytes, give_back, splitmix, stored
+from tidegate.llm.common import LOWER_BYTES, arrow_function, arrow_rows, as_bytes, discard, give_back, splitmix, stored
 
 HOT = 4096  # distinct fingerprints of a key; above, the key is split
 LANES = 512  # rows compared at once
@@ -431,8 +431,9 @@ def components(links: DataFrame) -> DataFrame:
         large = stored(large, "links")
         low = large.groupBy("a").agg(F.min("b").alias("m"))
         small = large.join(low, "a").select(F.col("b").alias("a"), F.col("m").alias("b")).unionByName(low.select("a", F.col("m").alias("b")))
-        edges = stored(small.where("a <> b").distinct(), "links")
+        old, edges = edges, stored(small.where("a <> b").distinct(), "links")
         after = state(edges)
+        discard(old, least, large)
         if after == before:
             return edges.select(F.col("a").alias("node"), F.col("b").alias("root"))
         before = after

@@ -189,6 +189,27 @@ def test_fixity(spark):
     assert all(r["damaged"] for r in fixity.audit(a, none).collect())
 
 
+def test_fixity_reads_bytes(spark):
+    """Files read back by ranges have the manifest of what was written; flipped, cut and lost bytes are located."""
+    kind = "page_id long, url string, html string"
+    rows = [(k, f"u{k}", "é" * (k % 7)) for k in range(700)] + [(None, None, None)] * 600 + [(None, "x", str(k)) for k in range(900)] + [(5, "u5", "y")]
+    pages = spark.createDataFrame(rows, kind).withColumns({n: F.lit("clash") for n in ("bytes", "start", "records", "all", "digest")})
+    files = fixity.write_files(pages, 512)
+    mine = fixity.manifest(pages, 512)
+    order = ["file_no", "record_no"]
+    assert mine.orderBy(*order).collect() == fixity.read_manifest(files).orderBy(*order).collect()
+    assert 3 <= mine.where("file_no < 0").select("file_no").distinct().count() <= 4
+    text = b"".join(bytes(r["bytes"]) for r in files.where("file_no = 0").orderBy("part_no").collect())
+    at = mine.where("file_no = 0 and page_id = 20").first()
+    assert text[at["start"] : at["start"] + at["length"]].startswith(b"WARC/1.0\r\nWARC-Type: resource\r\nWARC-Record-ID: <urn:page:20>\r\nWARC-Date: ")
+    place = F.col("file_no") == 0
+    flipped = F.expr("concat(substring(bytes, 1, 10), X'00', substring(bytes, 12, length(bytes)))")
+    bad = files.withColumn("bytes", F.when(place & (F.col("part_no") == 2), flipped).when(place & (F.col("part_no") == 4), F.expr("substring(bytes, 1, length(bytes) - 1)")).otherwise(F.col("bytes")))
+    bad = bad.where(~((F.col("file_no") == 1) & (F.col("part_no") == 3)))
+    got = fixity.audit(mine, fixity.read_manifest(bad)).where("damaged")
+    assert sorted((r["file_no"], r["record_no"]) for r in got.collect()) == [(0, 32), (0, 79), *((1, k) for k in range(48, 64))]
+
+
 def test_fixity_replica_only(spark):
     """A record at the end of a replica's file and a file of its own are damaged, and nothing else is."""
     kind = "page_id long, url string, html string"

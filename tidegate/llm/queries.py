@@ -52,12 +52,12 @@ def op8_telephony_media(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op9_fixity_audit(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """The pages as WARC records against a replica in which some records' last bytes were lost."""
+    """The pages' records against the stored WARC files of a replica in which some records' last bytes were lost."""
     pages = table(spark, sf_dir, "pages").select("page_id", "url", "html")
     torn = F.when(F.pmod("page_id", F.lit(97)) == 13, F.expr("substring(html, 1, length(html) - 1)")).otherwise(F.col("html"))
     # the replica's records keep their places: the lost bytes read as blanks
     replica = pages.withColumn("html", F.when(torn.eqNullSafe(F.col("html")), torn).otherwise(F.concat(torn, F.repeat(F.lit(" "), (F.octet_length("html") - F.octet_length(torn)).cast("int")))))
-    return fixity.audit(fixity.manifest(pages), fixity.manifest(replica))
+    return fixity.audit(fixity.manifest(pages), fixity.read_manifest(fixity.write_files(replica)))
 
 
 def op10_ivf_pq(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -98,7 +98,7 @@ FROM u LEFT JOIN m ON u.k = m.k AND m.nth = 1
 WITH r AS (
   SELECT page_id, coalesce(CAST(floor(page_id / 1024) AS BIGINT), -1) AS file_no, coalesce(url, '') AS url,
     'WARC/1.0' || chr(13) || chr(10) || 'WARC-Type: resource' || chr(13) || chr(10) || 'WARC-Record-ID: <urn:page:' || coalesce(CAST(page_id AS VARCHAR), '')
-    || '>' || chr(13) || chr(10) || 'WARC-Target-URI: ' || coalesce(url, '') || chr(13) || chr(10) || 'Content-Type: text/html' || chr(13) || chr(10)
+    || '>' || chr(13) || chr(10) || 'WARC-Date: 2024-01-01T00:00:00Z' || chr(13) || chr(10) || 'WARC-Target-URI: ' || coalesce(url, '') || chr(13) || chr(10) || 'Content-Type: text/html' || chr(13) || chr(10)
     || 'Content-Length: ' || CAST(strlen(coalesce(html, '')) AS VARCHAR) || chr(13) || chr(10) || chr(13) || chr(10) || coalesce(html, '')
     || chr(13) || chr(10) || chr(13) || chr(10) AS rec,
     page_id IS NOT NULL AND page_id % 97 = 13 AND length(html) > 0 AND right(html, 1) <> ' ' AS damaged

@@ -307,6 +307,17 @@ def test_loss_sources():
     assert told.evaluations == 2  # none for the pushed model
 
 
+def test_loss_guards():
+    """Losses of zero are held off by eps; logarithms tell large losses less apart."""
+    s = merge.ServerState(np.zeros(1), 1.0, lambda p: 0.0)
+    s.merge(np.array([1.0]))
+    assert np.allclose(s.merge(np.array([3.0])), (0.5, 0.5)) and np.allclose(s.acc, 2.0)
+    plain, logs = (merge.ServerState(np.zeros(1), 1.0, lambda p: 1.0 if p[0] > -2 else 99.0, log1p=flag) for flag in (False, True))
+    for one in (plain, logs):
+        one.merge(np.array([1.0]))
+    assert np.allclose(plain.merge(np.array([3.0])), (0.99, 0.01)) and np.allclose(logs.merge(np.array([3.0]))[1], np.log(2) / (np.log(2) + np.log(100)))
+
+
 def test_crash_and_independence(spark):
     from tidegate.plans import metrics
     from tidegate.plans.trainer import crashed

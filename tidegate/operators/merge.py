@@ -21,8 +21,9 @@ def accumulate(acc: np.ndarray, step_grad: np.ndarray) -> np.ndarray:
 class ServerState:
     """The server: parameters are w_init - lr * acc, and loss is their held-out loss.
 
-    merge() weighs the pushed and its own accumulated gradient by the reciprocals of their losses. The pushed model's loss
-    is measured by `evaluate` (loss_source "server") or taken from the worker ("worker").
+    merge() weighs the pushed and its own accumulated gradient by the reciprocals of their losses, or with `log1p` of the logarithms of
+    one plus them, which tells large losses less apart. The pushed model's loss is measured by `evaluate` (loss_source "server")
+    or taken from the worker ("worker").
     """
 
     w_init: np.ndarray
@@ -30,6 +31,7 @@ class ServerState:
     evaluate: Callable[[np.ndarray], float]
     loss_source: str = "server"
     eps: float = 1e-12
+    log1p: bool = False
     acc: np.ndarray | None = None
     loss: float = float("nan")
     version: int = 0
@@ -53,7 +55,7 @@ class ServerState:
             self.first(acc)
             return 0.0, 1.0
         theirs = worker_loss if self.loss_source == "worker" and worker_loss is not None else self._measure(acc)
-        mine, other = 1 / max(self.loss, self.eps), 1 / max(theirs, self.eps)
+        mine, other = (1 / max(np.log1p(x) if self.log1p else x, self.eps) for x in (self.loss, theirs))
         if not np.isfinite(other):
             other = 0.0
         if not np.isfinite(mine):

@@ -79,9 +79,9 @@ def summary(spark: SparkSession, runs: list[RunResult], base: str = "bsp", workl
     t = acc
     for measure in (metrics.total_iterations(log), metrics.time_to_converge(log), metrics.mean_independence(log), metrics.total_calls(log), metrics.bytes_moved(log).select("run_id", "bytes")):
         t = t.join(measure, "run_id", "left")  # a run without a push has no time to converge
-    t = t.withColumn("workload", F.lit(workload))
+    t = t.withColumns({"workload": F.lit(workload), "minutes": F.round("minutes", 4), "accuracy": F.round("accuracy", 6)})
     t = metrics.accuracy_delta(metrics.speedup(t, base), base)
-    return t.select("workload", "run_id", "iterations", F.round("minutes", 4).alias("minutes"), F.round("independence", 4).alias("independence"), F.round("accuracy", 6).alias("accuracy"), F.round("loss", 6).alias("loss"), "calls", "bytes", F.round("speedup", 4).alias("speedup"), F.round("accuracy_delta", 4).alias("accuracy_delta"), "stopped")
+    return t.select("workload", "run_id", "iterations", "minutes", F.round("independence", 4).alias("independence"), "accuracy", F.round("loss", 6).alias("loss"), "calls", "bytes", F.round("speedup", 4).alias("speedup"), F.round("accuracy_delta", 4).alias("accuracy_delta"), "stopped")
 
 
 def scaled(learner, cfg: TrainConfig, share: float = 0.05) -> TrainConfig:

@@ -123,17 +123,26 @@ def _(spark, sf):
     return spark.createDataFrame(rows, "n long, quantity double")
 
 
-@query("r13_run_state")
+def _state_sql() -> str:
+    from tidegate.plans import replay_sql as sql
+
+    run = [("gated_-1.3_0.1", -1.3, 0.1, True, None)]
+    return f"WITH RECURSIVE {sql.gated_end(run)} SELECT TRUE AS same, round(loss, 6) AS loss, CAST(v AS BIGINT) AS version, TRUE AS logged FROM s"
+
+
+@query("r13_run_state", _state_sql())
 def _(spark, sf):
+    """A run's state and log, written and read again."""
     from tidegate.plans import experiments as x
     from tidegate.plans.trainer import load_state, save_state
 
     learner = x.tabular_learner(spark, sf)
-    run = x.compare(spark, learner, (x.GATED[1],), x.scaled(learner, x.TABULAR))[0]
+    run = x.compare(spark, learner, (x.GATED[1],), x.scaled(learner, x.STATIC))[0]
     path = f"{_shared(spark)}/state-{uuid.uuid4().hex}"
     save_state(spark, path, run)
     params, loss, version = load_state(spark, path)
-    return spark.createDataFrame([(bool((params == run.params).all()), loss, version)], "same boolean, loss double, version long")
+    logged = spark.read.parquet(f"{path}/log").count() == len(run.log)
+    return spark.createDataFrame([(bool((params == run.params).all()), round(loss, 6), version, logged)], "same boolean, loss double, version long, logged boolean")
 
 
 # ---- projections and predicates ----------------------------------------------------------------------------------
@@ -287,9 +296,11 @@ def _(spark, sf):
     return events(spark, sf).groupBy("event_type").agg(F.count_distinct("user_id").alias("users"), F.sum_distinct("user_id").alias("ids"))
 
 
-@query("r39_approximate_distinct")
+@query("r39_approximate_distinct", "SELECT event_type, count(DISTINCT user_id) AS users, TRUE AS near FROM events GROUP BY 1")
 def _(spark, sf):
-    return events(spark, sf).groupBy("event_type").agg(F.approx_count_distinct("user_id", 0.02).alias("users"))
+    """The sketch's count lies within three times its error of the true one."""
+    both = events(spark, sf).groupBy("event_type").agg(F.count_distinct("user_id").alias("users"), F.approx_count_distinct("user_id", 0.02).alias("said"))
+    return both.select("event_type", "users", (F.abs(F.col("said") - F.col("users")) <= 1 + 0.06 * F.col("users")).alias("near"))
 
 
 @query("r40_exact_quantiles", "SELECT event_type, round(median(value), 6) AS med, round(quantile_cont(value, 0.9), 6) AS p90, quantile_disc(value, 0.5) AS disc FROM events GROUP BY 1")
@@ -297,9 +308,14 @@ def _(spark, sf):
     return events(spark, sf).groupBy("event_type").agg(r6(F.median("value"), "med"), r6(F.percentile("value", 0.9), "p90"), F.expr("percentile_disc(0.5) WITHIN GROUP (ORDER BY value)").alias("disc"))
 
 
-@query("r41_approximate_quantiles")
+@query("r41_approximate_quantiles", "SELECT event_type, count(value) AS n, TRUE AS near FROM events GROUP BY 1")
 def _(spark, sf):
-    return events(spark, sf).groupBy("event_type").agg(F.percentile_approx("value", [0.25, 0.5, 0.75], 10_000).alias("q"))
+    """The approximate quartiles' true ranks are within a thousandth of a quarter, a half and three quarters."""
+    e = events(spark, sf).where("value is not null")
+    q = e.groupBy("event_type").agg(F.percentile_approx("value", [0.25, 0.5, 0.75], 10_000).alias("q"))
+    ranks = [f(F.count_if(test(F.col("value"), F.col("q")[k])) / F.count(F.lit(1)), p) for k, p in enumerate((0.25, 0.5, 0.75)) for f, test in ((lambda c, p: c <= p + 0.001, lambda v, x: v < x), (lambda c, p: c >= p - 0.001, lambda v, x: v <= x))]
+    near = ranks[0] & ranks[1] & ranks[2] & ranks[3] & ranks[4] & ranks[5]
+    return e.join(F.broadcast(q), "event_type").groupBy("event_type").agg(F.count(F.lit(1)).alias("n"), near.alias("near"))  # a row a kind of event
 
 
 @query("r42_moments", """SELECT event_type, round(stddev_pop(value), 6) AS sdp, round(stddev_samp(value), 6) AS sds, round(var_pop(value), 4) AS vp, round(corr(value, user_id), 6) AS c, round(covar_pop(value, user_id), 4) AS cv, round(regr_slope(value, user_id), 6) AS slope FROM events GROUP BY 1""")

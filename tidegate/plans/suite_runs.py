@@ -39,7 +39,7 @@ for name, (policy, oracle) in RUNS.items():
         return x.summary(spark, x.compare(spark, learner, (policy,), x.scaled(learner, x.STATIC)), workload="lineitem")
 
 
-@query("t1_gated_run")
+@query("t1_gated_run", sql.gated_rows([("gated_-1.3_0.1", -1.3, 0.1, True, None)], sql.RESIZED))
 def _(spark, sf):
     """The whole framework: gate, weighted merges, and sizes that follow the monitor."""
     learner = x.tabular_learner(spark, sf)
@@ -169,7 +169,18 @@ def _closing(learner, df):
     return df.sparkSession.createDataFrame(rows, kind)
 
 
-@query("x3_tabular_frameworks")
+GATES = [("gated_-0.9_0.1", -0.9, 0.1, True, None), ("gated_-1.3_0.1", -1.3, 0.1, True, None), ("gated_-1.6_0.15", -1.6, 0.15, True, None)]
+
+
+def _frameworks_sql() -> str:
+    undamped = sql.push_rows([("asp_undamped", None), ("ssp_125_undamped", 125)], "1::DOUBLE")
+    runs = [sql.barrier_row("bsp"), sql.barrier_row("ebsp_150", sql.elastic_counts(), FORECAST_BYTES, 600_000), sql.push_rows([("asp", None), ("ssp_125", 125)]), undamped, sql.gated_rows([*GATES, ("gradient", 0.0, 0.0, True, 0.5)], sql.RESIZED)]
+    every = " UNION ALL ".join(f"SELECT * FROM ({q})" for q in runs)
+    return f"""WITH r AS ({every}), b AS (SELECT minutes AS bm, accuracy AS ba FROM r WHERE run_id = 'bsp')
+SELECT r.* REPLACE (round(bm / minutes, 4) AS speedup, round(100 * (accuracy - ba), 4) AS accuracy_delta) FROM r, b"""
+
+
+@query("x3_tabular_frameworks", _frameworks_sql())
 def _(spark, sf):
     learner = x.tabular_learner(spark, sf)
     runs = x.compare(spark, learner, (*x.ALL, x.GRADIENT), x.scaled(learner, x.TABULAR))
@@ -220,14 +231,21 @@ def _(spark, sf):
     return both.select("family", "worker_id", *[F.round(c, 4).alias(c) for c in ("first_time", "settled_time", "median_time")], "settled_rows", "settled_at", "iterations")
 
 
-@query("x6_time_spread")
+def _spread_sql() -> str:
+    ends = "SELECT 'first' AS iter, d FROM took WHERE z = 0 UNION ALL SELECT 'last', max_by(d, z) FROM took GROUP BY w"
+    return f"""WITH {sql.maps(spare=0, sizes=sql.RESIZED)}, o AS ({ends}), q AS (SELECT iter, quantile_cont(d, 0.25) AS a, quantile_cont(d, 0.75) AS b FROM o GROUP BY 1)
+SELECT o.iter, round(avg(d), 6) AS mean_t, round(stddev_pop(d), 6) AS sd_t, round(stddev_pop(d) / avg(d), 6) AS cv, round(avg(CASE WHEN d BETWEEN a - 1.5 * (b - a) AND b + 1.5 * (b - a) THEN 1.0::DOUBLE ELSE 0 END), 6) AS share_inside FROM o JOIN q ON o.iter = q.iter GROUP BY 1"""
+
+
+@query("x6_time_spread", _spread_sql())
 def _(spark, sf):
     """Spread of the fleet's iteration times before and after sizing."""
     learner = x.tabular_learner(spark, sf)
     obs = x.logs(spark, x.compare(spark, learner, (x.GATED[1],), x.scaled(learner, x.TABULAR)))[2]
     ends = obs.groupBy("worker_id").agg(F.min_by("t_train", "iter").alias("first"), F.max_by("t_train", "iter").alias("last"))
     both = ends.select(F.explode(F.array(F.struct(F.lit("first").alias("iter"), F.col("first").alias("t_train")), F.struct(F.lit("last").alias("iter"), F.col("last").alias("t_train")))).alias("r")).select("r.*")
-    return metrics.time_spread(both)
+    spread = metrics.time_spread(both)
+    return spread.select("iter", *[F.round(c, 6).alias(c) for c in spread.columns if c != "iter"])
 
 
 @query("x7_weakest_worker")
@@ -306,12 +324,9 @@ def _(spark, sf):
     return x.summary(spark, runs, workload="lineitem").select("run_id", "iterations", "minutes", "accuracy", "loss", "calls")
 
 
-COMPARED = [("gated_-0.9_0.1", -0.9, 0.1, True, None), ("gated_-1.3_0.1", -1.3, 0.1, True, None), ("gated_-1.6_0.15", -1.6, 0.15, True, None)]
-
-
 def _calls_sql() -> str:
     one = lambda q: f"SELECT run_id, calls FROM ({q})"
-    runs = [sql.barrier_row("bsp"), sql.barrier_row("ebsp_150", sql.elastic_counts(), FORECAST_BYTES, 600_000), sql.push_rows([("asp", None), ("ssp_125", 125)]), sql.gated_rows(COMPARED)]
+    runs = [sql.barrier_row("bsp"), sql.barrier_row("ebsp_150", sql.elastic_counts(), FORECAST_BYTES, 600_000), sql.push_rows([("asp", None), ("ssp_125", 125)]), sql.gated_rows(GATES)]
     return f"WITH c AS ({' UNION ALL '.join(map(one, runs))}) SELECT run_id, calls, round(100 * (1 - calls / (SELECT calls FROM c WHERE run_id = 'ssp_125')::DOUBLE), 6) AS reduction_pct FROM c"
 
 

@@ -98,14 +98,23 @@ def _(spark, sf):
     return out.groupBy("worker_id").agg(F.count(F.lit(1)).alias("iterations"), F.count_if("push").alias("pushes"), F.round(F.max_by("next_cut", "iter"), 6).alias("z_cut"))
 
 
-@query("s12_monitor_stream")
+def _monitor_sql() -> str:
+    from tidegate.plans.suite_sizing import BOUNDS, TOTAL, batch_sql, most_rows
+
+    fleet = ", ".join(f"({w[0]}, {w[4]}::DOUBLE)" for w in tables.fleet_rows())
+    return f"""WITH f(worker_id, k) AS (VALUES {fleet}), o AS (SELECT worker_id, k, k * (2500::DOUBLE / 16) AS t FROM f), {BOUNDS}
+SELECT worker_id, CASE WHEN t > hi THEN 'straggler' WHEN t < lo THEN 'underused' ELSE 'normal' END AS status, CAST(CASE WHEN t > hi OR t < lo THEN {most_rows('bs')} ELSE 2500 END AS BIGINT) AS n_rows
+FROM (SELECT *, CASE WHEN k * ({TOTAL}::DOUBLE / 16) >= target THEN 16 ELSE least(16, {batch_sql(str(TOTAL))}) END AS bs FROM o, b)"""
+
+
+@query("s12_monitor_stream", _monitor_sql())
 def _(spark, sf):
     base = f"{_shared(spark)}/stream-{uuid.uuid4().hex}"
     tables.timings(tables.fleet(spark), iters=4).withColumn("ts", F.timestamp_seconds(F.col("iter"))).repartition(2).write.parquet(f"{base}/in")
     stream = spark.readStream.schema(spark.read.parquet(f"{base}/in").schema).parquet(f"{base}/in")
     caps = tables.fleet(spark).select("worker_id", F.lit(60_000).cast("long").alias("cap_rows"))
     monitor.monitor_stream(stream, caps, 60_000, f"{base}/out", f"{base}/checkpoint").awaitTermination()
-    return monitor.latest_allocation(spark, f"{base}/out")
+    return monitor.latest_allocation(spark, f"{base}/out").select("worker_id", "status", "n_rows")
 
 
 @query("r9_rate_source")

@@ -143,7 +143,7 @@ def _(spark, sf):
 def _(spark, sf):
     """The smaller published model's size (110,033 parameters) and settings, under all frameworks but elastic barriers."""
     learner = x.image_learner(spark, sf, "cnn")
-    cfg = replace(x.scaled(learner, x.SMALL, 1 / 12), epochs=2, max_segment=20, min_delta=0.001, **FAR)
+    cfg = replace(x.scaled(learner, x.SMALL, 1 / 12), epochs=8, max_segment=20, min_delta=0.001, **FAR)
     return _closing(learner, x.summary(spark, x.compare(spark, learner, (x.BSP, x.ASP, x.SSP, *x.GATED), cfg), workload="embeddings"))
 
 

@@ -6,6 +6,7 @@ import struct
 import zlib
 
 import numpy as np
+import pandas as pd
 import pytest
 import xxhash
 from pyspark.sql import functions as F
@@ -201,3 +202,74 @@ def test_edit_counts_whole(spark):
         text, (redacted, n) = docs.text[r.doc_id], re.subn(PERSONAL, "[redacted]", docs.text[r.doc_id])
         assert (r.n_tokens, r.n_edits, r.edited_tokens, r.edited_chars) == (size(text), n, size(redacted), len(redacted))
         assert n or not r.reencoded_chars
+
+
+def test_pipeline_brute(spark):
+    """Each stage on what the one before it kept, against plain versions."""
+    from collections import Counter, defaultdict
+
+    import public_tokenizers
+    from tokenizers import Tokenizer
+
+    import corpus_pipeline
+
+    stages = dict(corpus_pipeline.STAGES)
+    docs = spark.read.parquet(f"{SF}/documents.parquet")
+    start = docs.toPandas()
+
+    judged = q.op1_quality_bayes(spark, SF).toPandas()  # held against loops above
+    good = stages["quality"](spark, docs, SF).toPandas()
+    assert Counter(good.doc_id) == Counter(judged.doc_id[judged.keep]) and len(good) < len(start)
+
+    unlike = stages["near_copies"](spark, spark.createDataFrame(good), SF).toPandas()
+    sets, holds = {}, defaultdict(list)
+    for d, t in zip(good.doc_id, good.text, strict=True):
+        w = re.findall(r"[^\x20\x09-\x0D]+", fold(t))
+        sets[d] = {tuple(w[i : i + 5]) for i in range(len(w) - 4)} or {tuple(w)}
+        for sh in sets[d]:
+            holds[sh].append(d)
+    parent = {d: d for d in sets}
+
+    def root(d):
+        while parent[d] != d:
+            d = parent[d]
+        return d
+
+    common = Counter((a, b) for ds in holds.values() for i, a in enumerate(ds) for b in ds[i + 1 :])
+    for (a, b), n in common.items():
+        if n / (len(sets[a]) + len(sets[b]) - n) >= 0.8:
+            x, y = sorted((root(a), root(b)))
+            parent[y] = x
+    assert set(unlike.doc_id) == {d for d in sets if root(d) == d} and len(unlike) < len(good)
+
+    mixed = stages["mixing"](spark, spark.createDataFrame(unlike), SF).toPandas()
+    words = {r.doc_id: r.text.split() for r in unlike.itertuples()}
+    size = {d: len(w) for d, w in words.items()}
+    by = unlike.assign(size=unlike.doc_id.map(size)).groupby("source")["size"].sum()
+    took = mixed.assign(size=mixed.text.str.split().map(len)).groupby("source")["size"].sum()
+    target = fill_plainly(dict(by))
+    assert all(abs(took[s] - target[s]) <= 1 for s in target)
+    for r in mixed.itertuples():
+        assert not Counter(r.text.split()) - Counter(words[r.doc_id])
+    assert max(mixed.groupby("doc_id").text.apply(lambda t: sum(len(x.split()) for x in t)) / pd.Series(size)) <= 2
+
+    t = Tokenizer.from_file(public_tokenizers.path("word_bpe_49k.json"))
+    pieces = stages["packing"](spark, spark.createDataFrame(mixed), SF).toPandas().sort_values(["sequence_id", "offset"])
+    want = Counter()
+    for r in mixed.itertuples():
+        want[r.doc_id, len(t.encode(r.text, add_special_tokens=False).ids) + 1] += 1
+    assert Counter((r.doc_id, r.doc_tokens) for r in pieces[pieces.start == 0].itertuples()) == want
+    assert pieces.length.sum() == pieces[pieces.start == 0].doc_tokens.sum()
+
+
+def fill_plainly(sizes):
+    """Targets: 150 % of all words by weight, none above twice its source's, the excess reshared."""
+    order = sorted(sizes)
+    weight, fixed = {s: (5, 2, 1)[i % 3] for i, s in enumerate(order)}, {}
+    while True:
+        left, free = 1.5 * sum(sizes.values()) - sum(fixed.values()), [s for s in order if s not in fixed]
+        share = {s: left * weight[s] / sum(weight[x] for x in free) for s in free}
+        over = [s for s in free if share[s] > 2 * sizes[s]]
+        if not over:
+            return fixed | share
+        fixed |= {s: 2 * sizes[s] for s in over}

@@ -218,7 +218,18 @@ def _(spark, sf):
     return steps.select("run_id", "global_version", *[F.round(c, n).alias(c) for c, n in (("vtime", 4), ("loss", 6), ("accuracy", 6))])
 
 
-@query("x6_stabilised_times")
+def _settled_sql() -> str:
+    run = [("gated_-1.3_0.1", -1.3, 0.1, True, None)]
+    return f"""WITH RECURSIVE {sql.gated_end(run, sizes=sql.RESIZED)},
+c AS (SELECT f.w, min(its[f.w + 1]) + 1 AS turn FROM walk, f WHERE sz[f.w + 1] = 1 AND time <= (SELECT time FROM s) GROUP BY 1),
+e AS (SELECT f.w, f.family, done[f.w + 1] AS iterations, CASE WHEN turn <= done[f.w + 1] THEN turn ELSE 1 END AS settled, CASE WHEN turn <= done[f.w + 1] THEN 1 ELSE 0 END AS z FROM s, f LEFT JOIN c ON c.w = f.w),
+g AS (SELECT e.*, a.d AS first_time, b.d AS settled_time, x.n AS settled_rows, median(b.d) OVER () AS median_time, min(e.w) OVER (PARTITION BY e.family) AS head
+  FROM e JOIN took a ON a.w = e.w AND a.z = 0 JOIN took b ON b.w = e.w AND b.z = e.z JOIN sizes x ON x.w = e.w AND x.z = e.z)
+SELECT family, CAST(w AS INTEGER) AS worker_id, round(first_time + 1e-9::DOUBLE, 3) AS first_time, round(settled_time + 1e-9::DOUBLE, 3) AS settled_time, round(median_time + 1e-9::DOUBLE, 3) AS median_time, CAST(settled_rows AS BIGINT) AS settled_rows,
+  CAST(settled AS BIGINT) AS settled_at, CAST(iterations AS BIGINT) AS iterations FROM g WHERE w = head"""
+
+
+@query("x6_stabilised_times", _settled_sql())
 def _(spark, sf):
     """Iteration times of one worker of each family before and after sizing, and when they settled near the fleet's median."""
     learner = x.tabular_learner(spark, sf)
@@ -228,7 +239,7 @@ def _(spark, sf):
     fleet = tables.fleet(spark).groupBy("family").agg(F.min("worker_id").alias("worker_id"))  # one of each family
     median = ends.agg(F.median("settled_time").alias("median_time"))
     both = ends.join(settled, "worker_id").join(fleet, "worker_id").crossJoin(F.broadcast(median))  # one row
-    return both.select("family", "worker_id", *[F.round(c, 4).alias(c) for c in ("first_time", "settled_time", "median_time")], "settled_rows", "settled_at", "iterations")
+    return both.select("family", "worker_id", *[F.round(F.col(c) + 1e-9, 3).alias(c) for c in ("first_time", "settled_time", "median_time")], "settled_rows", "settled_at", "iterations")
 
 
 def _spread_sql() -> str:

@@ -78,9 +78,11 @@ def _(spark, sf):
     return sizing.iqr_bounds(timed(spark, sf), "t_train", quartiles="nearest").select(F.round("q1", 6).alias("q1"), F.round("q3", 6).alias("q3"))
 
 
-@query("s3_iqr_bounds_approximate")
+@query("s3_iqr_bounds_approximate", f"WITH {TIMES}, q AS (SELECT quantile_disc(t, 0.25) AS q1, quantile_disc(t, 0.75) AS q3 FROM o) SELECT round(q1, 6) AS q1, round(q3, 6) AS q3, round(q3 - q1, 6) AS iqr, round(q1 - 1.5 * (q3 - q1), 6) AS lo, round(q3 + 1.5 * (q3 - q1), 6) AS hi FROM q")
 def _(spark, sf):
-    return sizing.iqr_bounds(timed(spark, sf), "t_train", quartiles="approximate")
+    """As exact as the nearest row while there are fewer rows than the sketch's accuracy."""
+    bounds = sizing.iqr_bounds(timed(spark, sf), "t_train", quartiles="approximate")
+    return bounds.select(*[F.round(c, 6).alias(c) for c in ("q1", "q3", "iqr", "lo", "hi")])
 
 
 @query("s3_iqr_bounds_by_family", f"WITH {TIMES} SELECT family, round(quantile_cont(t, 0.25), 6) AS q1, round(quantile_cont(t, 0.75), 6) AS q3 FROM o GROUP BY 1")

@@ -194,6 +194,11 @@ def taken_words(docs: DataFrame, **how) -> DataFrame:
 WORDS = r"[\x20\x09-\x0D]+"
 
 
+def _of_words(made) -> Column:
+    """made(words of row.text): words are parted once, as the one element of an array, not again wherever a lambda names them."""
+    return F.get(F.transform(F.array(F.filter(F.split("row.text", WORDS), lambda x: x != "")), made), F.lit(0))
+
+
 def _with_ranges(docs: DataFrame, placed: DataFrame, ranges: DataFrame) -> DataFrame:
     """(row, size, and the columns of ranges) of each document and what is taken of it: ranges has source_no and rank."""
     wanted = placed.select("source_no", "rank", "size", F.col("k").alias("wk"), F.col("copy").alias("wanted")).join(ranges, ["source_no", "rank"])
@@ -211,8 +216,7 @@ def mixed_documents(docs: DataFrame, **how) -> DataFrame:
     placed, pieces = mix(docs, **how)
     ranges = pieces.groupBy("source_no", "rank", "pass").agg(F.sort_array(F.collect_list(F.struct("lo", "hi"))).alias("ranges"), F.sum(F.col("hi") - F.col("lo")).alias("n"))
     j = _with_ranges(docs, placed, ranges)
-    words = F.filter(F.split("row.text", WORDS), lambda x: x != "")
-    cut = F.array_join(F.flatten(F.transform("ranges", lambda r: F.slice(words, (r["lo"] + 1).cast("int"), (r["hi"] - r["lo"]).cast("int")))), " ")
+    cut = _of_words(lambda words: F.array_join(F.flatten(F.transform("ranges", lambda r: F.slice(words, (r["lo"] + 1).cast("int"), (r["hi"] - r["lo"]).cast("int")))), " "))
     text = F.when(F.col("n") == F.col("size"), F.col("row.text")).otherwise(cut)
     out = j.select("row", text.alias("taken"))
     new = {"text": F.col("taken")}
@@ -225,9 +229,9 @@ def mixed_blocks(docs: DataFrame, **how) -> DataFrame:
     """The mix as output shards: shard, source_no, slot, words and text, the words of a slot's block that it takes, by spaces."""
     placed, pieces = mix(docs, **how)
     ranges = pieces.groupBy("source_no", "rank").agg(F.collect_list(F.struct("shard", "slot", "lo", "hi")).alias("ranges"))
-    words = F.filter(F.split("row.text", WORDS), lambda x: x != "")
-    j = _with_ranges(docs, placed, ranges).select("source_no", "rank", words.alias("words"), F.explode("ranges").alias("r"))
-    said = F.slice("words", (F.col("r.lo") + 1).cast("int"), (F.col("r.hi") - F.col("r.lo")).cast("int"))
-    parts = j.select("r.shard", "source_no", "r.slot", F.struct("rank", (F.col("r.hi") - F.col("r.lo")).alias("n"), F.array_join(said, " ").alias("text")).alias("part"))
+    said = lambda words, r: F.array_join(F.slice(words, (r["lo"] + 1).cast("int"), (r["hi"] - r["lo"]).cast("int")), " ")
+    cut = _of_words(lambda words: F.transform("ranges", lambda r: F.struct(r["shard"].alias("shard"), r["slot"].alias("slot"), (r["hi"] - r["lo"]).alias("n"), said(words, r).alias("text"))))
+    j = _with_ranges(docs, placed, ranges).select("source_no", "rank", F.explode(cut).alias("r"))
+    parts = j.select("r.shard", "source_no", "r.slot", F.struct("rank", "r.n", "r.text").alias("part"))
     whole = parts.groupBy("shard", "source_no", "slot").agg(F.sum("part.n").alias("words"), F.sort_array(F.collect_list("part")).alias("parts"))
     return whole.select("shard", "source_no", "slot", "words", F.array_join(F.transform("parts", lambda p: p["text"]), " ").alias("text"))

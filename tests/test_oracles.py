@@ -23,7 +23,7 @@ def test_matches_sql(spark, name):
 
 @pytest.mark.parametrize("name", sorted(set(QUERIES) - set(ORACLES)))
 def test_runs(spark, name):
-    rows = QUERIES[name](spark, SF).toPandas()
+    rows = QUERIES[name](spark, folder(name)).toPandas()
     assert len(rows.columns) and (len(rows) or name in MAY_BE_EMPTY)
     if "stopped" in rows.columns:  # whole runs end by patience, or say why not
         assert set(rows.stopped) <= {"patience", "diverged", "crashed"}

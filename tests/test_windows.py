@@ -55,6 +55,7 @@ def test_sums_that_are_done_are_dropped(spark, long, monkeypatch):
 #: on tables over HELD_ROWS these runs took other rows, or a job an iteration
 LONG_RUNS = [
     "b4_elastic_spread_run",
+    "x6_stabilised_times",
     "x5_trajectory",
     "x15_merge_rules",
     "t1_gated_run",
